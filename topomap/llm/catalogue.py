@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import chunk_codec, mixing, quality_rules, shared, token_counts
+from . import automaton_dedup, chunk_codec, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts
 
 
 def _vocabulary(name: str) -> str:
@@ -25,17 +25,33 @@ def op2_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chunk_codec.encode_documents(shared.load(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"))
 
 
+def op4_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_id, component_id (smallest doc_id of its class of near copies), kept."""
+    documents = shared.load(spark, sf_dir, "documents")
+    classes = near_dedup.near_duplicates(documents).select(F.col("id").alias("doc_id"), "component").dropDuplicates(["doc_id"])
+    component = F.coalesce("component", "doc_id")
+    return documents.select("doc_id").join(classes, "doc_id", "left").select("doc_id", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
+
+
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_dedup.remove_repeated_bytes(shared.load(spark, sf_dir, "documents"))
+
+
 def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     plan = mixing.mixing_plan(shared.load(spark, sf_dir, "documents"), size=shared.word_count(F.col("text")))
     return plan.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 
 
+def op9_automaton_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return automaton_dedup.remove_repeated_words(shared.load(spark, sf_dir, "documents"))
+
+
 def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(shared.load(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), limit=512)
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = [op1_quality_rules, op2_bpe_codec, op7_mixing, op10_token_counts]
+    own = [op1_quality_rules, op2_bpe_codec, op4_minhash_dedup, op6_suffix_dedup, op7_mixing, op9_automaton_dedup, op10_token_counts]
     return {f.__name__: f for f in own}
 
 
