@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import automaton_dedup, chunk_codec, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts
+from . import automaton_dedup, chunk_codec, embedding_dedup, kd_shards, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts
 
 
 def _vocabulary(name: str) -> str:
@@ -25,6 +25,10 @@ def op2_bpe_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chunk_codec.encode_documents(shared.load(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"))
 
 
+def op3_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_dedup.linked_vectors(shared.load(spark, sf_dir, "embeddings"))
+
+
 def op4_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """doc_id, component_id (smallest doc_id of its class of near copies), kept."""
     documents = shared.load(spark, sf_dir, "documents")
@@ -33,6 +37,11 @@ def op4_minhash_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return documents.select("doc_id").join(classes, "doc_id", "left").select("doc_id", component.alias("component_id"), F.coalesce(component == F.col("doc_id"), F.lit(True)).alias("kept"))
 
 
+def op5_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    placed = kd_shards.shard_documents(shared.load(spark, sf_dir, "documents"), shards=16)
+    return placed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
+
+
 def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.remove_repeated_bytes(shared.load(spark, sf_dir, "documents"))
 
@@ -51,7 +60,7 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = [op1_quality_rules, op2_bpe_codec, op4_minhash_dedup, op6_suffix_dedup, op7_mixing, op9_automaton_dedup, op10_token_counts]
+    own = [op1_quality_rules, op2_bpe_codec, op3_embedding_dedup, op4_minhash_dedup, op5_kd_shards, op6_suffix_dedup, op7_mixing, op9_automaton_dedup, op10_token_counts]
     return {f.__name__: f for f in own}
 
 
