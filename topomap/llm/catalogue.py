@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import automaton_dedup, chunk_codec, embedding_dedup, kd_shards, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts
+from . import automaton_dedup, chunk_codec, embedding_dedup, kd_shards, line_dedup, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts
 
 
 def _vocabulary(name: str) -> str:
@@ -51,6 +51,10 @@ def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return plan.select("doc_id", "size", "source_size", "target", (F.col("copies") * F.col("size")).alias("taken"))
 
 
+def op8_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.line_report(shared.load(spark, sf_dir, "documents"))
+
+
 def op9_automaton_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return automaton_dedup.remove_repeated_words(shared.load(spark, sf_dir, "documents"))
 
@@ -59,9 +63,15 @@ def op10_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_counts.count_tokens(shared.load(spark, sf_dir, "documents"), _vocabulary("byte_bpe_50k.json"), limit=512)
 
 
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    own = [op1_quality_rules, op2_bpe_codec, op3_embedding_dedup, op4_minhash_dedup, op5_kd_shards, op6_suffix_dedup, op7_mixing, op9_automaton_dedup, op10_token_counts]
-    return {f.__name__: f for f in own}
+    own = [op1_quality_rules, op2_bpe_codec, op3_embedding_dedup, op4_minhash_dedup, op5_kd_shards, op6_suffix_dedup, op7_mixing, op8_line_dedup, op9_automaton_dedup, op10_token_counts]
+    return {f.__name__: f for f in own} | {"pipeline": pipeline}
 
 
 def oracle_sql() -> dict[str, str]:
