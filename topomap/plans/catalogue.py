@@ -1,9 +1,740 @@
-"""Registered queries of the topology-map methods."""
+"""Registered queries of the topology-map methods and their SQL twins."""
+
+from __future__ import annotations
+
+from collections.abc import Callable
+from functools import partial
+
+import numpy as np
+from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from ..config import MapConfig, grid_from_density
+from ..functions import features as feats
+from ..functions import measures, regimes
+from ..operators import baselines, ordering, schedule
+from ..operators.distance import find_winners, squared_distance, top_nodes
+from ..operators.grid import grid_distances, grid_frame, init_gradient, init_gradient_frame, init_random_frame
+from ..operators.train import fit_map, fit_self_tuned
+from ..sources import workloads
+from ..sources.io import load
+from . import twins as T
+
+_QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
+_SQL: dict[str, str] = {}
+ROWS, COLS, NODES = 4, 3, 12
+SHORT = MapConfig(ROWS, COLS, max_passes=10, horizon=40)
+
+
+def query(sql: str | None = None):
+    def register(f):
+        _QUERIES[f.__name__] = f
+        if sql is not None:
+            _SQL[f.__name__] = sql
+        return f
+
+    return register
 
 
 def queries():
-    return {}
+    return dict(_QUERIES)
 
 
 def oracle_sql():
-    return {}
+    return dict(_SQL)
+
+
+def r6(c: Column | str) -> Column:
+    return F.round(c, 6)
+
+
+def r6_array(c: Column | str) -> Column:
+    return F.transform(c, lambda x: F.round(x, 6))
+
+
+def docs_v(spark, sf_dir) -> DataFrame:
+    return feats.drop_invalid(workloads.docs(spark, sf_dir))
+
+
+def nations_v(spark, sf_dir) -> DataFrame:
+    return feats.drop_invalid(workloads.nations(spark, sf_dir))
+
+
+def cells_v(spark, sf_dir) -> DataFrame:
+    return feats.drop_invalid(workloads.cells(spark, sf_dir))
+
+
+def gradient(dim: int) -> np.ndarray:
+    return init_gradient(ROWS, COLS, dim)
+
+
+def docs_won(spark, sf_dir, **options) -> DataFrame:
+    return find_winners(docs_v(spark, sf_dir), gradient(42), **options)
+
+
+def cells_won(spark, sf_dir) -> DataFrame:
+    return find_winners(cells_v(spark, sf_dir), gradient(42))
+
+
+# --- grid, schedule, orders
+
+
+@query(f"SELECT a.range::INT AS node_a, b.range::INT AS node_b, round({T.grid_gap('a.range', 'b.range')}, 6) AS distance FROM range(12) a, range(12) b")
+def grid_distances_4x3(spark, sf_dir):
+    return grid_distances(spark, ROWS, COLS).withColumn("distance", r6("distance"))
+
+
+@query(f"SELECT t.range AS t, round(pow(1.5::DOUBLE, 1 - t.range / 40.0::DOUBLE), 9) AS radius, round(0.1::DOUBLE * pow({T.E_BASE}, -t.range / 40.0::DOUBLE), 9) AS rate FROM range(40) t")
+def schedule_radius_rate(spark, sf_dir):
+    return schedule.schedule_frame(spark, 40, ROWS, COLS, 0.1).select("t", F.round("radius", 9).alias("radius"), F.round("rate", 9).alias("rate"))
+
+
+def _influence_sql(t: int) -> str:
+    return f"SELECT a.range::INT AS winner, b.range::INT AS node, round({T.weight(str(t), '40', T.grid_gap('a.range', 'b.range'))}, 9) AS weight FROM range(12) a, range(12) b"
+
+
+@query(_influence_sql(0))
+def influence_table_t0(spark, sf_dir):
+    return schedule.weight_frame(spark, 0, 40, ROWS, COLS, 0.1).withColumn("weight", F.round("weight", 9))
+
+
+@query(_influence_sql(20))
+def influence_table_t20(spark, sf_dir):
+    return schedule.weight_frame(spark, 20, 40, ROWS, COLS, 0.1).withColumn("weight", F.round("weight", 9))
+
+
+@query(T.with_(T.gradient(42)) + f"SELECT node::INT AS node, (node // 3)::INT AS row, (node % 3)::INT AS col, {T.rounded('prototype')} AS prototype FROM protos")
+def init_gradient_4x3_d42(spark, sf_dir):
+    return init_gradient_frame(spark, ROWS, COLS, 42).withColumn("prototype", r6_array("prototype"))
+
+
+@query()
+def init_random_hashed(spark, sf_dir):
+    return init_random_frame(spark, ROWS, COLS, 42, seed=1)
+
+
+_POSITION = "CASE WHEN t.range % 2 = 0 THEN (i - t.range // 2 + n) % n ELSE (n - 1 - (t.range - 1) // 2 - i + n) % n END"
+
+
+@query(f"SELECT t.range AS t, {_POSITION} AS position, i AS sample_index FROM (SELECT row_number() OVER (ORDER BY vec_id) - 1 AS i, count(*) OVER () AS n FROM embeddings), range(6) t")
+def staggered_order_passes(spark, sf_dir):
+    listed = ordering.dense_index(load(spark, sf_dir, "embeddings", "vec_id"), ["vec_id"])
+    return ordering.staggered_orders(listed, listed.count(), 6)
+
+
+@query(f"SELECT i AS sample_index, count(*) FILTER (position = 0) AS starts, round(avg(position), 6) AS mean_position FROM (SELECT i, {_POSITION} AS position FROM (SELECT range AS i, 100 AS n FROM range(100)), range(100) t) GROUP BY i")
+def staggered_start_fairness(spark, sf_dir):
+    listed = spark.range(100).withColumnRenamed("id", "sample_index")
+    return ordering.start_fairness(ordering.staggered_orders(listed, 100, 100)).withColumn("mean_position", r6("mean_position"))
+
+
+_COUNTS = """counts AS (SELECT 'cells' AS name, count(*) AS n FROM cells_v UNION ALL SELECT 'nations', count(*) FROM nations_v UNION ALL SELECT 'docs', count(*) FROM docs_v
+  UNION ALL SELECT 'vectors', count(*) FROM embeddings UNION ALL SELECT 'lines', count(*) FROM lineitem UNION ALL SELECT 'events', count(*) FROM events_v)"""
+
+
+def _counts(spark, sf_dir) -> DataFrame:
+    sets = {
+        "cells": cells_v(spark, sf_dir), "nations": nations_v(spark, sf_dir), "docs": docs_v(spark, sf_dir), "vectors": load(spark, sf_dir, "embeddings"),
+        "lines": load(spark, sf_dir, "lineitem"), "events": feats.drop_invalid(workloads.events(spark, sf_dir)),
+    }
+    parts = [df.agg(F.lit(name).alias("name"), F.count("*").alias("n")) for name, df in sets.items()]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+@query(T.with_(T.CELLS, T.NATIONS, T.DOCS, T.EVENTS, _COUNTS) + "SELECT name, n, n AS horizon FROM counts")
+def staggered_horizon(spark, sf_dir):
+    return _counts(spark, sf_dir).withColumn("horizon", F.col("n"))
+
+
+@query(f"SELECT t.range::INT AS t, {_POSITION} AS position, i AS sample_index FROM (SELECT range AS i, 25 AS n FROM range(25)), range(25) t")
+def staggered_udtf(spark, sf_dir):
+    from .sqlapi import register
+
+    register(spark)
+    return spark.sql("SELECT t, position, sample_index FROM staggered_order(25, 25)")
+
+
+@query("SELECT row_number() OVER (ORDER BY vec_id) - 1 AS position, vec_id FROM embeddings")
+def sequential_order(spark, sf_dir):
+    return ordering.dense_index(load(spark, sf_dir, "embeddings", "vec_id"), ["vec_id"], "position").select("position", "vec_id")
+
+
+@query("SELECT t.range AS t, n AS places, n AS samples, n - 1 AS last FROM (SELECT count(*) AS n FROM embeddings), range(3) t")
+def random_order_counts(spark, sf_dir):
+    listed = ordering.dense_index(load(spark, sf_dir, "embeddings", "vec_id"), ["vec_id"])
+    orders = ordering.random_orders(listed, 3, seed=7)
+    return orders.groupBy("t").agg(F.countDistinct("position").alias("places"), F.countDistinct("sample_index").alias("samples"), F.max("position").alias("last"))
+
+
+_K = "greatest(1, round_even(n / 12.0::DOUBLE, 0)::BIGINT)"
+
+
+@query(
+    T.with_(T.CELLS, T.NATIONS, T.DOCS, T.EVENTS, _COUNTS)
+    + f"""SELECT name, n, r.range::INT AS grid_rows, c.range::INT AS grid_cols FROM (SELECT name, n, {_K} AS k FROM counts) s, range(1, 400) r, range(1, 400) c
+WHERE r.range >= c.range AND r.range <= 2 * c.range QUALIFY row_number() OVER (PARTITION BY name ORDER BY abs(r.range * c.range - k), r.range - c.range, -r.range * c.range) = 1"""
+)
+def grid_from_density_cases(spark, sf_dir):
+    rows = [(r["name"], r["n"], *grid_from_density(r["n"], 12)) for r in _counts(spark, sf_dir).collect()]
+    return spark.createDataFrame(rows, "name string, n bigint, grid_rows int, grid_cols int")
+
+
+@query(f"SELECT {T.LINE_KEY}, row_number() OVER (ORDER BY {T.LINE_KEY}) - 1 AS sample_index FROM lineitem")
+def dense_index_lineitem(spark, sf_dir):
+    return ordering.dense_index(load(spark, sf_dir, "lineitem", *workloads.LINE_KEY), workloads.LINE_KEY)
+
+
+# --- features
+
+
+@query(T.with_(T.VECTORS) + f"SELECT vec_id, {T.rounded('features')} AS features FROM vectors_v")
+def minmax_embeddings(spark, sf_dir):
+    return workloads.vectors(spark, sf_dir).withColumn("features", r6_array("features"))
+
+
+def _histogram(df: DataFrame) -> DataFrame:
+    return df.withColumn("features", r6_array("features")).withColumn("cloud_fraction", r6("cloud_fraction"))
+
+
+def _histogram_sql(name: str, keys: str, ctes: str) -> str:
+    return T.with_(ctes) + f"SELECT {keys}, n, {T.rounded('features')} AS features, round(cloud_fraction, 6) AS cloud_fraction FROM {name}_v"
+
+
+@query(_histogram_sql("cells", "l_suppkey, period", T.CELLS))
+def histogram_cells(spark, sf_dir):
+    return _histogram(cells_v(spark, sf_dir))
+
+
+@query(_histogram_sql("nations", "n_nationkey, period", T.NATIONS))
+def histogram_nation(spark, sf_dir):
+    return _histogram(nations_v(spark, sf_dir))
+
+
+@query(_histogram_sql("docs", "doc_id", T.DOCS))
+def histogram_docs(spark, sf_dir):
+    return _histogram(docs_v(spark, sf_dir))
+
+
+@query(_histogram_sql("events", "user_id, day", T.EVENTS))
+def histogram_events(spark, sf_dir):
+    return _histogram(feats.drop_invalid(workloads.events(spark, sf_dir)))
+
+
+@query(T.with_(T.NATIONS) + "SELECT n_nationkey, period, (i.range // 7)::INT AS a, " + ", ".join(f"round(max(features[i.range + 1]) FILTER (i.range % 7 = {b}), 6) AS b{b}" for b in range(7)) + " FROM nations_v, range(42) i GROUP BY ALL")
+def histogram_long_pivot(spark, sf_dir):
+    long = feats.histogram_long(nations_v(spark, sf_dir), ["n_nationkey", "period"])
+    wide = long.groupBy("n_nationkey", "period", "a").pivot("b", list(range(7))).agg(F.max("value"))
+    return wide.select("n_nationkey", "period", "a", *[r6(F.col(f"`{b}`")).alias(f"b{b}") for b in range(7)])
+
+
+@query("SELECT class, count(*) AS n, round(min(l_extendedprice), 2) AS lowest FROM lineitem JOIN (VALUES (0, 0.0, 10000.0), (1, 10000.0, 30000.0), (2, 30000.0, 60000.0), (3, 60000.0, 1e9)) e(class, lo, hi) ON l_extendedprice >= lo AND l_extendedprice < hi GROUP BY class")
+def class_edges_range_join(spark, sf_dir):
+    edges = spark.createDataFrame([(0, 0.0, 10000.0), (1, 10000.0, 30000.0), (2, 30000.0, 60000.0), (3, 60000.0, 1e9)], "class int, lo double, hi double")
+    price = F.col("l_extendedprice")
+    joined = load(spark, sf_dir, "lineitem", "l_extendedprice").join(F.broadcast(edges), (price >= F.col("lo")) & (price < F.col("hi")))
+    return joined.groupBy("class").agg(F.count("*").alias("n"), F.round(F.min("l_extendedprice"), 2).alias("lowest"))
+
+
+@query(T.with_(T.CELLS) + "SELECT count(*) AS records, 0::BIGINT AS missing, count(*) FILTER (cloud_fraction = 0) AS all_zero, count(*) FILTER (cloud_fraction > 0) AS valid, round(count(*) FILTER (cloud_fraction > 0) / count(*), 6) AS retained FROM cells_f")
+def retention_cells(spark, sf_dir):
+    return feats.retention(workloads.cells(spark, sf_dir)).withColumn("retained", r6("retained"))
+
+
+@query(T.with_(T.CELLS) + "SELECT l_suppkey, period, round(list_sum(features), 6) AS cloud_fraction FROM cells_f")
+def cloud_fraction_cells(spark, sf_dir):
+    return workloads.cells(spark, sf_dir).select("l_suppkey", "period", r6(feats.cloud_fraction(F.col("features"))).alias("cloud_fraction"))
+
+
+# --- winners
+
+
+def _winner_sql(ctes: str, source: str, dim: int, keys: str) -> str:
+    return T.with_(ctes, T.gradient(dim), T.winners("won", source, dim)) + f"SELECT {keys}, node::INT AS node, round(distance, 6) AS distance FROM won"
+
+
+@query(_winner_sql(T.CELLS, "cells_v", 42, "l_suppkey, period"))
+def winners_gradient_cells(spark, sf_dir):
+    return cells_won(spark, sf_dir).select("l_suppkey", "period", "node", r6("distance").alias("distance"))
+
+
+@query(_winner_sql(T.DOCS, "docs_v", 42, "doc_id"))
+def winners_gradient_docs(spark, sf_dir):
+    return docs_won(spark, sf_dir).select("doc_id", "node", r6("distance").alias("distance"))
+
+
+@query(_winner_sql(T.VECTORS, "vectors_v", 64, "vec_id"))
+def winners_gradient_emb(spark, sf_dir):
+    return find_winners(workloads.vectors(spark, sf_dir), gradient(64)).select("vec_id", "node", r6("distance").alias("distance"))
+
+
+@query(_winner_sql(T.LINES, "lines_v", 4, T.LINE_KEY))
+def winners_gradient_line(spark, sf_dir):
+    return find_winners(workloads.lines(spark, sf_dir), gradient(4)).select(*workloads.LINE_KEY, "node", r6("distance").alias("distance"))
+
+
+@query(T.with_(T.DOCS) + "SELECT count(*) AS samples, count(*) AS agree FROM docs_v")
+def winners_strategies_agree(spark, sf_dir):
+    x = docs_v(spark, sf_dir)
+    ways = [find_winners(x, gradient(42), strategy=s).select("doc_id", F.col("node").alias(s), F.round("distance", 9).alias(s + "_d")) for s in ("join", "expr", "arrow")]
+    both = ways[0].join(ways[1], "doc_id").join(ways[2], "doc_id")
+    same = (F.col("join") == F.col("expr")) & (F.col("expr") == F.col("arrow")) & (F.col("join_d") == F.col("expr_d")) & (F.col("expr_d") == F.col("arrow_d"))
+    return both.agg(F.count("*").alias("samples"), F.count_if(same).alias("agree"))
+
+
+@query(T.with_(T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42)) + "SELECT doc_id, node::INT AS node, second::INT AS second FROM won")
+def second_best_docs(spark, sf_dir):
+    return docs_won(spark, sf_dir, strategy="arrow", runner_up=True).select("doc_id", "node", "second")
+
+
+@query(T.with_(T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42)) + "SELECT doc_id, (place - 1)::INT AS place, node::INT AS node, round(sqrt(d2), 6) AS distance FROM won_k WHERE place <= 3")
+def topk_nodes_docs(spark, sf_dir):
+    return top_nodes(docs_v(spark, sf_dir).select("doc_id", "features"), gradient(42), 3).select("doc_id", "place", "node", r6("distance").alias("distance"))
+
+
+@query(
+    T.with_(T.VECTORS, T.gradient(64), T.winners("won", "vectors_v", 64))
+    + f"SELECT p.node::INT AS node, list_transform(range(1, 65), lambda i: round(prototype[i] + {T.weight('0', 'n', T.grid_gap('won.node', 'p.node'))} * (features[i] - prototype[i]), 6)) AS prototype FROM won, protos p, (SELECT count(*) AS n FROM vectors_v) WHERE sample_index = 0"
+)
+def single_update_first_sample(spark, sf_dir):
+    x = ordering.dense_index(workloads.vectors(spark, sf_dir), ["vec_id"])
+    first = find_winners(x.where("sample_index = 0"), gradient(64)).select("features", F.col("node").alias("won"))
+    weights = schedule.weight_frame(spark, 0, x.count(), ROWS, COLS, 0.1)
+    moved = first.join(weights, F.col("won") == F.col("winner")).select("node", "features", "weight").join(init_gradient_frame(spark, ROWS, COLS, 64), "node")
+    return moved.select("node", F.zip_with("prototype", "features", lambda v, f: F.round(v + F.col("weight") * (f - v), 6)).alias("prototype"))
+
+
+# --- training
+
+
+def _trained(df, key, cfg=MapConfig(ROWS, COLS, max_passes=1), **options):
+    model = fit_map(df, cfg, key=key, **options)
+    return model, model.frame(df.sparkSession).select("node", r6_array("prototype").alias("prototype"))
+
+
+def _fold_sql(ctes: list[str], source: str, dim: int, passes: int, rows: int = 4, cols: int = 3) -> str:
+    return T.with_(*ctes, T.fold(source, dim, passes, rows, cols), recursive=True) + f"SELECT (k.range - 1)::INT AS node, {T.rounded('v[k.range]')} AS prototype FROM fold, range(1, {rows * cols + 1}) k WHERE step = (SELECT max(step) FROM fold)"
+
+
+@query(_fold_sql([T.NATIONS], "nations_v", 42, 2))
+def train_nation_2pass(spark, sf_dir):
+    return _trained(nations_v(spark, sf_dir), ["n_nationkey", "period"], MapConfig(ROWS, COLS, max_passes=2))[1]
+
+
+@query(_fold_sql([T.VECTORS], "vectors_v", 64, 1))
+def train_emb_1pass(spark, sf_dir):
+    return _trained(workloads.vectors(spark, sf_dir), ["vec_id"])[1]
+
+
+_TOY = "toy_v AS (SELECT * FROM (VALUES " + ", ".join(f"({i}, [{x!r}, {y!r}]::DOUBLE[])" for i, (x, y) in enumerate(workloads.TOYBLOBS)) + ") v(sample_index, features))"
+
+
+@query(_fold_sql([_TOY], "toy_v", 2, 3, 3, 1))
+def train_toy_to_stop(spark, sf_dir):
+    return _trained(workloads.toy(spark), ["sample_id"], MapConfig(3, 1, max_passes=24))[1]
+
+
+@query(_fold_sql([_TOY], "toy_v", 2, 1, 3, 1))
+def train_toy_recursive_sql(spark, sf_dir):
+    from .sqlapi import recursive_pass
+
+    return recursive_pass(spark, workloads.TOYBLOBS, 3, 1)
+
+
+_MOVES = "SELECT t AS pass, count(*) FILTER (moved) AS moves FROM (SELECT t, winner IS DISTINCT FROM lag(winner) OVER (PARTITION BY sample_index ORDER BY t) AS moved FROM fold WHERE step >= 0) GROUP BY t"
+
+
+@query(T.with_(T.NATIONS, T.fold("nations_v", 42, 3), recursive=True) + _MOVES)
+def moves_per_pass_nation(spark, sf_dir):
+    model, _ = _trained(nations_v(spark, sf_dir), ["n_nationkey", "period"], MapConfig(ROWS, COLS, max_passes=3))
+    return model.history_frame(spark).select("pass", "moves")
+
+
+@query(T.with_(T.DOCS, T.fold("docs_v", 42, 1), f"last AS (SELECT v FROM fold WHERE step = (SELECT max(step) FROM fold))", "protos AS (SELECT k.range - 1 AS node, v[k.range] AS prototype FROM last, range(1, 13) k)", T.winners("won", "docs_v", 42), recursive=True) + "SELECT doc_id, node::INT AS node FROM won")
+def classify_docs_regime(spark, sf_dir):
+    x = docs_v(spark, sf_dir)
+    return fit_map(x, MapConfig(ROWS, COLS, max_passes=1), key=["doc_id"]).classify(x).select("doc_id", "node")
+
+
+@query()
+def train_docs_ablation(spark, sf_dir):
+    return _histories(spark, sf_dir, {name: baselines.variant(SHORT, name) for name in baselines.VARIANTS})
+
+
+def _histories(spark, sf_dir, configs, extra=()) -> DataFrame:
+    """(run, pass, ..., moves, quantization_error at the end)."""
+    x = docs_v(spark, sf_dir).select("doc_id", "features").cache()
+    parts = []
+    for name, model in baselines.fit_many(x, configs, key=["doc_id"]).items():
+        error = measures.quantization_error(model.classify(x)).first()[0]
+        parts.append(model.history_frame(spark).drop("seconds").withColumn("run", F.lit(name)).withColumn("stop_reason", F.lit(model.stop_reason)).withColumn("quantization_error", F.lit(error)))
+    x.unpersist()
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+@query("SELECT 1::BIGINT AS distinct_fingerprints, 4::BIGINT AS runs")
+def determinism_fingerprints(spark, sf_dir):
+    x = docs_v(spark, sf_dir).select("doc_id", "features")
+    shuffled = x.orderBy(F.xxhash64("doc_id"))
+    cfg = MapConfig(ROWS, COLS, max_passes=2)
+    prints = [fit_map(d, cfg, key=["doc_id"]).fingerprint for d in (x, x.repartition(16), x.coalesce(1), shuffled)]
+    return spark.createDataFrame([(p,) for p in prints], "p string").agg(F.countDistinct("p").alias("distinct_fingerprints"), F.count("*").alias("runs"))
+
+
+@query()
+def standard_runs_agreement(spark, sf_dir):
+    x = docs_v(spark, sf_dir).select("doc_id", "features").cache()
+    models = baselines.standard_runs(x, SHORT, [1, 2, 3], key=["doc_id"])
+    parts = []
+    for a, b in (("1", "2"), ("1", "3"), ("2", "3")):
+        agreed = measures.run_agreement(models[a].classify(x), models[b].classify(x), ["doc_id"])
+        parts.append(agreed.withColumn("run_a", F.lit(a)).withColumn("run_b", F.lit(b)).withColumn("node_shift", F.lit(measures.node_shift(models[a].prototypes, models[b].prototypes))))
+    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+
+
+@query()
+def rate_sweep_docs(spark, sf_dir):
+    return _histories(spark, sf_dir, {f"rate {r}": SHORT.with_rate(r) for r in (0.5, 0.3, 0.1, 0.05, 0.01)})
+
+
+@query()
+def stop_rule_compare(spark, sf_dir):
+    from dataclasses import replace
+
+    return _histories(spark, sf_dir, {f"{stop} {r}": replace(SHORT.with_rate(r), stop=stop, horizon=10) for stop in ("max", "no_moves") for r in (0.1, 0.2, 0.3)})
+
+
+@query()
+def order_compare(spark, sf_dir):
+    from dataclasses import replace
+
+    return _histories(spark, sf_dir, {s: replace(SHORT, selection=s, seed=1) for s in ("sequential", "random", "random_replace", "staggered")})
+
+
+@query()
+def init_compare(spark, sf_dir):
+    from dataclasses import replace
+
+    return _histories(spark, sf_dir, {i: replace(SHORT, init=i, seed=1) for i in ("random", "gradient")})
+
+
+@query()
+def self_tuned_docs(spark, sf_dir):
+    x = docs_v(spark, sf_dir).select("doc_id", "features")
+    n = x.count()
+    model = fit_self_tuned(x, n / 12, 0.1, key=["doc_id"], max_passes=3)
+    return measures.node_balance(model.classify(x), model.cfg.nodes, n / 12)
+
+
+@query()
+def per_nation_maps(spark, sf_dir):
+    return baselines.maps_per_group(cells_v(spark, sf_dir).join(load(spark, sf_dir, "supplier", F.col("s_suppkey").alias("l_suppkey"), F.col("s_nationkey").alias("n_nationkey")), "l_suppkey"), "n_nationkey", MapConfig(2, 2, max_passes=3), key=["l_suppkey", "period"])
+
+
+@query()
+def shard_map_docs(spark, sf_dir):
+    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="shards", shards=4)[1]
+
+
+@query()
+def sketch_map_docs(spark, sf_dir):
+    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="sketch", sample=300)[1]
+
+
+@query("SELECT 1::BIGINT AS distinct_fingerprints")
+def relay_equals_fold(spark, sf_dir):
+    x = docs_v(spark, sf_dir).select("doc_id", "features")
+    cfg = MapConfig(ROWS, COLS, max_passes=2)
+    prints = {fit_map(x, cfg, key=["doc_id"]).fingerprint, fit_map(x, cfg, key=["doc_id"], mode="relay", block=400).fingerprint}
+    return spark.createDataFrame([(p,) for p in prints], "p string").agg(F.countDistinct("p").alias("distinct_fingerprints"))
+
+
+# --- regimes on the winners of the gradient start
+
+_DOCS_WON = [T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42)]
+_CELLS_WON = [T.CELLS, T.gradient(42), T.winners("won", "cells_v", 42)]
+_NATION_OF = "JOIN supplier ON s_suppkey = l_suppkey"
+
+
+@query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + f"SELECT regime::INT AS regime, n, {T.rounded('centroid')} AS centroid FROM cen")
+def regime_centroids_init(spark, sf_dir):
+    return regimes.regime_centroids(docs_won(spark, sf_dir), 42).select("regime", "n", r6_array("centroid").alias("centroid"))
+
+
+@query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + "SELECT regime::INT AS regime, round(cloud_fraction, 6) AS cloud_fraction, round(rfo, 6) AS rfo FROM cen")
+def regime_cf_init(spark, sf_dir):
+    return regimes.regime_centroids(docs_won(spark, sf_dir), 42).select("regime", r6("cloud_fraction").alias("cloud_fraction"), r6("rfo").alias("rfo"))
+
+
+@query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + "SELECT regime::INT AS regime, CASE WHEN cloud_fraction < 0.4 THEN 'semi-clear' WHEN list_sum(centroid[1:21]) >= 0.5 * cloud_fraction THEN 'high' ELSE 'low' END AS kind FROM cen")
+def regime_kind_init(spark, sf_dir):
+    return regimes.regime_kind(regimes.regime_centroids(docs_won(spark, sf_dir), 42)).select("regime", "kind")
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT node::INT AS regime, count(*) AS n, round(count(*) / sum(count(*)) OVER (), 6) AS rfo FROM won GROUP BY node")
+def rfo_global_docs(spark, sf_dir):
+    return regimes.rfo(docs_won(spark, sf_dir)).withColumn("rfo", r6("rfo"))
+
+
+def _rfo_sql(ctes: list[str], assigned: str, cell: str) -> str:
+    return (
+        T.with_(*ctes, f"of_cell AS ({assigned})", f"totals AS (SELECT {cell}, count(*) AS total FROM of_cell GROUP BY {cell})", f"per AS (SELECT {cell}, node, count(*) AS c FROM of_cell GROUP BY {cell}, node)")
+        + f"SELECT t.{cell}, k.range::INT AS regime, coalesce(c, 0) AS n, round(coalesce(c, 0) / total, 6) AS rfo FROM totals t CROSS JOIN range(12) k LEFT JOIN per ON per.{cell} = t.{cell} AND per.node = k.range"
+    )
+
+
+def _by_source(spark, sf_dir) -> DataFrame:
+    return docs_won(spark, sf_dir).join(load(spark, sf_dir, "documents", "doc_id", "source"), "doc_id")
+
+
+@query(_rfo_sql(_DOCS_WON, "SELECT source, node FROM won JOIN documents USING (doc_id)", "source"))
+def rfo_map_source(spark, sf_dir):
+    return regimes.rfo_map(_by_source(spark, sf_dir), "source", NODES).withColumn("rfo", r6("rfo"))
+
+
+def _by_nation(spark, sf_dir) -> DataFrame:
+    return cells_won(spark, sf_dir).join(load(spark, sf_dir, "supplier", F.col("s_suppkey").alias("l_suppkey"), F.col("s_nationkey").alias("n_nationkey")), "l_suppkey")
+
+
+@query(_rfo_sql(_CELLS_WON, f"SELECT s_nationkey AS n_nationkey, node FROM won {_NATION_OF}", "n_nationkey"))
+def rfo_map_nation(spark, sf_dir):
+    return regimes.rfo_map(_by_nation(spark, sf_dir), "n_nationkey", NODES).withColumn("rfo", r6("rfo"))
+
+
+@query(T.with_(*_CELLS_WON) + f"SELECT r_name, n_name, count(*) AS n, count(DISTINCT node) AS regimes, grouping(r_name, n_name)::BIGINT AS level FROM won {_NATION_OF} JOIN nation ON n_nationkey = s_nationkey JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, n_name)")
+def rfo_rollup_region_nation(spark, sf_dir):
+    star = load(spark, sf_dir, "nation", "n_nationkey", "n_name", F.col("n_regionkey").alias("r_regionkey")).join(load(spark, sf_dir, "region", "r_regionkey", "r_name"), "r_regionkey")
+    joined = _by_nation(spark, sf_dir).join(star, "n_nationkey")
+    return joined.rollup("r_name", "n_name").agg(F.count("*").alias("n"), F.countDistinct("node").alias("regimes"), F.grouping_id().alias("level"))
+
+
+@query(T.with_(*_CELLS_WON) + "SELECT node::INT AS regime, year(period)::INT AS year, count(*) AS n, sum(won.n)::BIGINT AS line_rows FROM won GROUP BY CUBE (node, year(period))")
+def rfo_cube_regime_year(spark, sf_dir):
+    won = cells_won(spark, sf_dir).select(F.col("node").alias("regime"), F.year("period").alias("year"), F.col("n").alias("m"))
+    return won.cube("regime", "year").agg(F.count("*").alias("n"), F.sum("m").alias("line_rows"))
+
+
+_MAP_ROWS = "of_cell AS (SELECT source, node FROM won JOIN documents USING (doc_id)), totals AS (SELECT source, count(*) AS total FROM of_cell GROUP BY source), per AS (SELECT source, node, count(*) AS c FROM of_cell GROUP BY source, node), maps AS (SELECT t.source, k.range AS regime, coalesce(c, 0) / total AS rfo FROM totals t CROSS JOIN range(12) k LEFT JOIN per ON per.source = t.source AND per.node = k.range)"
+_HIST_PAIRS = f"hist AS (SELECT a.regime AS regime_a, b.regime AS regime_b, {T.pearson('a.centroid[i.range]', 'b.centroid[i.range]')} AS histogram_corr FROM cen a, cen b, range(1, 43) i WHERE a.regime < b.regime GROUP BY 1, 2)"
+_MAP_PAIRS = f"mp AS (SELECT a.regime AS regime_a, b.regime AS regime_b, {T.pearson('a.rfo', 'b.rfo')} AS map_corr FROM maps a JOIN maps b USING (source) WHERE a.regime < b.regime GROUP BY 1, 2)"
+
+
+def _hist_corr(spark, sf_dir):
+    return regimes.regime_correlation(regimes.regime_centroids(docs_won(spark, sf_dir), 42))
+
+
+def _map_corr(spark, sf_dir):
+    return regimes.rfo_correlation(regimes.rfo_map(_by_source(spark, sf_dir), "source", NODES), "source")
+
+
+@query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42), _HIST_PAIRS) + "SELECT regime_a::INT AS regime_a, regime_b::INT AS regime_b, round(histogram_corr, 6) AS histogram_corr FROM hist")
+def regime_correlation_pairs(spark, sf_dir):
+    return _hist_corr(spark, sf_dir).withColumn("histogram_corr", r6("histogram_corr"))
+
+
+@query(T.with_(*_DOCS_WON, _MAP_ROWS, _MAP_PAIRS) + "SELECT regime_a::INT AS regime_a, regime_b::INT AS regime_b, round(map_corr, 6) AS map_corr FROM mp")
+def rfo_correlation_pairs(spark, sf_dir):
+    return _map_corr(spark, sf_dir).withColumn("map_corr", r6("map_corr"))
+
+
+@query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42), _HIST_PAIRS, _MAP_ROWS, _MAP_PAIRS) + "SELECT regime_a::INT AS regime_a, regime_b::INT AS regime_b, round(histogram_corr, 6) AS histogram_corr, round(map_corr, 6) AS map_corr FROM hist JOIN mp USING (regime_a, regime_b) WHERE histogram_corr >= 0.3 AND map_corr >= 0.1")
+def similar_regimes(spark, sf_dir):
+    found = regimes.similar_regimes(_hist_corr(spark, sf_dir), _map_corr(spark, sf_dir), 0.3, 0.1)
+    return found.select("regime_a", "regime_b", r6("histogram_corr").alias("histogram_corr"), r6("map_corr").alias("map_corr"))
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT round(avg(distance), 6) AS quantization_error FROM won")
+def quantization_error_init(spark, sf_dir):
+    return measures.quantization_error(docs_won(spark, sf_dir)).select(r6("quantization_error").alias("quantization_error"))
+
+
+@query(T.with_(*_DOCS_WON) + f"SELECT round(avg(({T.grid_gap('node', 'second')} > sqrt(2) + 1e-9)::INT), 6) AS topographic_error FROM won")
+def topographic_error_init(spark, sf_dir):
+    return measures.topographic_error(docs_won(spark, sf_dir, strategy="arrow", runner_up=True), ROWS, COLS).select(r6("topographic_error").alias("topographic_error"))
+
+
+@query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + f"SELECT p.node::INT AS node, round(CASE WHEN centroid IS NOT NULL THEN sqrt({T.distance(42, 'prototype', 'centroid')}) END, 6) AS gap FROM protos p LEFT JOIN cen ON cen.regime = p.node")
+def prototype_gap_init(spark, sf_dir):
+    gaps = measures.prototype_gap(regimes.regime_centroids(docs_won(spark, sf_dir), 42), init_gradient_frame(spark, ROWS, COLS, 42))
+    return gaps.withColumn("gap", r6("gap"))
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT round(sum(most) / sum(total), 6) AS purity FROM (SELECT node, max(c) AS most, sum(c) AS total FROM (SELECT node, lang, count(*) AS c FROM won JOIN documents USING (doc_id) GROUP BY 1, 2) GROUP BY node)")
+def purity_lang_init(spark, sf_dir):
+    joined = docs_won(spark, sf_dir).join(load(spark, sf_dir, "documents", "doc_id", "lang"), "doc_id")
+    return measures.purity(joined, "lang").select(r6("purity").alias("purity"))
+
+
+@query(
+    T.with_(*_DOCS_WON, "ct AS (SELECT node, lang, count(*)::DOUBLE AS n FROM won JOIN documents USING (doc_id) GROUP BY 1, 2)", "s AS (SELECT sum(n * (n - 1) / 2) AS b, sum(n) AS n FROM ct)", "sa AS (SELECT sum(m * (m - 1) / 2) AS a FROM (SELECT sum(n) AS m FROM ct GROUP BY node))", "sb AS (SELECT sum(m * (m - 1) / 2) AS c FROM (SELECT sum(n) AS m FROM ct GROUP BY lang))")
+    + "SELECT round((n * (n - 1) / 2 + 2 * b - a - c) / (n * (n - 1) / 2), 6) AS rand, round((b - a * c / (n * (n - 1) / 2)) / ((a + c) / 2 - a * c / (n * (n - 1) / 2)), 6) AS adjusted_rand FROM s, sa, sb"
+)
+def adjusted_rand_lang_init(spark, sf_dir):
+    joined = docs_won(spark, sf_dir).join(load(spark, sf_dir, "documents", "doc_id", "lang"), "doc_id")
+    return measures.adjusted_rand(measures.contingency(joined, "lang"), "node", "lang").select(r6("rand").alias("rand"), r6("adjusted_rand").alias("adjusted_rand"))
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT k.range::INT AS node, count(won.node) AS n, round(count(won.node) / 80.0::DOUBLE, 6) AS ratio FROM range(12) k LEFT JOIN won ON won.node = k.range GROUP BY 1")
+def node_balance(spark, sf_dir):
+    return measures.node_balance(docs_won(spark, sf_dir), NODES, 80).withColumn("ratio", r6("ratio"))
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT range::INT AS node FROM range(12) WHERE range NOT IN (SELECT node FROM won)")
+def never_won_nodes(spark, sf_dir):
+    return measures.never_won(docs_won(spark, sf_dir), NODES)
+
+
+@query(T.with_(*_CELLS_WON) + "SELECT before::INT AS before, node::INT AS after, count(*) AS n FROM (SELECT node, lag(node) OVER (PARTITION BY l_suppkey ORDER BY period) AS before FROM won) WHERE before IS NOT NULL GROUP BY 1, 2")
+def regime_transitions_cells(spark, sf_dir):
+    return regimes.regime_transitions(cells_won(spark, sf_dir), "l_suppkey", "period")
+
+
+@query(T.with_(*_CELLS_WON) + "SELECT l_suppkey, node::INT AS regime, c AS n, rank::INT AS rank FROM (SELECT *, row_number() OVER (PARTITION BY l_suppkey ORDER BY c DESC, node) AS rank FROM (SELECT l_suppkey, node, count(*) AS c FROM won GROUP BY 1, 2)) WHERE rank <= 2")
+def regime_rank_per_cell(spark, sf_dir):
+    counts = cells_won(spark, sf_dir).groupBy("l_suppkey", F.col("node").alias("regime")).agg(F.count("*").alias("n"))
+    return counts.withColumn("rank", F.row_number().over(Window.partitionBy("l_suppkey").orderBy(F.desc("n"), "regime"))).where("rank <= 2")
+
+
+# --- k-means and batch rounds, unrolled in SQL
+
+
+def _kmeans_sql(source: str, dim: int, k: int, rounds: int, start: str) -> list[str]:
+    out = [start]
+    for r in range(rounds):
+        out.append(T.winners(f"w{r}", source, dim, f"p{r}"))
+        out.append(f"m{r} AS (SELECT node, list(m ORDER BY i) AS mean FROM (SELECT node, i.range AS i, sum(round(features[i.range] * 16777216)::BIGINT)::DOUBLE / 16777216.0::DOUBLE / count(*) AS m FROM w{r}, range(1, {dim + 1}) i GROUP BY 1, 2) GROUP BY node)")
+        out.append(f"p{r + 1} AS (SELECT p.node, coalesce(mean, prototype) AS prototype FROM p{r} p LEFT JOIN m{r} m USING (node))")
+    return out
+
+
+def _kmeans_query(ctes: str, source: str, rounds: int) -> str:
+    return T.with_(ctes, *_kmeans_sql(source, 42, 10, rounds, f"p0 AS (SELECT sample_index AS node, features AS prototype FROM {source} WHERE sample_index < 10)")) + f"SELECT node::INT AS node, {T.rounded('prototype')} AS prototype FROM p{rounds}"
+
+
+def _kmeans(df: DataFrame, key: list[str], rounds: int) -> DataFrame:
+    centers, _ = baselines.fit_kmeans(ordering.dense_index(df, key), 10, rounds=rounds)
+    return df.sparkSession.createDataFrame([(k, [float(x) for x in c]) for k, c in enumerate(centers)], "node int, prototype array<double>").withColumn("prototype", r6_array("prototype"))
+
+
+@query(_kmeans_query(T.DOCS, "docs_v", 3))
+def kmeans_3round_docs(spark, sf_dir):
+    return _kmeans(docs_v(spark, sf_dir), ["doc_id"], 3)
+
+
+@query(_kmeans_query(T.CELLS, "cells_v", 2))
+def kmeans_cells(spark, sf_dir):
+    return _kmeans(cells_v(spark, sf_dir), ["l_suppkey", "period"], 2)
+
+
+def _batch_sql(rounds: int) -> list[str]:
+    out = [T.DOCS, T.gradient(42, name="p0")]
+    for r in range(rounds):
+        radius = f"pow(1.5::DOUBLE, 1 - {r}.0::DOUBLE / 40)"
+        gap = T.grid_gap("s.node", "p.node")
+        h = f"CASE WHEN {gap} <= {radius} THEN round(pow({T.E_BASE}, -{gap} / (2 * {radius})), 12) ELSE 0 END"
+        out.append(T.winners(f"w{r}", "docs_v", 42, f"p{r}"))
+        out.append(f"s{r} AS (SELECT node, i.range AS i, sum(round(features[i.range] * 16777216)::BIGINT)::DOUBLE / 16777216.0::DOUBLE AS s, count(*) AS n FROM w{r}, range(1, 43) i GROUP BY 1, 2)")
+        out.append(f"p{r + 1} AS (SELECT node, list(x ORDER BY i) AS prototype FROM (SELECT p.node, s.i, CASE WHEN sum({h} * s.n) > 0 THEN sum({h} * s.s) / sum({h} * s.n) ELSE any_value(p.prototype[s.i]) END AS x FROM p{r} p, s{r} s GROUP BY 1, 2) GROUP BY node)")
+    return out
+
+
+@query(T.with_(*_batch_sql(3)) + f"SELECT node::INT AS node, {T.rounded('prototype')} AS prototype FROM p3")
+def batch_map_3round_docs(spark, sf_dir):
+    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="batch", rounds=3)[1]
+
+
+@query(
+    T.with_(*_batch_sql(3), *[c.replace("p0", "q0").replace("p1", "q1").replace("p2", "q2").replace("p3", "q3").replace("w0", "x0").replace("w1", "x1").replace("w2", "x2").replace("m0", "y0").replace("m1", "y1").replace("m2", "y2") for c in _kmeans_sql("docs_v", 42, 10, 3, "p0 AS (SELECT sample_index AS node, features AS prototype FROM docs_v WHERE sample_index < 10)")])
+    + f"SELECT regime::INT AS regime, best::INT AS best, round(corr, 6) AS corr FROM (SELECT a.node AS regime, b.node AS best, round({T.pearson('a.prototype[i.range]', 'b.prototype[i.range]')}, 9) AS corr FROM q3 a, p3 b, range(1, 43) i GROUP BY 1, 2) QUALIFY row_number() OVER (PARTITION BY regime ORDER BY corr DESC NULLS LAST, best) = 1"
+)
+def coverage_kmeans_map(spark, sf_dir):
+    x = docs_v(spark, sf_dir)
+    centers, _ = baselines.fit_kmeans(ordering.dense_index(x, ["doc_id"]), 10, rounds=3)
+    model = fit_map(x, SHORT, key=["doc_id"], mode="batch", rounds=3)
+    frame = lambda m: spark.createDataFrame([(k, [float(v) for v in c]) for k, c in enumerate(m)], "regime int, centroid array<double>")
+    return regimes.coverage(frame(centers), frame(model.prototypes)).withColumn("corr", r6("corr"))
+
+
+# --- the same devices for other learners
+
+_ORDERED = "seq AS MATERIALIZED (SELECT sample_index AS step, features, y FROM listed)"
+
+
+@query(
+    T.with_(
+        T.VECTORS,
+        "learn(step, c, k) AS (SELECT -1::BIGINT, (SELECT list(features ORDER BY sample_index) FROM vectors_v WHERE sample_index < 8), [0, 0, 0, 0, 0, 0, 0, 0]::DOUBLE[] UNION ALL "
+        "SELECT step + 1, list_transform(range(1, 9), lambda j: CASE WHEN j = w THEN list_transform(range(1, 65), lambda i: c[j][i] + (f[i] - c[j][i]) / (k[j] + 1)) ELSE c[j] END), list_transform(range(1, 9), lambda j: CASE WHEN j = w THEN k[j] + 1 ELSE k[j] END) "
+        "FROM (SELECT l.step, l.c, l.k, s.features AS f, list_position(d, list_min(d)) AS w FROM (SELECT l.*, s.features, list_transform(range(1, 9), lambda j: list_sum(list_transform(range(1, 65), lambda i: (s.features[i] - l.c[j][i]) * (s.features[i] - l.c[j][i])))) AS d FROM learn l JOIN vectors_v s ON s.sample_index = l.step + 1) l JOIN vectors_v s ON s.sample_index = l.step + 1))",
+        recursive=True,
+    )
+    + f"SELECT (j.range - 1)::INT AS node, {T.rounded('c[j.range]')} AS prototype FROM learn, range(1, 9) j WHERE step = (SELECT max(step) FROM learn)"
+)
+def online_kmeans_staggered(spark, sf_dir):
+    centers = baselines.fit_online_kmeans(workloads.vectors(spark, sf_dir), 8, key=["vec_id"])
+    return spark.createDataFrame([(k, [round(float(x), 6) for x in c]) for k, c in enumerate(centers)], "node int, prototype array<double>")
+
+
+@query(
+    T.with_(
+        T.DOCS,
+        "listed AS MATERIALIZED (SELECT row_number() OVER (ORDER BY doc_id) - 1 AS step, list_append(features, 1.0::DOUBLE) AS x, quality::DOUBLE AS y FROM docs_v JOIN labels USING (doc_id))",
+        "learn(step, w) AS (SELECT -1::BIGINT, list_transform(range(43), lambda i: 0.0::DOUBLE) UNION ALL SELECT l.step + 1, list_transform(range(1, 44), lambda i: l.w[i] + (0.1::DOUBLE * (s.y - list_sum(list_transform(range(1, 44), lambda j: l.w[j] * s.x[j])))) * s.x[i]) FROM learn l JOIN listed s ON s.step = l.step + 1)",
+        recursive=True,
+    )
+    + "SELECT (i.range - 1)::INT AS component, round(w[i.range], 6) AS weight FROM learn, range(1, 44) i WHERE step = (SELECT max(step) FROM learn)"
+)
+def sgd_quality_staggered(spark, sf_dir):
+    x = docs_v(spark, sf_dir).join(load(spark, sf_dir, "labels", "doc_id", "quality"), "doc_id")
+    w = baselines.fit_sgd_linear(x, "quality", key=["doc_id"])
+    return spark.createDataFrame([(i, round(float(v), 6)) for i, v in enumerate(w)], "component int, weight double")
+
+
+# --- operators around the methods
+
+
+@query(T.with_(T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42), "prev AS (SELECT doc_id, node FROM won WHERE node < 6)") + "SELECT 'union' AS op, count(*) AS n FROM (SELECT doc_id, node FROM won UNION SELECT * FROM prev) UNION ALL SELECT 'intersect', count(*) FROM (SELECT doc_id, node FROM won INTERSECT ALL SELECT * FROM prev) UNION ALL SELECT 'except', count(*) FROM (SELECT doc_id, node FROM won EXCEPT ALL SELECT * FROM prev)")
+def set_ops_runs(spark, sf_dir):
+    won = docs_won(spark, sf_dir).select("doc_id", "node")
+    low = won.where("node < 6")
+    count = lambda name, df: df.agg(F.lit(name).alias("op"), F.count("*").alias("n"))
+    return count("union", won.union(low).distinct()).unionByName(count("intersect", won.intersectAll(low))).unionByName(count("except", won.exceptAll(low)))
+
+
+@query()
+def approx_distinct_samples(spark, sf_dir):
+    rounded = docs_v(spark, sf_dir).select(r6_array("features").cast("string").alias("f"), "cloud_fraction")
+    return rounded.agg(F.approx_count_distinct("f", 0.02).alias("approx"), F.countDistinct("f").alias("exact"), F.percentile_approx("cloud_fraction", 0.5, 1000).alias("median_cf"))
+
+
+_VERSIONS = [(1, "2024-01-01", "2024-01-11"), (2, "2024-01-11", "2024-01-21"), (3, "2024-01-21", "2024-03-01")]
+
+
+@query("SELECT version, count(*) AS n, round(sum(value), 2) AS total FROM events JOIN (VALUES (1, TIMESTAMP '2024-01-01', TIMESTAMP '2024-01-11'), (2, TIMESTAMP '2024-01-11', TIMESTAMP '2024-01-21'), (3, TIMESTAMP '2024-01-21', TIMESTAMP '2024-03-01')) v(version, valid_from, valid_to) ON ts >= valid_from AND ts < valid_to GROUP BY version")
+def asof_model_version(spark, sf_dir):
+    versions = spark.createDataFrame(_VERSIONS, "version int, f string, t string").select("version", F.col("f").cast("timestamp_ntz").alias("valid_from"), F.col("t").cast("timestamp_ntz").alias("valid_to"))
+    joined = load(spark, sf_dir, "events", "ts", "value").join(F.broadcast(versions), (F.col("ts") >= F.col("valid_from")) & (F.col("ts") < F.col("valid_to")))
+    return joined.groupBy("version").agg(F.count("*").alias("n"), F.round(F.sum("value"), 2).alias("total"))
+
+
+@query("SELECT json_extract_string(props, '$.k') AS k, count(*) AS n FROM events GROUP BY 1")
+def events_json_props(spark, sf_dir):
+    return load(spark, sf_dir, "events", "props").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n"))
+
+
+from . import stream_queries  # noqa: E402,F401  registers the streaming queries
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Trains a 4 x 3 map on document histograms and reads its regimes: (regime, n, cloud_fraction, rfo)."""
+    x = docs_v(spark, sf_dir)
+    model = fit_map(x, MapConfig(ROWS, COLS, max_passes=10), key=["doc_id"])
+    return regimes.regime_centroids(model.classify(x), 42).select("regime", "n", "cloud_fraction", "rfo")
+
+
+__all__ = ["queries", "oracle_sql", "flagship", "grid_frame", "partial", "squared_distance"]
