@@ -8,7 +8,7 @@ unfilled place is run again with a later limit, so the result doesn't depend on
 
 Equal bags share a class without comparison. Others meet in bands: each is checked by its exact multiset overlap
 against the smallest member of each of its buckets, the links give classes, and then all pairs of a bucket that still lie in different classes
-are checked. Thus every pair of a bucket is either checked or in one class already, and a large group of near copies costs a row per
+are checked, but for those whose one-bit sketches of the signature differ too much for the threshold (seven deviations). Thus every pair of a bucket is either checked or in one class already, and a large group of near copies costs a row per
 member. A class is a connected component.
 
 Null ids, and null, empty and blank texts, link with nothing and stay. Texts under five words are one shingle of all their words. Rows that
@@ -31,6 +31,7 @@ from .shingles import mix, multiset_jaccard, shingle_lists
 
 WIDTH = 5
 BANDS, ROWS = 32, 5
+SKETCH = ("s0", "s1", "s2")
 _GOLD = 0x9E3779B97F4A7C15
 _WORD = (1 << 64) - 1
 
@@ -123,9 +124,19 @@ def signature_table(documents: DataFrame, id_col: str = "doc_id", text_col: str
         flat = pa.array(keys.view(np.int64).ravel())
         bands = pa.ListArray.from_arrays(pa.array(np.arange(len(bags) + 1, dtype=np.int32) * BANDS), flat)
         sizes = pa.array([len(b) for b in bags], pa.int64())
-        return pa.RecordBatch.from_arrays([ids, sizes, pa.array(prints[:, 0]), pa.array(prints[:, 1]), bands], ["id", "n", "f1", "f2", "bands"])
+        bits = np.zeros((len(bags), 192), np.uint8)
+        bits[:, : BANDS * ROWS] = (mix(times.reshape(len(bags), -1)) >> np.uint64(40)) & np.uint64(1)
+        sketch = np.packbits(bits, axis=1).view(np.int64)
+        columns = [ids, sizes, pa.array(prints[:, 0]), pa.array(prints[:, 1]), bands, *[pa.array(sketch[:, k]) for k in range(3)]]
+        return pa.RecordBatch.from_arrays(columns, ["id", "n", "f1", "f2", "bands", *SKETCH])
 
-    return data.mapInArrow(run, "id bigint, n bigint, f1 bigint, f2 bigint, bands array<bigint>")
+    return data.mapInArrow(run, "id bigint, n bigint, f1 bigint, f2 bigint, bands array<bigint>, s0 bigint, s1 bigint, s2 bigint")
+
+
+def sketch_bound(threshold: float) -> int:
+    """Bits of a sketch (one per signature place) in which a pair at the threshold may differ: seven deviations above the mean."""
+    p = (1 - threshold) / 2
+    return int(BANDS * ROWS * p + 7 * (BANDS * ROWS * p * (1 - p)) ** 0.5)
 
 
 def _verified(pairs: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
@@ -152,7 +163,7 @@ def near_duplicates(documents: DataFrame, *, threshold: float = 0.8, id_col: str
     banded = (
         signed.join(first_of.withColumnRenamed("rep", "id"), ["f1", "f2", "id"], "left_semi")
         .dropDuplicates(["id"])
-        .select(F.col("id").alias("rep"), "n", F.posexplode("bands").alias("band", "key"))
+        .select(F.col("id").alias("rep"), "n", *SKETCH, F.posexplode("bands").alias("band", "key"))
     )
     hubs = banded.groupBy("band", "key").agg(F.min("rep").alias("hub"), F.count("*").alias("members")).where("members > 1").drop("members")
     shared_bands = shared.materialize(banded.join(hubs, ["band", "key"]), "bag-buckets")
@@ -166,10 +177,12 @@ def near_duplicates(documents: DataFrame, *, threshold: float = 0.8, id_col: str
     # buckets that still hold several classes: their pairs across classes
     placed = shared_bands.join(classes.withColumnRenamed("node", "rep"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
     mixed = placed.groupBy("band", "key").agg(F.min("component").alias("c0"), F.max("component").alias("c1")).where("c0 < c1").select("band", "key")
-    open_ = shared.materialize(placed.join(mixed, ["band", "key"]).select("band", "key", "rep", "n", "component", "hub"), "bag-open")
-    left = open_.select("band", "key", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("component").alias("c_a"), "hub")
-    right = open_.select("band", "key", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("component").alias("c_b"))
-    across = left.join(right, ["band", "key"]).where((F.col("a") < F.col("b")) & (F.col("c_a") != F.col("c_b")) & (F.col("a") != F.col("hub")) & close("n_a", "n_b"))
+    open_ = shared.materialize(placed.join(mixed, ["band", "key"]).select("band", "key", "rep", "n", "component", "hub", *SKETCH), "bag-open")
+    left = open_.select("band", "key", F.col("rep").alias("a"), F.col("n").alias("n_a"), F.col("component").alias("c_a"), "hub", *SKETCH)
+    right = open_.select("band", "key", F.col("rep").alias("b"), F.col("n").alias("n_b"), F.col("component").alias("c_b"), *[F.col(c).alias("r" + c) for c in SKETCH])
+    differ = sum((F.bit_count(F.col(c).bitwiseXOR(F.col("r" + c))) for c in SKETCH), F.lit(0))
+    unlike = (F.col("a") < F.col("b")) & (F.col("c_a") != F.col("c_b")) & (F.col("a") != F.col("hub"))
+    across = left.join(right, ["band", "key"]).where(unlike & close("n_a", "n_b") & (differ <= sketch_bound(threshold)))
     more = shared.materialize(_verified(across.select("a", "b").distinct(), texts, threshold), "bag-more")
     classes = connected_components(links.union(more).union(classes.select(F.col("node").alias("a"), F.col("component").alias("b"))))
     rep_class = first_of.join(classes.withColumnRenamed("node", "rep"), "rep", "left").select("f1", "f2", F.coalesce("component", "rep").alias("component"))
