@@ -28,6 +28,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
+from .shared import per_worker
+
 #: Rolling-hash window in bytes (a power of two).
 ROLL = 16
 
@@ -213,13 +215,14 @@ class ChunkCodec:
             return tokens
         return self.tokenizer.decode([int(i) for i in ids.split(" ")] if ids else [], skip_special_tokens=False)
 
-    def route(self, text: str) -> int:
-        """Smallest chunk hash of a text: equal for copies, mostly for near copies."""
-        raw, at, least = text.encode("utf-8", "surrogatepass"), 0, (1 << 63) - 1
-        for cut in chunk_cuts(raw, self.bits, self.least):
-            least = min(least, xxhash.xxh3_64_intdigest(raw[at:cut]) >> 1)
-            at = cut
-        return least
+
+def route(text: str, bits: int = 10, least: int = 256) -> int:
+    """Smallest chunk hash of a text: equal for copies, mostly for near copies."""
+    raw, at, smallest = text.encode("utf-8", "surrogatepass"), 0, (1 << 63) - 1
+    for cut in chunk_cuts(raw, bits, least):
+        smallest = min(smallest, xxhash.xxh3_64_intdigest(raw[at:cut]) >> 1)
+        at = cut
+    return smallest
 
 
 def _slices(texts: pa.Array, most: int = 2_000_000) -> Iterator[list[str]]:
@@ -248,15 +251,14 @@ def encode_documents(documents: DataFrame, tokenizer_path: str, *, id_col: str =
     kind = data.schema["id"].dataType.simpleString()
 
     def routed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        codec = ChunkCodec(spec)
         for batch in batches:
-            routes = pa.array([codec.route(t.as_py() or "") for t in batch.column("text")], pa.int64())
+            routes = pa.array([route(t.as_py() or "") for t in batch.column("text")], pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("text"), routes], ["id", "text", "route"])
 
     def coded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         gc.disable()  # many small lists, no cycles
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
-        codec = ChunkCodec(spec)
+        codec = per_worker(("codec", hash(spec)), lambda: ChunkCodec(spec))
         sha = lambda s: hashlib.sha256(s.encode("utf-8", "surrogatepass")).hexdigest()
         for batch in batches:
             done = 0

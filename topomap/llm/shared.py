@@ -5,7 +5,9 @@ from __future__ import annotations
 import atexit
 import contextlib
 import shutil
+import sys
 import tempfile
+import types
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -51,7 +53,17 @@ def materialize(df: DataFrame, label: str) -> DataFrame:
     path = f"{scratch_root(spark)}/{label}-{uuid.uuid4().hex}"
     with _conf(spark, "spark.sql.classic.shuffleDependency.fileCleanup.enabled", "true"):
         df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    table = spark.read.schema(df.schema).parquet(path)
+    table.scratch_path = path
+    return table
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables that ``materialize`` gave and that nothing reads any more: what was made of them is written itself."""
+    for table in tables:
+        spark = table.sparkSession
+        path = spark._jvm.org.apache.hadoop.fs.Path(table.scratch_path)
+        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def words(text: Column) -> Column:
@@ -66,3 +78,11 @@ def word_count(text: Column) -> Column:
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
+
+
+def per_worker(key: tuple, make):
+    """An object that a Python worker makes once and keeps for its later tasks. Its memory must be bounded."""
+    store = sys.modules.setdefault("_topomap_worker", types.ModuleType("_topomap_worker")).__dict__
+    if key not in store:
+        store[key] = make()
+    return store[key]

@@ -27,6 +27,8 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .shared import per_worker
+
 #: The pre-token rule that byte-level files without a pattern of their own imply (fixed value).
 BYTE_LEVEL_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 NO_PAIR = np.int64(1) << 40
@@ -181,7 +183,7 @@ def count_tokens(documents: DataFrame, tokenizer_path: str, limit: int, *, id_co
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         gc.disable()  # millions of small lists, no cycles
-        counter = PieceCounter(spec)
+        counter = per_worker(("counter", hash(spec)), lambda: PieceCounter(spec))
         for batch in batches:
             texts = pc.fill_null(batch.column("text"), "")
             n_bytes = pc.cast(pc.binary_length(texts), pa.int64())
