@@ -5,8 +5,8 @@ Jaccard of ``NUM / DEN`` or more with it. Lines of equal sets are told by a 128-
 line is entered under its first ``n - ceil(t n) + 1`` words only; two lines that meet must pass the length filter, the positional filter and a
 bitmap filter (bits that differ can't outnumber the words that may differ), which lose no match. Pairs left over are verified on whole sets.
 
-Rarity is the word's count over all lines, in doublings, read from a counting sketch of ``2 ** SKETCH_BITS`` cells: what is sent to tasks is 1 MB whatever the input,
-and words that share a cell only share a rarity. Ties are ordered by hash, so the order is the same for all lines.
+Rarity is the word's count over all lines in four levels, read from a counting sketch of ``CELLS`` cells: what is sent to tasks is 256 KB whatever the
+input, and words that share a cell only share a level. Within a level words are ordered by hash, so the order is the same for all lines.
 
 To know that an earlier line exists, a line is first tried against the earliest line under each of its words; only lines without
 success there meet all others under their words. So a large group of alike lines costs a row per member and word, not a pair per pair.
@@ -23,7 +23,10 @@ from pyspark.sql import functions as F
 from . import shared
 
 NUM, DEN = 4, 5
-SKETCH_BITS = 20
+#: Cells of the counting sketch: three of two bits in each byte, so that a byte is an ASCII character.
+CELLS = 3 << 18
+#: A cell's level is how many of these its count exceeds; they grow with the mean count of a cell beyond 32.
+LEVELS = (4, 32, 512)
 HASH_BITS = 58
 
 
@@ -34,18 +37,22 @@ def _lines(documents: DataFrame, id_col: str, text_col: str) -> DataFrame:
 
 
 def _cell(hashed: Column) -> Column:
-    return hashed.bitwiseAND(F.lit((1 << SKETCH_BITS) - 1))
+    return F.pmod(hashed, F.lit(CELLS)).cast("int")
 
 
 def rarity_sketch(documents: DataFrame, id_col: str, text_col: str) -> Column:
-    """The doublings of each cell's word count, a byte per cell, as a constant of ``2 ** SKETCH_BITS`` bytes."""
+    """The levels of all cells as a constant of ``CELLS / 3`` bytes (three cells and the bit 64 in each), put together before it reaches the driver."""
     text = documents.where(F.col(id_col).isNotNull()).select(shared.words(F.col(text_col)).alias("words"))
     cells = text.select(F.explode(F.transform("words", lambda w: _cell(F.xxhash64(w)))).alias("cell"))
-    counts = cells.groupBy("cell").agg(F.count("*").alias("n"))
-    levels = bytearray(1 << SKETCH_BITS)
-    for row in counts.select(F.col("cell").cast("int").alias("cell"), F.floor(F.log2(F.col("n") + 1)).cast("int").alias("level")).toLocalIterator():
-        levels[row["cell"]] = row["level"]
-    return F.lit(bytes(levels))
+    counts = shared.materialize(cells.groupBy("cell").agg(F.count("*").alias("n")), "word-cells")
+    unit = max(1.0, (counts.agg(F.sum("n")).first()[0] or 0) / CELLS / 32)
+    level = sum(((F.col("n") > F.lit(unit * x)).cast("int") for x in LEVELS), F.lit(0))
+    packed = counts.groupBy(F.floor(F.col("cell") / 3).cast("int").alias("at")).agg(F.sum(F.call_function("shiftleft", level, 2 * (F.col("cell") % 3))).cast("byte").alias("value"))
+    every = documents.sparkSession.range(CELLS // 3).select(F.col("id").cast("int").alias("at")).join(packed, "at", "left")
+    listed = every.agg(F.array_sort(F.collect_list(F.struct("at", F.coalesce("value", F.lit(0)).cast("int").alias("value")))).alias("cells"))
+    text = listed.select(F.array_join(F.transform("cells", lambda c: F.char(c["value"] + 64)), "")).first()[0]
+    shared.discard(counts)
+    return F.lit(text.encode("ascii"))
 
 
 def _tokens(words: Column, levels: Column) -> Column:
@@ -58,7 +65,9 @@ def _tokens(words: Column, levels: Column) -> Column:
 
 
 def _ranked(h: Column, levels: Column) -> Column:
-    level = F.ascii(F.substring(levels, _cell(h).cast("int") + 1, F.lit(1)).cast("string"))
+    cell = _cell(h)
+    byte = F.ascii(F.substring(levels, F.floor(cell / 3).cast("int") + 1, F.lit(1)).cast("string"))
+    level = F.call_function("shiftright", byte, 2 * (cell % 3)).bitwiseAND(F.lit(3))
     return F.shiftleft(level.cast("long"), HASH_BITS).bitwiseOR(h.bitwiseAND(F.lit((1 << HASH_BITS) - 1)))
 
 
@@ -108,10 +117,12 @@ def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str
         F.count("*").alias("members"), F.min("id").alias("hub"), F.min_by(packed, "id").alias("hub_at"), F.min_by("bits", "id").alias("hub_bits")
     )
     hubs = shared.materialize(hubs.where("members > 1"), "line-hubs")
-    met = shared.materialize(entries.join(hubs, "token"), "line-entries")
     hub_n, hub_i = F.shiftright("hub_at", 32).cast("int"), F.col("hub_at").bitwiseAND(F.lit((1 << 32) - 1)).cast("int")
-    tried = met.where((F.col("hub") < F.col("id")) & _may_match(F.col("n"), F.col("i"), F.col("bits"), hub_n, hub_i, F.col("hub_bits")))
-    tried = shared.materialize(tried.select(F.col("id").alias("a"), F.col("hub").alias("b")).distinct(), "line-tried")
+    success = (F.col("hub") < F.col("id")) & _may_match(F.col("n"), F.col("i"), F.col("bits"), hub_n, hub_i, F.col("hub_bits"))
+    met = entries.join(hubs, "token").withColumn("hub", F.when(success, F.col("hub"))).where("hub is not null or members > 2")
+    met = shared.materialize(met.select("token", "id", "n", "i", "bits", "members", "hub"), "line-entries")
+    tried = shared.materialize(met.where("hub is not null").groupBy(F.col("id").alias("a")).agg(F.min("hub").alias("b")), "line-tried")
+    shared.discard(hubs)
     entered = met.where("members > 2").select("token", "id", "n", "i", "bits")
 
     def all_earlier(later: DataFrame) -> DataFrame:
@@ -132,7 +143,9 @@ def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str
         tokens = shared.materialize(again.select("id", _tokens(F.col("words"), levels).alias("tokens")), "line-tokens")
         both = pairs.join(tokens.toDF("a", "x"), "a").join(tokens.toDF("b", "y"), "b")
         enough = F.size(F.array_intersect("x", "y")) >= _needed(F.size("x"), F.size("y"))
-        return shared.materialize(both.where(enough).select("a", "b"), "line-matches")
+        found = shared.materialize(both.where(enough).select("a", "b"), "line-matches")
+        shared.discard(tokens, ids)
+        return found
 
     matches = verified(pairs)
     # lines whose only trial was a false one meet the others after all
@@ -141,6 +154,7 @@ def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str
         more = shared.materialize(all_earlier(entered.join(failed.withColumnRenamed("a", "id"), "id", "left_semi")), "line-pairs")
         if not more.isEmpty():
             matches = matches.union(verified(more))
+    shared.discard(met)
     gone = repeats.union(matches.select(F.col("a").alias("id")))
     return gone.select(F.shiftright("id", shift).alias("doc"), F.col("id").bitwiseAND(F.lit((1 << shift) - 1)).cast("int").alias("line")).groupBy("doc").agg(F.collect_set("line").alias("lines"))
 
