@@ -259,13 +259,15 @@ def _context_rows(units: Units) -> Callable:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         best: dict[tuple[bytes, int], tuple[int, int, int]] = {}  # context and its anchor's place in it -> smallest document, start, stop
+        again: list[tuple[tuple[bytes, int], tuple[int, int, int]]] = []  # equal contexts elsewhere in the same document
         settled: list[tuple[int, int, int]] = []
         size = 8 if units.kind == "words" else 1
 
         def flush() -> pa.RecordBatch:
-            rows = [(c[rel * size : (rel + units.gram) * size], d, s, rel, c, None) for (c, rel), (d, s, e) in best.items()]
+            rows = [(c[rel * size : (rel + units.gram) * size], d, s, rel, c, None) for (c, rel), (d, s, e) in [*best.items(), *again]]
             rows += [(None, d, s, None, None, e) for d, s, e in settled]
             best.clear()
+            again.clear()
             settled.clear()
             return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows), schema.types)], schema=schema)
 
@@ -289,7 +291,9 @@ def _context_rows(units: Units) -> Callable:
                         best[key] = row_id, lo, hi
                     elif row_id > seen[0]:
                         settled.append((row_id, lo, hi))
-                if len(best) + len(settled) > 60_000:
+                    elif lo != seen[1]:
+                        again.append((key, (row_id, lo, hi)))
+                if len(best) + len(again) + len(settled) > 60_000:
                     yield flush()
         if best or settled:
             yield flush()
