@@ -288,6 +288,16 @@ def test_line_dedup_against_all_pairs(request, which):
     assert left.columns == df.columns and 5 not in {r["doc_id"] for r in left.collect()} or which == "docs"
 
 
+def test_line_dedup_tries_every_hub(spark):
+    """A copy whose few edits stand in an earlier, unlike line: no word has more than two lines, and the first trial is a false one."""
+    for seed in range(3):
+        w = [f"s{seed}w{k}" for k in range(8000)]
+        unlike, like = w[:4000], w[4000:8000]
+        listed = [(1, " ".join(unlike)), (2, " ".join(like)), (3, " ".join(like[200:] + unlike[:200]))]
+        rows = line_dedup.line_report(spark.createDataFrame(listed, "doc_id long, text string")).collect()
+        assert {(r["doc_id"], 0) for r in rows if r["n_removed"]} == lines_removed(listed) == {(3, 0)}
+
+
 def test_mixing_twin(spark):
     assert compare.mismatch(spark, SF, catalogue.op7_mixing, catalogue.OP7_SQL) == ""
 

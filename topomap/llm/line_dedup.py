@@ -8,7 +8,7 @@ bitmap filter (bits that differ can't outnumber the words that may differ), whic
 Rarity is the word's count over all lines in four levels, read from a counting sketch of ``CELLS`` cells: what is sent to tasks is 256 KB whatever the
 input, and words that share a cell only share a level. Within a level words are ordered by hash, so the order is the same for all lines.
 
-To know that an earlier line exists, a line is first tried against the earliest line under each of its words; only lines without
+To know that an earlier line exists, a line is first tried against the earliest of the lines that come first under its words; only lines without
 success there meet all others under their words. So a large group of alike lines costs a row per member and word, not a pair per pair.
 
 Null ids, null and empty texts lose nothing. Rows that repeat an id are one document. Very long lines are sets like others. An empty table gives
@@ -121,7 +121,8 @@ def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str
     success = (F.col("hub") < F.col("id")) & _may_match(F.col("n"), F.col("i"), F.col("bits"), hub_n, hub_i, F.col("hub_bits"))
     met = entries.join(hubs, "token").withColumn("hub", F.when(success, F.col("hub"))).where("hub is not null or members > 2")
     met = shared.materialize(met.select("token", "id", "n", "i", "bits", "members", "hub"), "line-entries")
-    tried = shared.materialize(met.where("hub is not null").groupBy(F.col("id").alias("a")).agg(F.min("hub").alias("b")), "line-tried")
+    passing = met.where("hub is not null").select(F.col("id").alias("a"), F.col("hub").alias("b"))
+    tried = shared.materialize(passing.groupBy("a").agg(F.min("b").alias("b")), "line-tried")
     shared.discard(hubs)
     entered = met.where("members > 2").select("token", "id", "n", "i", "bits")
 
@@ -148,10 +149,11 @@ def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str
         return found
 
     matches = verified(pairs)
-    # lines whose only trial was a false one meet the others after all
+    # lines whose only trial was a false one meet the others after all: the other hubs, which alone tell of words of two members, and all under larger words
     failed = shared.materialize(tried.select("a").distinct().join(matches.select("a").distinct(), "a", "left_anti"), "line-failed")
     if not failed.isEmpty():
-        more = shared.materialize(all_earlier(entered.join(failed.withColumnRenamed("a", "id"), "id", "left_semi")), "line-pairs")
+        others = passing.join(failed, "a", "left_semi").union(all_earlier(entered.join(failed.withColumnRenamed("a", "id"), "id", "left_semi"))).distinct()
+        more = shared.materialize(others.join(tried, ["a", "b"], "left_anti"), "line-pairs")
         if not more.isEmpty():
             matches = matches.union(verified(more))
     shared.discard(met)
