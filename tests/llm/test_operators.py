@@ -84,6 +84,18 @@ def test_quality_agrees_with_labels(spark):
     assert good / (good + counts.get((1, False), 0)) > 0.98 and bad / (bad + counts.get((0, True), 0)) > 0.9
 
 
+def test_a_noisy_rule_is_outweighed(spark):
+    """Verse without full stops beside prose: the rule of sentences alone rejects it and is told to be noisy; junk that others don't speak for still goes."""
+    word = lambda i, k: "".join(chr(97 + b % 26) for b in hashlib.md5(f"{i} {k}".encode()).digest()[:6])
+    prose = lambda i, stop: " ".join(word(i, k) + (stop if k % 10 == 9 else "") for k in range(80))
+    verse = [(i, prose(i, "")) for i in range(100)]
+    good = [(i, prose(i, ".")) for i in range(100, 300)]
+    junk = [(i, " ".join(f"{word(i, k)} $$" for k in range(45)) + " no stop") for i in range(300, 350)]
+    report = quality_rules.quality_report(spark.createDataFrame(verse + good + junk, "doc_id long, text string"))
+    kept = {r["doc_id"] for r in report.collect() if r["kept"]}
+    assert kept >= {i for i, _ in verse + good} and not kept & {i for i, _ in junk}
+
+
 def test_keep_good_keeps_columns(odd):
     kept = quality_rules.keep_good(odd)
     assert kept.columns == odd.columns and {r["doc_id"] for r in kept.collect()} >= {4, 5, 6}

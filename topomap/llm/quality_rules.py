@@ -2,9 +2,9 @@
 
 Rules read per-document features and vote good (1), bad (-1) or abstain (0). Votes of equal pattern are counted
 (at most 3 ** rules patterns, so what is gathered is bounded by the rules, not by the documents), and
-expectation-maximisation over the counted patterns estimates each rule's accuracy and the share of good
-documents. A document is kept if it passes the base limits and its posterior probability of being good
-reaches the threshold.
+expectation-maximisation over the counted patterns estimates how many of a rule's bad votes are false: those on documents
+that the other rules speak for as often as for good ones. A document is kept if it passes the base limits and its posterior
+probability of being good reaches the threshold, so the bad vote of a noisy rule can be outweighed.
 
 Null and blank texts have no words, fail the base limits and are not kept. Equal rows get equal results. In an empty table there is
 nothing to fit and nothing comes out. Windows of five words are found by hash and sorted inside the row, so a very long
@@ -102,60 +102,101 @@ RULES = (
     Rule("length", lambda: F.col("n_words") < 10, _never),
 )
 
-#: Bounds of a rule's chance to vote bad on a good and on a bad document. They are apart, so that the two classes can't swap,
-#: and low: kinds of junk hardly overlap, so unbounded estimates would take one kind for the whole class.
-FALSE_ALARM = (0.0002, 0.002)
-HIT = (0.1, 0.35)
-PRIOR = (0.5, 0.9)
+#: Sound elsewhere, of a document and a rule: every other rule that can speak for it does. A rule's junk is so at most this many times as often as good
+#: documents are, or its bad votes count as chance. That alone keeps good documents and junk apart; accuracies have no other bounds.
+APART = 0.8
+#: A rule has so many true bad votes beforehand, so that a handful of votes doesn't condemn it, and at the start so large a share of false ones.
+TRUST = 10.0
+DOUBT = 0.2
 
 
 def base_failed() -> Column:
     return (F.col("n_words") < 10) | (100 * F.col("n_repeat_words") > 20 * F.col("n_words"))
 
 
-def fit_rules(features: DataFrame, rules: tuple[Rule, ...] = RULES, rounds: int = 40) -> dict:
-    """Share of good documents (prior) and, per rule, how often it votes bad on good (alarm) and on bad documents (hit),
-    by expectation-maximisation over the counted vote patterns. An abstention says nothing."""
-    counted = features.groupBy(F.array(*[r.vote() for r in rules]).alias("v")).agg(F.count("*").cast("double").alias("n"))
+def _votes(rules: tuple[Rule, ...]) -> Column:
+    return F.array(*[r.vote() for r in rules])
+
+
+def _others(rules: tuple[Rule, ...], j: int) -> list[int]:
+    """The rules besides ``j`` that can speak for a document."""
+    return [k for k, r in enumerate(rules) if k != j and r.good is not _never]
+
+
+def _odds(votes: Column, model: Column, rules: tuple[Rule, ...]) -> Column:
+    """Per rule, how much likelier its bad vote comes from its kind of junk than from chance; 0 without a bad vote."""
+
+    def odds(j: int) -> Column:
+        r = F.get(model, j)
+        sound = F.when(_sound(votes, rules, j), r["junk"] / r["good"]).otherwise((1 - r["junk"]) / (1 - r["good"])) if _others(rules, j) else F.lit(1.0)
+        return F.when(F.get(votes, j) == -1, (1 - r["false"]) / r["false"] * sound).otherwise(0.0)
+
+    return F.array(*[odds(j) for j in range(len(rules))])
+
+
+def _sound(votes: Column, rules: tuple[Rule, ...], j: int) -> Column:
+    sound = F.lit(True)
+    for k in _others(rules, j):
+        sound = sound & (F.get(votes, k) == 1)
+    return sound
+
+
+def _posterior(odds: Column) -> Column:
+    return 1 / (1 + F.aggregate(odds, F.lit(0.0), lambda t, x: t + x))
+
+
+def fit_rules(features: DataFrame, rules: tuple[Rule, ...] = RULES, rounds: int = 40) -> list[tuple[float, float, float]]:
+    """Per rule: the share of false ones among its bad votes, and how often good documents and its junk are sound elsewhere, by
+    expectation-maximisation over the counted vote patterns. Junk is a kind per rule, as kinds hardly overlap; a bad vote on a good document is chance."""
+    counted = features.groupBy(_votes(rules).alias("v")).agg(F.count("*").cast("double").alias("n"))
     gathered = counted.agg(F.array_sort(F.collect_list(F.struct("v", "n"))).alias("patterns"))
-    clip = lambda c, bounds: F.greatest(F.lit(bounds[0]), F.least(F.lit(bounds[1]), c))
     total = lambda items, of: F.aggregate(items, F.lit(0.0), lambda t, q: t + of(q))
-    index = F.sequence(F.lit(0), F.lit(len(rules) - 1))
 
-    def expect(s: Column) -> Column:
-        return F.transform("patterns", lambda q: F.struct(q["v"].alias("v"), q["n"].alias("n"), _posterior(q["v"], s["prior"], s["alarm"], s["hit"]).alias("p")))
-
-    def maximise(s: Column) -> Column:
-        judged = s["judged"]
-        rate = lambda j, of, bounds, hits, votes: clip(
-            (total(judged, lambda q: of(q) * F.when(F.get(q["v"], j) == -1, 1.0).otherwise(0.0)) + hits) / (total(judged, lambda q: of(q) * F.abs(F.get(q["v"], j))) + votes), bounds
-        )
-        prior = total(judged, lambda q: q["n"] * q["p"]) / F.greatest(F.lit(1.0), total(judged, lambda q: q["n"]))
-        return F.struct(
-            clip(prior, PRIOR).alias("prior"),
-            F.transform(index, lambda j: rate(j, lambda q: q["n"] * q["p"], FALSE_ALARM, 0.02, 1.0)).alias("alarm"),
-            F.transform(index, lambda j: rate(j, lambda q: q["n"] * (1 - q["p"]), HIT, 0.5, 1.0)).alias("hit"),
-            F.slice(judged, 1, 0).alias("judged"),
+    def expect(model: Column) -> Column:
+        return F.transform("patterns", lambda q: F.struct(q["v"].alias("v"), q["n"].alias("n"), _odds(q["v"], model, rules).alias("odds")))
+
+    def weigh(judged: Column) -> Column:  # documents of a pattern that are good, and that are junk of each rule's kind
+        return F.transform(judged, lambda q: F.struct(q["v"].alias("v"), (q["n"] * _posterior(q["odds"])).alias("good"), F.transform(q["odds"], lambda x: x * q["n"] * _posterior(q["odds"])).alias("junk")))
+
+    def maximise(judged: Column) -> Column:
+        def rule(j: int) -> Column:
+            sound = lambda q, x: F.when(_sound(q["v"], rules, j), x).otherwise(0.0)
+            junk = total(judged, lambda q: F.get(q["junk"], j))
+            chance = total(judged, lambda q: F.when(F.get(q["v"], j) == -1, q["good"]).otherwise(0.0))
+            good = (total(judged, lambda q: sound(q, q["good"])) + 0.9) / (total(judged, lambda q: q["good"]) + 1)
+            false = (chance + TRUST * DOUBT / 100) / (chance + junk + TRUST)
+            junk_sound = (total(judged, lambda q: sound(q, F.get(q["junk"], j))) + 0.5) / (junk + 1)
+            return F.struct(false.alias("false"), good.alias("good"), F.least(junk_sound, APART * good).alias("junk"))
+
+        return F.array(*[rule(j) for j in range(len(rules))])
+
+    # a round is three steps, so that each result is made once: odds of the patterns, documents of each class, model
+    empty_odds, empty_judged = F.slice(expect(_start(rules)), 1, 0), F.slice(weigh(expect(_start(rules))), 1, 0)
+    start = F.struct(_start(rules).alias("model"), empty_odds.alias("odds"), empty_judged.alias("judged"))
+
+    def step(s: Column, i: Column) -> Column:
+        parts = lambda model, odds, judged: F.struct(model.alias("model"), odds.alias("odds"), judged.alias("judged"))
+        return (
+            F.when(i % 3 == 1, parts(s["model"], expect(s["model"]), s["judged"]))
+            .when(i % 3 == 2, parts(s["model"], s["odds"], weigh(s["odds"])))
+            .otherwise(parts(maximise(s["judged"]), s["odds"], s["judged"]))
         )
 
-    def step(s: Column, i: Column) -> Column:  # rounds alternate: posteriors of the patterns, then parameters
-        return F.when(i % 2 == 1, F.struct(s["prior"].alias("prior"), s["alarm"].alias("alarm"), s["hit"].alias("hit"), expect(s).alias("judged"))).otherwise(maximise(s))
+    fitted = gathered.select(F.aggregate(F.sequence(F.lit(1), F.lit(3 * rounds)), start, step)["model"].alias("model")).first()
+    return [tuple(r) for r in fitted["model"]]
+
 
-    none = F.slice(F.transform("patterns", lambda q: F.struct(q["v"].alias("v"), q["n"].alias("n"), F.lit(0.5).alias("p"))), 1, 0)
-    start = F.struct(F.lit(0.9).alias("prior"), F.array_repeat(F.lit(0.01), len(rules)).alias("alarm"), F.array_repeat(F.lit(0.5), len(rules)).alias("hit"), none.alias("judged"))
-    fitted = gathered.select(F.aggregate(F.sequence(F.lit(1), F.lit(2 * rounds)), start, step).alias("s")).select("s.prior", "s.alarm", "s.hit").first()
-    return {"prior": fitted["prior"], "alarm": list(fitted["alarm"]), "hit": list(fitted["hit"])}
+def _start(rules: tuple[Rule, ...]) -> Column:
+    return _constant([(DOUBT, 0.9, 0.5)] * len(rules))
 
 
-def _posterior(votes: Column, prior: Column, alarm: Column, hit: Column) -> Column:
-    weigh = lambda v, ah: F.when(v == -1, F.log(ah["a"] / ah["h"])).when(v == 1, F.log((1 - ah["a"]) / (1 - ah["h"]))).otherwise(0.0)
-    evidence = F.zip_with(votes, F.zip_with(alarm, hit, lambda a, h: F.struct(a.alias("a"), h.alias("h"))), weigh)
-    return 1 / (1 + F.exp(-(F.log(prior / (1 - prior)) + F.aggregate(evidence, F.lit(0.0), lambda t, x: t + x))))
+def _constant(model: list[tuple[float, float, float]]) -> Column:
+    return F.array(*[F.struct(*[F.lit(x).alias(n) for n, x in zip(("false", "good", "junk"), r)]) for r in model])
 
 
-def judge(features: DataFrame, model: dict, rules: tuple[Rule, ...] = RULES, threshold: float = 0.5) -> DataFrame:
+def judge(features: DataFrame, model: list[tuple[float, float, float]], rules: tuple[Rule, ...] = RULES, threshold: float = 0.5) -> DataFrame:
     """``features`` with base_failed, quality (posterior) and kept."""
-    quality = _posterior(F.array(*[r.vote() for r in rules]), F.lit(model["prior"]), F.array(*map(F.lit, model["alarm"])), F.array(*map(F.lit, model["hit"])))
+    quality = _posterior(_odds(_votes(rules), _constant(model), rules))
     return features.withColumn("base_failed", base_failed()).withColumn("quality", quality).withColumn("kept", ~F.col("base_failed") & (F.col("quality") >= threshold))
 
 
