@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 from topomap.config import MapConfig
-from topomap.operators import schedule
+from topomap.operators import schedule, train
 from topomap.operators.fold import fold_map, show
 from topomap.operators.grid import init_gradient, initial_radius, neighbourhood
 from topomap.operators.model import MapModel
@@ -60,6 +60,16 @@ def test_modes_agree_to_the_bit(spark):
     assert prints == {fit_map(df, CFG, key=["sample_id"]).fingerprint}
 
 
+@pytest.mark.parametrize("settings", [{}, {"selection": "sequential", "moves": "frozen"}, {"clock": "sample"}, {"selection": "random", "seed": 1}])
+def test_longer_lists_keep_the_serial_semantics(spark, monkeypatch, settings):
+    df = workloads.toy(spark)
+    cfg = replace(CFG, max_passes=3, **settings)
+    exact = fit_map(df, cfg, key=["sample_id"], mode="fold")
+    monkeypatch.setattr(train, "FOLD_NUMBERS", TOY.size // 3)
+    model = fit_map(df, cfg, key=["sample_id"])
+    assert model.fingerprint == exact.fingerprint and [h["moves"] for h in model.history] == [h["moves"] for h in exact.history]
+
+
 def test_layout_does_not_matter_and_seeds_do(spark):
     df = workloads.toy(spark)
     cfg = replace(CFG, max_passes=3)

@@ -1,8 +1,8 @@
 """Training in its physical modes.
 
-``fold``, ``relay`` and ``expr`` keep the serial semantics and give the same bits: fold runs all passes in one task, relay carries the
+``fold``, ``relay`` and ``expr`` keep the serial semantics and give the same bits, and ``auto`` takes fold or, for longer lists, relay: fold runs all passes in one task, relay carries the
 prototypes from block to block of a list that fits no task, expr is one Catalyst expression for small lists. ``batch``, ``shards`` and
-``sketch`` are extensions for lists too long for a serial method: order-free rounds with exact sums, a merge of maps of index ranges, and a hash sample
+``sketch`` are extensions for lists too long for a serial method, for callers who name them: order-free rounds with exact sums, a merge of maps of index ranges, and a hash sample
 followed by batch rounds.
 """
 
@@ -28,6 +28,8 @@ from .schedule import influence, radius_at, weights_at
 
 #: Training lists up to so many numbers (8 bytes each) fold in one task.
 FOLD_NUMBERS = 200_000_000
+#: Samples in a block of a longer list, or fewer where so many don't fit a task.
+RELAY_ROWS = 1_000_000
 SKETCH_ROWS = 100_000
 #: Fixed point of order-free sums: features in [0, 1] times this, as integers.
 FIXED = 1 << 24
@@ -60,7 +62,10 @@ def fit_map(df: DataFrame, cfg: MapConfig, *, key: list[str], features: str = "f
     n, dim = shape_of(data, features)
     cfg = cfg.resolved(n)
     if mode == "auto":
-        mode = "fold" if n * dim <= FOLD_NUMBERS else "sketch"
+        mode = "fold"
+        # the same bits, in blocks that fit a task; a random order has no blocks
+        if n * dim > FOLD_NUMBERS and cfg.selection in ("staggered", "sequential"):
+            mode, options = "relay", {"block": max(1, min(RELAY_ROWS, FOLD_NUMBERS // dim))} | options
     if mode == "fold":
         return _fit_fold(data, cfg, key, features, given)
     if mode == "batch":
@@ -103,7 +108,7 @@ def iter_blocks(t: int, n: int, block: int) -> list[tuple[int, int, int]]:
     return out
 
 
-def fit_relay(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None, *, block: int = 1_000_000) -> MapModel:
+def fit_relay(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None, *, block: int = RELAY_ROWS) -> MapModel:
     """Blocks of the list are written once, sorted; a pass visits them in order and carries the prototypes on.
 
     Winners of a pass are written block by block and joined to the next visit; the driver sees prototypes and counts only.
@@ -117,7 +122,7 @@ def fit_relay(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None,
     prototypes, history, reason = start_prototypes(cfg, dim, given), [], ""
     winners: DataFrame | None = None
     for t in range(cfg.max_passes):
-        began, moves, seen = time.perf_counter(), 0, []
+        began, moves, seen, shown, before = time.perf_counter(), 0, [], 0, prototypes
         pieces = iter_blocks(t if cfg.selection == "staggered" else 0, n, block)
         weights = pass_weights(cfg, t, n)
         for lo, hi, step in pieces:
@@ -127,13 +132,16 @@ def fit_relay(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None,
                 rows = rows.join(winners.where(F.col("sample_index").between(a, b)), "sample_index", "left")
             else:
                 rows = rows.withColumn("winner", F.lit(-1))
-            out = written(rows.select("sample_index", "features", F.coalesce("winner", F.lit(-1)).alias("winner")).repartition(1).sortWithinPartitions("sample_index").mapInArrow(_relay_step(prototypes, weights, step, a), "sample_index bigint, winner int, prototypes array<double>, moves bigint"), "relay-visit")
+            out = written(rows.select("sample_index", "features", F.coalesce("winner", F.lit(-1)).alias("winner")).repartition(1).sortWithinPartitions("sample_index").mapInArrow(_relay_step(prototypes, weights, step, a, shown), "sample_index bigint, winner int, prototypes array<double>, moves bigint"), "relay-visit")
             told = out.where("prototypes is not null").first()
             prototypes, moves = np.array(told["prototypes"]).reshape(cfg.nodes, dim), moves + told["moves"]
             seen.append(out.where("prototypes is null").select("sample_index", "winner"))
+            shown += b - a + 1
         winners = seen[0]
         for s in seen[1:]:
             winners = winners.union(s)
+        if cfg.moves == "frozen":
+            moves = _frozen_moves(blocks, prototypes, before) if t else n
         history.append(history_row(cfg, t, n, moves, time.perf_counter() - began))
         if cfg.stop == "no_moves" and t and not moves:
             reason = "no_moves"
@@ -141,13 +149,26 @@ def fit_relay(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None,
     return MapModel(prototypes, cfg, history, reason or ("horizon" if cfg.max_passes == cfg.horizon else "max_passes"))
 
 
-def _relay_step(prototypes: np.ndarray, weights, step: int, first: int):
+def _frozen_moves(blocks: DataFrame, now: np.ndarray, before: np.ndarray) -> int:
+    """Samples whose nearest prototype after a pass isn't the one before it."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            if len(b):
+                x = feature_matrix(b.column("features"))
+                yield pa.RecordBatch.from_arrays([pa.array([int((nearest_two(x, now)[0] != nearest_two(x, before)[0]).sum())], pa.int64())], ["moves"])
+
+    return blocks.select("features").mapInArrow(run, "moves bigint").agg(F.sum("moves")).first()[0]
+
+
+def _relay_step(prototypes: np.ndarray, weights, step: int, first: int, shown: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = [b for b in batches if len(b)]
         x = np.concatenate([feature_matrix(b.column("features")) for b in parts])
         winners = np.concatenate([b.column("winner").to_numpy(zero_copy_only=False) for b in parts]).astype(np.int64)
         moved = prototypes.copy()
-        moves = show(moved, x, range(len(x)) if step > 0 else range(len(x) - 1, -1, -1), weights, winners)
+        at = (lambda i: weights(shown + i)) if callable(weights) else weights
+        moves = show(moved, x, range(len(x)) if step > 0 else range(len(x) - 1, -1, -1), at, winners)
         names = ["sample_index", "winner", "prototypes", "moves"]
         kinds = [pa.int64(), pa.int32(), pa.list_(pa.float64()), pa.int64()]
         none = [None] * len(x)
