@@ -163,6 +163,17 @@ def test_vectors_against_all_pairs(spark):
     assert link.sum() > 20
 
 
+@pytest.mark.parametrize("dim", [1, 2, 3, 4])
+def test_short_vectors_against_all_pairs(spark, dim):
+    rng = np.random.default_rng(dim)
+    x = rng.normal(size=(300, dim))
+    df = spark.createDataFrame([(i, [float(v) for v in r], 0) for i, r in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    got = {r["vec_id"]: r["n_links"] for r in embedding_dedup.linked_vectors(df).collect()}
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    link = (unit @ unit.T >= 0.93) & ~np.eye(len(x), dtype=bool)
+    assert [got[i] for i in range(len(x))] == link.sum(axis=1).tolist()
+
+
 def test_signatures_estimate_weighted_jaccard():
     rng = np.random.default_rng(5)
     a = np.sort(rng.integers(0, 2**63, 900).astype(np.uint64))

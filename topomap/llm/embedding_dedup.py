@@ -4,7 +4,7 @@ Vectors of one label and length are compared by cosine in double precision. Equa
 for each of K rotations (three rounds of random signs and a fast Hadamard transform), the coordinate of largest size and its sign;
 besides its own bucket a vector probes those that take a runner-up coordinate in one rotation, or in two. K grows with the largest label, so that
 buckets stay small, and the number of tables with K. Candidates must agree in most of 128 sign bits (a bound six deviations wide at the threshold) before
-their cosine is computed, so unlike vectors that share a bucket don't become rows.
+their cosine is computed, so unlike vectors that share a bucket don't become rows. Sign bits of short vectors depend on each other, so these have no such filter.
 
 Null, empty and zero vectors, vectors with null or non-finite components, and rows with a null label or id, link with nothing: they have
 0 links and are kept as their own component. An empty table gives an empty result. Equal rows count as different vectors.
@@ -25,6 +25,8 @@ from .components import connected_components
 
 SEED = 20240229
 TABLES = 12
+#: Vectors of fewer components are padded to so many, and their candidates go straight to the cosine.
+SHORT = 16
 
 
 def hadamard(x: np.ndarray) -> np.ndarray:
@@ -38,10 +40,14 @@ def hadamard(x: np.ndarray) -> np.ndarray:
     return x / math.sqrt(d)
 
 
+def padded_length(dim: int) -> int:
+    """A power of two, and no less than ``SHORT``: rotations of fewer coordinates repeat a few directions."""
+    return max(SHORT, 1 << max(1, (dim - 1).bit_length()))
+
+
 def rotations(dim: int, count: int) -> np.ndarray:
     """Signs of ``count`` rotations: count x 3 x padded dim."""
-    padded = 1 << max(1, (dim - 1).bit_length())
-    return np.random.Generator(np.random.PCG64(SEED + dim)).choice(np.array([-1.0, 1.0]), size=(count, 3, padded))
+    return np.random.Generator(np.random.PCG64(SEED + dim)).choice(np.array([-1.0, 1.0]), size=(count, 3, padded_length(dim)))
 
 
 def rotate(x: np.ndarray, signs: np.ndarray) -> np.ndarray:
@@ -98,7 +104,7 @@ def linked_vectors(embeddings: DataFrame, *, threshold: float = 0.93, id_col: st
     largest = firsts.groupBy("label", F.size("x").alias("dim")).count().agg(F.max("count"), F.max("dim")).first()
     if largest[0] is None:
         return embeddings.select(F.col(id_col), F.lit(0).cast("long").alias("n_links"), F.col(id_col).cast("long").alias("component_id"), F.lit(True).alias("kept"))
-    k = max(1, math.ceil(math.log(max(2, largest[0])) / math.log(2 * (1 << max(1, (int(largest[1]) - 1).bit_length())))))
+    k = max(1, math.ceil(math.log(max(2, largest[0])) / math.log(2 * padded_length(int(largest[1])))))
     tables = TABLES * 2 ** max(0, k - 2)
 
     def hashed(probes: bool):
@@ -112,10 +118,9 @@ def linked_vectors(embeddings: DataFrame, *, threshold: float = 0.93, id_col: st
                         part = batch.take(pa.array(rows[lo : lo + 1000]))
                         x = part.column("x").flatten().to_numpy().reshape(-1, dim)
                         x = x / np.abs(x).max(axis=1, keepdims=True)
-                        padded = 1 << max(1, (dim - 1).bit_length())
-                        signs = rotations(dim, tables * k + -(-128 // padded))
+                        signs = rotations(dim, tables * k + -(-128 // padded_length(dim)))
                         b = buckets_of(x, signs, tables, k, probes)
-                        bits = sign_bits(x, signs[tables * k :])
+                        bits = sign_bits(x, signs[tables * k :]) if dim >= SHORT else np.zeros((len(x), 2), np.int64)
                         n, t, p = b.shape
                         who = np.repeat(np.arange(n), t * p)
                         table = np.tile(np.repeat(np.arange(t), p), n).astype(np.int32)
