@@ -128,3 +128,14 @@ def test_kmeans_against_numpy(spark):
         w = ((x[:, None] - c[None]) ** 2).sum(2).argmin(1)
         c = np.array([x[w == k].mean(0) for k in range(3)])
     assert np.allclose(centers, c, atol=1e-6)
+
+
+def test_registered_sketch_has_the_default_sample(spark):
+    from topomap.plans import catalogue
+
+    sf = "/root/testdata/sf0.01"
+    docs = catalogue.docs_v(spark, sf)
+    rows = lambda df: sorted(map(tuple, df.collect()))
+    small = catalogue._trained(docs, ["doc_id"], catalogue.SHORT, mode="sketch", sample=300)[1]
+    whole = catalogue._trained(docs, ["doc_id"], catalogue.SHORT, mode="sketch")[1]
+    assert rows(catalogue.queries()["sketch_map_docs"](spark, sf)) == rows(whole) != rows(small)

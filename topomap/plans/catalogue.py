@@ -443,7 +443,7 @@ def shard_map_docs(spark, sf_dir):
 
 @query()
 def sketch_map_docs(spark, sf_dir):
-    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="sketch", sample=300)[1]
+    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="sketch")[1]
 
 
 @query("SELECT 1::BIGINT AS distinct_fingerprints")
