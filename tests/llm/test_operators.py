@@ -321,6 +321,16 @@ def test_line_dedup_tries_every_hub(spark):
         assert {(r["doc_id"], 0) for r in rows if r["n_removed"]} == lines_removed(listed) == {(3, 0)}
 
 
+def test_line_dedup_of_wide_ids(spark):
+    texts = ["a b\nc d\ne f", "c d\nx y\ng h", "x y\nz z z\na b", "k l\nm n\ng h"]
+    listed = list(zip([-(2**63), -(2**62) - 5, 2**62, 2**63 - 1], texts))
+    rows = {r["doc_id"]: r for r in line_dedup.line_report(spark.createDataFrame(listed, "doc_id long, text string")).collect()}
+    gone = lines_removed(listed)
+    for i, t in listed:
+        kept = "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in gone)
+        assert (rows[i]["n_removed"], rows[i]["kept_sha256"]) == (sum(a == i for a, _ in gone), hashlib.sha256(kept.encode()).hexdigest())
+
+
 def test_mixing_twin(spark):
     assert compare.mismatch(spark, SF, catalogue.op7_mixing, catalogue.OP7_SQL) == ""
 

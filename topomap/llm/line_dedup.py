@@ -20,6 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.ordering import dense_index
 from . import shared
 
 NUM, DEN = 4, 5
@@ -93,8 +94,27 @@ def _bitmap(tokens: Column) -> Column:
     return F.aggregate(tokens, F.lit(0).cast("long"), lambda s, t: s.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), t.bitwiseAND(F.lit(63)).cast("int"))))
 
 
+def _numbered(documents: DataFrame, id_col: str) -> DataFrame:
+    """(owner, number): the ids and their places among the distinct ids."""
+    ids = documents.select(F.col(id_col).cast("long").alias("owner")).where("owner is not null").distinct()
+    return shared.materialize(dense_index(ids, ["owner"], "number"), "line-numbers")
+
+
 def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc, lines): for each document that loses lines, the places of the lines it loses."""
+    doc = F.col(id_col).cast("long")
+    lines = F.size(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"))
+    low, high, most = documents.where(doc.isNotNull()).agg(F.min(doc), F.max(doc), F.max(lines)).first()
+    room = 63 - max(1, int(most or 0).bit_length())
+    if low is None or -(1 << room) <= low and high < 1 << room:
+        return _removed(documents, id_col, text_col)
+    # ids that leave no room for the line in a long give way to their places in order
+    numbers = _numbered(documents, id_col)
+    placed = documents.select(doc.alias("owner"), F.col(text_col).alias("text")).join(numbers, "owner").select("number", "text")
+    return _removed(placed, "number", "text").join(numbers.withColumnRenamed("number", "doc"), "doc").select(F.col("owner").alias("doc"), "lines")
+
+
+def _removed(documents: DataFrame, id_col: str, text_col: str) -> DataFrame:
     levels = rarity_sketch(documents, id_col, text_col)
     sets = _lines(documents, id_col, text_col).select("doc", "line", _tokens(F.col("words"), levels).alias("tokens"))
     n = F.size("tokens")
