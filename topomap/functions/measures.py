@@ -81,6 +81,14 @@ def node_shift(a: np.ndarray, b: np.ndarray) -> float:
     return float(np.sqrt(((a - b) ** 2).sum(axis=1)).max())
 
 
+def best_match(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """For each prototype of ``a`` its highest histogram correlation with one of ``b``; NaN where all are constant."""
+    x, y = a - a.mean(axis=1, keepdims=True), b - b.mean(axis=1, keepdims=True)
+    scale = np.sqrt((x * x).sum(axis=1))[:, None] * np.sqrt((y * y).sum(axis=1))[None, :]
+    corr = np.divide(x @ y.T, scale, out=np.full(scale.shape, np.nan), where=scale > 1e-9)
+    return np.nanmax(corr, axis=1)
+
+
 def node_balance(assigned: DataFrame, nodes: int, wanted: float) -> DataFrame:
     """(node, n, ratio) with empty nodes, n over the samples per node asked for."""
     counts = assigned.groupBy("node").agg(F.count("*").alias("n"))

@@ -33,13 +33,12 @@ def rfo_map(assigned: DataFrame, cell: str, regimes: int, *, denominator: DataFr
 
     ``denominator``: (cell, total) to divide by, for all days; else valid records count.
     """
-    counts = assigned.groupBy(cell, F.col("node").alias("regime")).agg(F.count("*").alias("n"))
-    cells = counts.groupBy(cell).agg(F.sum("n").alias("total")) if denominator is None else denominator
-    # a row per cell and regime: the grid's size times the cells, whatever the records
-    frame = cells.select(cell, "total", F.explode(F.sequence(F.lit(0), F.lit(regimes - 1))).alias("regime"))
-    joined = frame.join(counts, [cell, "regime"], "left")
-    n = F.coalesce("n", F.lit(0))
-    return joined.select(cell, "regime", n.alias("n"), (n / F.col("total")).alias("rfo"))
+    # one aggregate by cell: a count per regime, then a row per cell and regime
+    sums = assigned.groupBy(cell).agg(F.count("*").alias("total"), *[F.count_if(F.col("node") == k).alias(f"__{k}") for k in range(regimes)])
+    if denominator is not None:
+        sums = denominator.select(cell, F.col("total").alias("__total")).join(sums.drop("total"), cell, "left").withColumnRenamed("__total", "total")
+    counts = F.array(*[F.coalesce(F.col(f"__{k}"), F.lit(0)) for k in range(regimes)])
+    return sums.select(cell, "total", F.posexplode(counts).alias("regime", "n")).select(cell, "regime", "n", (F.col("n") / F.col("total")).alias("rfo"))
 
 
 def pair_correlation(values: DataFrame, regime: str, place: str, value: str) -> DataFrame:

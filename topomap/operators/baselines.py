@@ -5,6 +5,8 @@ from __future__ import annotations
 import json
 from collections.abc import Iterator
 from dataclasses import replace
+from functools import reduce
+from operator import or_
 
 import numpy as np
 import pyarrow as pa
@@ -15,7 +17,7 @@ from ..config import MapConfig
 from .distance import feature_matrix, find_winners
 from .fold import fold_map, fold_samples
 from .model import MapModel
-from .train import checked, exact_node_sums
+from .train import FOLD_NUMBERS, checked, exact_node_sums, fit_map, shape_of
 
 #: The ablation: standard, with gradient start, with both devices, and the corner left out.
 VARIANTS = {
@@ -31,8 +33,11 @@ def variant(cfg: MapConfig, name: str, seed: int = 1) -> MapConfig:
 
 
 def fit_many(df: DataFrame, configs: dict[str, MapConfig], *, key: list[str], features: str = "features") -> dict[str, MapModel]:
-    """Several trainings side by side, each a serial fold in a task of its own; the list is sent to each."""
+    """Several trainings side by side, each a serial fold in a task of its own; the list is sent to each. Lists that fit no task train one after another."""
     spark = df.sparkSession
+    n, dim = shape_of(checked(df.select(*key, features), features, "drop"), features)
+    if n * dim > FOLD_NUMBERS:
+        return {name: fit_map(df, cfg, key=key, features=features) for name, cfg in configs.items()}
     names = spark.createDataFrame([(name,) for name in configs], "run string")
     data = checked(df.select(*key, features), features, "drop")
 
@@ -59,8 +64,17 @@ def standard_runs(df: DataFrame, cfg: MapConfig, seeds: list[int], *, key: list[
 
 
 def maps_per_group(df: DataFrame, group: str, cfg: MapConfig, *, key: list[str], features: str = "features") -> DataFrame:
-    """(group, node, prototype, n): a map per group, each in a task of its own. A group must fit a task, as any serial fold."""
+    """(group, node, prototype, n): a map per group, each in a task of its own; groups that fit no task, of which there are few, train by relay."""
     kind = df.schema[group].dataType.simpleString()
+    counts = df.groupBy(group).agg(F.count("*").alias("n"), F.max(F.size(features)).alias("dim"))
+    large = [(r[group], r["n"]) for r in counts.where(F.col("n") * F.col("dim") > FOLD_NUMBERS).collect()]
+    if large:
+        parts = []
+        for value, n in large:
+            model = fit_map(df.where(F.col(group).eqNullSafe(F.lit(value))), cfg, key=key, features=features)
+            parts.append(model.frame(df.sparkSession).select(F.lit(value).cast(kind).alias(group), "node", "prototype", F.lit(n).cast("long").alias("n")))
+        rest = df.where(~reduce(or_, [F.col(group).eqNullSafe(F.lit(v)) for v, _ in large]))
+        return reduce(DataFrame.unionByName, [maps_per_group(rest, group, cfg, key=key, features=features), *parts])
 
     def run(table: pa.Table) -> pa.Table:
         table = table.sort_by([(k, "ascending") for k in key])
@@ -114,6 +128,11 @@ def fit_ml_kmeans(df: DataFrame, k: int = 10, *, seed: int = 1, rounds: int = 20
 
 
 def _folded(df: DataFrame, key: list[str], columns: list[str], learn) -> np.ndarray:
+    """What ``learn`` makes of the whole list in the order of ``key``, in one task: serial learners have no other way, so a list that fits no task is refused."""
+    n, dim = shape_of(df, columns[0])
+    if n * dim > FOLD_NUMBERS:
+        raise ValueError(f"{n} records of {dim} numbers fit no task; a serial learner takes at most {FOLD_NUMBERS} numbers")
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = [b for b in batches if len(b)]
         if parts:

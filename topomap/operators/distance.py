@@ -48,20 +48,26 @@ def nearest_two(x: np.ndarray, prototypes: np.ndarray) -> tuple[np.ndarray, np.n
     order = np.argsort(rough, axis=1, kind="stable")
     first = order[:, 0]
     second = order[:, 1] if rough.shape[1] > 1 else np.full(len(x), -1)
-    exact = np.zeros(len(x))
+    return first, second, strict_to(x, prototypes[first])
+
+
+def strict_to(x: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """Squared distance of each row to its chosen prototype, summed from left to right."""
+    out = np.zeros(len(x))
     for i in range(x.shape[1]):
-        exact += (x[:, i] - prototypes[first, i]) ** 2
-    return first, second, exact
+        out += (x[:, i] - chosen[:, i]) ** 2
+    return out
 
 
 def feature_matrix(column: pa.Array) -> np.ndarray:
     return column.flatten().to_numpy(zero_copy_only=False).reshape(len(column), -1).astype(np.float64, copy=False)
 
 
-def find_winners(df: DataFrame, prototypes: np.ndarray, *, features: str = "features", strategy: str = "auto", runner_up: bool = False) -> DataFrame:
+def find_winners(df: DataFrame, prototypes: np.ndarray, *, features: str = "features", strategy: str = "auto", runner_up: bool = False, groups: int | None = None) -> DataFrame:
     """``df`` with node and distance (and second, with ``runner_up``); no shuffle in any strategy.
 
-    ``join`` crosses with a broadcast of the K prototypes, ``expr`` writes them into the expression, ``arrow`` multiplies matrices per batch.
+    ``join`` crosses with a broadcast of the K prototypes, ``expr`` writes them into the expression, ``arrow`` multiplies matrices per batch. ``tree`` looks
+    for the nearest of ``groups`` heads (the root of K by default) and then among its nodes only: cheaper for very large maps, and not exact.
     K x D is fixed by the grid and never grows with the data.
     """
     k, dim = prototypes.shape
@@ -78,14 +84,19 @@ def find_winners(df: DataFrame, prototypes: np.ndarray, *, features: str = "feat
         crossed = df.crossJoin(F.broadcast(protos))
         best = F.array_min(F.transform("__protos", lambda p: F.struct(squared_distance(F.col(features), p["prototype"]).alias("d2"), p["node"].alias("node"))))
         return crossed.withColumn("__best", best).withColumn("node", F.col("__best.node")).withColumn("distance", F.sqrt("__best.d2")).drop("__best", "__protos")
-    if strategy != "arrow":
+    if strategy not in ("arrow", "tree"):
         raise ValueError(f"no strategy {strategy!r}")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if not len(batch):
                 continue
-            first, second, d2 = nearest_two(feature_matrix(batch.column(features)), prototypes)
+            x = feature_matrix(batch.column(features))
+            if strategy == "tree":
+                first = two_level_winners(x, prototypes, groups or max(1, round(k**0.5)))
+                d2, second = strict_to(x, prototypes[first]), None
+            else:
+                first, second, d2 = nearest_two(x, prototypes)
             columns = [*batch.columns, pa.array(first.astype(np.int32)), pa.array(np.sqrt(d2))]
             names = [*batch.schema.names, "node", "distance"]
             if runner_up:

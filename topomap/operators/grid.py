@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
 
 import numpy as np
@@ -44,8 +45,15 @@ def init_gradient(rows: int, cols: int, dim: int) -> np.ndarray:
     return np.repeat(np.array(gradient_values(rows, cols))[:, None], dim, axis=1)
 
 
+def drawn(*parts: int) -> int:
+    """52 bits drawn from a hash of the parts, the same here, in Catalyst and in SQL."""
+    return int(hashlib.md5(":".join(map(str, parts)).encode()).hexdigest()[:13], 16)
+
+
 def init_random(rows: int, cols: int, dim: int, seed: int, low: float = 0.0, high: float = 1.0) -> np.ndarray:
-    return np.random.Generator(np.random.PCG64(seed)).uniform(low, high, size=(rows * cols, dim))
+    """Uniform values, each drawn from a hash of seed, node and component."""
+    unit = np.array([[drawn(seed, k, i) / 2.0**52 for i in range(dim)] for k in range(rows * cols)])
+    return low + (high - low) * unit
 
 
 def init_gradient_frame(spark: SparkSession, rows: int, cols: int, dim: int) -> DataFrame:
@@ -59,7 +67,8 @@ def init_random_frame(spark: SparkSession, rows: int, cols: int, dim: int, seed:
     """A random start from a hash of seed, node and component: equal for equal seeds on any cluster."""
 
     def value(i: Column) -> Column:
-        return F.pmod(F.xxhash64(F.lit(seed), F.col("node"), i), F.lit(1 << 52)) / F.lit(float(1 << 52))
+        hashed = F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("node").cast("string"), i.cast("string")).cast("binary"))
+        return F.conv(F.substring(hashed, 1, 13), 16, 10).cast("double") / F.lit(float(1 << 52))
 
     return grid_frame(spark, rows, cols).withColumn("prototype", F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), value))
 

@@ -6,6 +6,8 @@ when it is odd, wrapping around. So an order is one ``pmod`` of the sample index
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -51,9 +53,12 @@ def order_sequential(n: int, t: int = 0) -> np.ndarray:
 
 
 def order_random(n: int, t: int, seed: int, replacement: bool = False) -> np.ndarray:
-    """A permutation per pass (or draws with replacement), fixed by seed, pass and nothing else."""
-    rng = np.random.Generator(np.random.PCG64([seed, t]))
-    return rng.integers(0, n, n) if replacement else rng.permutation(n)
+    """A permutation per pass (or draws with replacement), fixed by seed, pass and nothing else: samples in the order of a hash of seed, pass and index."""
+    hashed = [hashlib.md5(b"%d:%d:%d" % (seed, t, i)).digest() for i in range(n)]
+    if replacement:
+        return np.array([int.from_bytes(h[:6], "big") % n for h in hashed], np.int64)
+    words = np.frombuffer(b"".join(hashed), ">u8").reshape(n, 2)
+    return np.lexsort((words[:, 1], words[:, 0]))
 
 
 def order_of(selection: str, n: int, t: int, seed: int | None) -> np.ndarray:
@@ -79,7 +84,7 @@ def staggered_orders(indexed: DataFrame, n: int, passes: int) -> DataFrame:
 def random_orders(indexed: DataFrame, passes: int, seed: int) -> DataFrame:
     """(t, position, sample_index) by a seeded hash: the sort per pass that the staggered order saves."""
     ts = indexed.sparkSession.range(passes).withColumnRenamed("id", "t")
-    drawn = indexed.select("sample_index").crossJoin(F.broadcast(ts)).withColumn("draw", F.xxhash64(F.lit(seed), "t", "sample_index"))
+    drawn = indexed.select("sample_index").crossJoin(F.broadcast(ts)).withColumn("draw", F.md5(F.concat_ws(":", F.lit(str(seed)), F.col("t").cast("string"), F.col("sample_index").cast("string")).cast("binary")))
     place = F.row_number().over(Window.partitionBy("t").orderBy("draw", "sample_index")) - 1
     return drawn.select("t", place.cast("long").alias("position"), "sample_index")
 

@@ -31,6 +31,7 @@ FOLD_NUMBERS = 200_000_000
 #: Samples in a block of a longer list, or fewer where so many don't fit a task.
 RELAY_ROWS = 1_000_000
 SKETCH_ROWS = 100_000
+EXPR_ROWS = 100_000
 #: Fixed point of order-free sums: features in [0, 1] times this, as integers.
 FIXED = 1 << 24
 
@@ -179,7 +180,9 @@ def _relay_step(prototypes: np.ndarray, weights, step: int, first: int, shown: i
 
 
 def fit_expr(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None) -> MapModel:
-    """A pass is ``aggregate`` over the sorted list with the prototypes as its state: no Python worker. For small lists."""
+    """A pass is ``aggregate`` over the sorted list with the prototypes as its state: no Python worker. For lists of up to ``EXPR_ROWS`` samples, which are one row."""
+    if n > EXPR_ROWS:
+        raise ValueError(f"mode expr holds the list in one row: {n} samples are more than {EXPR_ROWS}; use fold or relay")
     prototypes, history, reason = start_prototypes(cfg, dim, given), [], ""
     listed = written(indexed.agg(F.array_sort(F.collect_list(F.struct("sample_index", "features"))).alias("samples")), "expr-list")
     last: list[int] = [-1] * n
@@ -218,22 +221,27 @@ def exact_node_sums(assigned: DataFrame, dim: int, features: str = "features") -
 
 def fit_batch(data: DataFrame, cfg: MapConfig, features: str, dim: int, given=None, *, rounds: int | None = None) -> MapModel:
     """Order-free rounds: winners, exact sums per node, influence-weighted means. One shuffle of at most tasks x K rows a round."""
-    prototypes, history = start_prototypes(cfg, dim, given), []
+    prototypes, history, before = start_prototypes(cfg, dim, given), [], None
     distance = distance_matrix(cfg.rows, cfg.cols, cfg.neighbourhood)
     rounds = rounds or cfg.max_passes
+    # every round scans the records: what makes them runs once
+    data = written(data.select(F.col(features).alias("features")), "batch-records")
+    features = "features"
     for t in range(rounds):
         began = time.perf_counter()
         sums = exact_node_sums(find_winners(data.select(features), prototypes, features=features), dim, features)
         radius = radius_at(t, cfg.horizon, min(cfg.rows, cfg.cols) / 2)
         h = np.where(distance <= radius, np.round(influence(distance, radius, cfg.base), 12), 0.0)
+        n = int(sum(s[0] for s in sums.values()))
+        # samples whose winner isn't the one of the round before
+        moves = n if before is None else _frozen_moves(data, prototypes, before)
         moved = prototypes.copy()
         for k in range(cfg.nodes):
             mass = sum(h[j, k] * sums[j][0] for j in sorted(sums))
             if mass > 0:
                 moved[k] = sum(h[j, k] * sums[j][1] for j in sorted(sums)) / mass
-        moves = int((np.abs(moved - prototypes).max(axis=1) > 0).sum())
-        prototypes = moved
-        history.append(history_row(cfg, t, max(1, int(sum(s[0] for s in sums.values()))), moves, time.perf_counter() - began))
+        before, prototypes = prototypes, moved
+        history.append(history_row(cfg, t, max(1, n), moves, time.perf_counter() - began))
         if cfg.stop == "no_moves" and not moves:
             return MapModel(prototypes, cfg, history, "no_moves")
     return MapModel(prototypes, cfg, history, "max_passes")
@@ -245,6 +253,8 @@ def fit_shards(indexed: DataFrame, cfg: MapConfig, n: int, dim: int, given=None,
     Shards are ranges of the sample index, never physical partitions, and merge in their order: the result doesn't depend on the layout.
     """
     size = -(-n // shards)
+    if size * dim > FOLD_NUMBERS:
+        raise ValueError(f"a shard of {size} records fits no task: ask for {-(-n * dim // FOLD_NUMBERS)} shards or more")
     with_shard = indexed.withColumn("shard", F.floor(F.col("sample_index") / size).cast("int"))
 
     def run(table: pa.Table) -> pa.Table:

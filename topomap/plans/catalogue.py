@@ -3,7 +3,8 @@
 from __future__ import annotations
 
 from collections.abc import Callable
-from functools import partial
+from dataclasses import replace
+from functools import partial, reduce
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -15,9 +16,10 @@ from ..functions import measures, regimes
 from ..operators import baselines, ordering, schedule
 from ..operators.distance import find_winners, squared_distance, top_nodes
 from ..operators.grid import grid_distances, grid_frame, init_gradient, init_gradient_frame, init_random_frame
-from ..operators.train import fit_map, fit_self_tuned
+from ..operators.train import count_moves, fit_map, fit_self_tuned
 from ..sources import workloads
-from ..sources.io import load
+from ..sources.io import load, read_any, write_any, write_assignments
+from ..sources.scratch import scratch_path
 from . import twins as T
 
 _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -68,12 +70,31 @@ def gradient(dim: int) -> np.ndarray:
     return init_gradient(ROWS, COLS, dim)
 
 
+#: Passes of the maps that the regime queries read.
+DOC_PASSES, NATION_PASSES = 2, 1
+
+
+def docs_map(spark, sf_dir):
+    """The reproducible map of the document histograms."""
+    return fit_map(docs_v(spark, sf_dir), MapConfig(ROWS, COLS, max_passes=DOC_PASSES), key=["doc_id"])
+
+
+def nations_map(spark, sf_dir):
+    return fit_map(nations_v(spark, sf_dir), MapConfig(ROWS, COLS, max_passes=NATION_PASSES), key=["n_nationkey", "period"])
+
+
 def docs_won(spark, sf_dir, **options) -> DataFrame:
-    return find_winners(docs_v(spark, sf_dir), gradient(42), **options)
+    """Documents with the regimes of their trained map."""
+    return find_winners(docs_v(spark, sf_dir), docs_map(spark, sf_dir).prototypes, **options)
 
 
 def cells_won(spark, sf_dir) -> DataFrame:
-    return find_winners(cells_v(spark, sf_dir), gradient(42))
+    """Cells with the regimes of the map trained on the coarser records by nation."""
+    return find_winners(cells_v(spark, sf_dir), nations_map(spark, sf_dir).prototypes)
+
+
+_DOCS_WON = [T.DOCS, T.trained("docs_v", 42, DOC_PASSES), T.winners("won", "docs_v", 42)]
+_CELLS_WON = [T.NATIONS, T.CELLS, T.trained("nations_v", 42, NATION_PASSES), T.winners("won", "cells_v", 42)]
 
 
 # --- grid, schedule, orders
@@ -108,9 +129,9 @@ def init_gradient_4x3_d42(spark, sf_dir):
     return init_gradient_frame(spark, ROWS, COLS, 42).withColumn("prototype", r6_array("prototype"))
 
 
-@query()
+@query(T.with_(T.random_start(42, 1)) + f"SELECT node::INT AS node, (node // 3)::INT AS row, (node % 3)::INT AS col, {T.rounded('prototype')} AS prototype FROM protos")
 def init_random_hashed(spark, sf_dir):
-    return init_random_frame(spark, ROWS, COLS, 42, seed=1)
+    return init_random_frame(spark, ROWS, COLS, 42, seed=1).withColumn("prototype", r6_array("prototype"))
 
 
 _POSITION = "CASE WHEN t.range % 2 = 0 THEN (i - t.range // 2 + n) % n ELSE (n - 1 - (t.range - 1) // 2 - i + n) % n END"
@@ -257,12 +278,12 @@ def _winner_sql(ctes: str, source: str, dim: int, keys: str) -> str:
 
 @query(_winner_sql(T.CELLS, "cells_v", 42, "l_suppkey, period"))
 def winners_gradient_cells(spark, sf_dir):
-    return cells_won(spark, sf_dir).select("l_suppkey", "period", "node", r6("distance").alias("distance"))
+    return find_winners(cells_v(spark, sf_dir), gradient(42)).select("l_suppkey", "period", "node", r6("distance").alias("distance"))
 
 
 @query(_winner_sql(T.DOCS, "docs_v", 42, "doc_id"))
 def winners_gradient_docs(spark, sf_dir):
-    return docs_won(spark, sf_dir).select("doc_id", "node", r6("distance").alias("distance"))
+    return find_winners(docs_v(spark, sf_dir), gradient(42)).select("doc_id", "node", r6("distance").alias("distance"))
 
 
 @query(_winner_sql(T.VECTORS, "vectors_v", 64, "vec_id"))
@@ -277,21 +298,21 @@ def winners_gradient_line(spark, sf_dir):
 
 @query(T.with_(T.DOCS) + "SELECT count(*) AS samples, count(*) AS agree FROM docs_v")
 def winners_strategies_agree(spark, sf_dir):
-    x = docs_v(spark, sf_dir)
-    ways = [find_winners(x, gradient(42), strategy=s).select("doc_id", F.col("node").alias(s), F.round("distance", 9).alias(s + "_d")) for s in ("join", "expr", "arrow")]
+    x, prototypes = docs_v(spark, sf_dir), docs_map(spark, sf_dir).prototypes
+    ways = [find_winners(x, prototypes, strategy=s).select("doc_id", F.col("node").alias(s), F.round("distance", 9).alias(s + "_d")) for s in ("join", "expr", "arrow")]
     both = ways[0].join(ways[1], "doc_id").join(ways[2], "doc_id")
     same = (F.col("join") == F.col("expr")) & (F.col("expr") == F.col("arrow")) & (F.col("join_d") == F.col("expr_d")) & (F.col("expr_d") == F.col("arrow_d"))
     return both.agg(F.count("*").alias("samples"), F.count_if(same).alias("agree"))
 
 
-@query(T.with_(T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42)) + "SELECT doc_id, node::INT AS node, second::INT AS second FROM won")
+@query(T.with_(*_DOCS_WON) + "SELECT doc_id, node::INT AS node, second::INT AS second FROM won")
 def second_best_docs(spark, sf_dir):
     return docs_won(spark, sf_dir, strategy="arrow", runner_up=True).select("doc_id", "node", "second")
 
 
-@query(T.with_(T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42)) + "SELECT doc_id, (place - 1)::INT AS place, node::INT AS node, round(sqrt(d2), 6) AS distance FROM won_k WHERE place <= 3")
+@query(T.with_(*_DOCS_WON) + "SELECT doc_id, (place - 1)::INT AS place, node::INT AS node, round(sqrt(d2), 6) AS distance FROM won_k WHERE place <= 3")
 def topk_nodes_docs(spark, sf_dir):
-    return top_nodes(docs_v(spark, sf_dir).select("doc_id", "features"), gradient(42), 3).select("doc_id", "place", "node", r6("distance").alias("distance"))
+    return top_nodes(docs_v(spark, sf_dir).select("doc_id", "features"), docs_map(spark, sf_dir).prototypes, 3).select("doc_id", "place", "node", r6("distance").alias("distance"))
 
 
 @query(
@@ -358,23 +379,29 @@ def classify_docs_regime(spark, sf_dir):
     return fit_map(x, MapConfig(ROWS, COLS, max_passes=1), key=["doc_id"]).classify(x).select("doc_id", "node")
 
 
-@query()
-def train_docs_ablation(spark, sf_dir):
-    return _histories(spark, sf_dir, {name: baselines.variant(SHORT, name) for name in baselines.VARIANTS})
-
-
-def _histories(spark, sf_dir, configs, extra=()) -> DataFrame:
-    """(run, pass, ..., moves, quantization_error at the end)."""
+def _histories(spark, sf_dir, configs) -> DataFrame:
+    """(run, pass, radius, rate, moves, stop_reason, quantization_error at the end) of several trainings on the document histograms."""
     x = docs_v(spark, sf_dir).select("doc_id", "features").cache()
     parts = []
     for name, model in baselines.fit_many(x, configs, key=["doc_id"]).items():
         error = measures.quantization_error(model.classify(x)).first()[0]
-        parts.append(model.history_frame(spark).drop("seconds").withColumn("run", F.lit(name)).withColumn("stop_reason", F.lit(model.stop_reason)).withColumn("quantization_error", F.lit(error)))
+        parts.append(model.history_frame(spark).select(F.lit(name).alias("run"), "pass", r6("radius").alias("radius"), r6("rate").alias("rate"), "moves", F.lit(model.stop_reason).alias("stop_reason"), F.lit(round(error, 6)).alias("quantization_error")))
     x.unpersist()
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+    return reduce(DataFrame.unionByName, parts)
+
+
+def _histories_sql(configs: dict[str, MapConfig]) -> str:
+    runs = {f"r{j}": (name, c) for j, (name, c) in enumerate(configs.items())}
+    ctes = [T.run(p, "docs_v", 42, min(c.max_passes, c.horizon), init=c.init, selection=c.selection, seed=c.seed or 1, horizon=str(c.horizon), rate=c.initial_rate, stop=c.stop) for p, (_, c) in runs.items()]
+    return T.with_(T.DOCS, *ctes, recursive=True) + " UNION ALL ".join(T.history(p, name, "docs_v", 42) for p, (name, _) in runs.items())
+
+
+_ABLATION = {name: baselines.variant(SHORT, name) for name in baselines.VARIANTS}
+
+
+@query(_histories_sql(_ABLATION))
+def train_docs_ablation(spark, sf_dir):
+    return _histories(spark, sf_dir, _ABLATION)
 
 
 @query("SELECT 1::BIGINT AS distinct_fingerprints, 4::BIGINT AS runs")
@@ -386,66 +413,100 @@ def determinism_fingerprints(spark, sf_dir):
     return spark.createDataFrame([(p,) for p in prints], "p string").agg(F.countDistinct("p").alias("distinct_fingerprints"), F.count("*").alias("runs"))
 
 
-@query()
+_SEEDS = (1, 2, 3)
+_SEED_PAIRS = [(a, b) for a in _SEEDS for b in _SEEDS if a < b]
+
+
+def _agreement_sql() -> str:
+    ctes = [T.run(f"s{i}", "docs_v", 42, SHORT.max_passes, init="random", selection="random", seed=i, horizon=str(SHORT.horizon)) for i in _SEEDS]
+    ctes += [T.winners(f"won{i}", "docs_v", 42, f"s{i}_p") for i in _SEEDS]
+    parts = []
+    for a, b in _SEED_PAIRS:
+        p = f"{a}{b}"
+        ctes += [
+            f"ct{p} AS (SELECT x.node AS a, y.node AS b, count(*)::DOUBLE AS n FROM won{a} x JOIN won{b} y USING (sample_index) GROUP BY 1, 2)",
+            f"m{p} AS (SELECT (SELECT sum(n * (n - 1) / 2) FROM ct{p}) AS both_, (SELECT sum(n) FROM ct{p}) AS n, (SELECT sum(m * (m - 1) / 2) FROM (SELECT sum(n) AS m FROM ct{p} GROUP BY a)) AS a, (SELECT sum(m * (m - 1) / 2) FROM (SELECT sum(n) AS m FROM ct{p} GROUP BY b)) AS b)",
+            f"g{p} AS (SELECT max(sqrt({T.distance(42, 'x.prototype', 'y.prototype')})) AS node_shift FROM s{a}_p x JOIN s{b}_p y USING (node))",
+            f"c{p} AS (SELECT x.node, max({T.LIST_PEARSON.format(x='x.prototype', y='y.prototype')}) AS corr FROM s{a}_p x, s{b}_p y GROUP BY x.node)",
+        ]
+        parts.append(
+            f"SELECT '{a}' AS run_a, '{b}' AS run_b, round((n * (n - 1) / 2 + 2 * both_ - a - b) / (n * (n - 1) / 2), 6) AS rand, round((both_ - a * b / (n * (n - 1) / 2)) / ((a + b) / 2 - a * b / (n * (n - 1) / 2)), 6) AS adjusted_rand, round(node_shift, 6) AS node_shift, round((SELECT min(corr) FROM c{p}), 6) AS worst_best_match FROM m{p}, g{p}"
+        )
+    return T.with_(T.DOCS, *ctes, recursive=True) + " UNION ALL ".join(parts)
+
+
+@query(_agreement_sql())
 def standard_runs_agreement(spark, sf_dir):
+    """How far three random runs agree: Rand, adjusted Rand, the largest shift of a node, and the worst of the nodes' best histogram correlations with the other run."""
     x = docs_v(spark, sf_dir).select("doc_id", "features").cache()
-    models = baselines.standard_runs(x, SHORT, [1, 2, 3], key=["doc_id"])
+    models = baselines.standard_runs(x, SHORT, list(_SEEDS), key=["doc_id"])
     parts = []
-    for a, b in (("1", "2"), ("1", "3"), ("2", "3")):
-        agreed = measures.run_agreement(models[a].classify(x), models[b].classify(x), ["doc_id"])
-        parts.append(agreed.withColumn("run_a", F.lit(a)).withColumn("run_b", F.lit(b)).withColumn("node_shift", F.lit(measures.node_shift(models[a].prototypes, models[b].prototypes))))
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+    for a, b in _SEED_PAIRS:
+        one, two = models[str(a)], models[str(b)]
+        agreed = measures.run_agreement(one.classify(x), two.classify(x), ["doc_id"]).select(r6("rand").alias("rand"), r6("adjusted_rand").alias("adjusted_rand"))
+        worst = float(measures.best_match(one.prototypes, two.prototypes).min())
+        parts.append(agreed.select(F.lit(str(a)).alias("run_a"), F.lit(str(b)).alias("run_b"), "rand", "adjusted_rand", F.lit(round(measures.node_shift(one.prototypes, two.prototypes), 6)).alias("node_shift"), F.lit(round(worst, 6)).alias("worst_best_match")))
+    return reduce(DataFrame.unionByName, parts)
 
 
-@query()
+_RATES = {f"rate {r}": SHORT.with_rate(r) for r in (0.5, 0.3, 0.1, 0.05, 0.01)}
+
+
+@query(_histories_sql(_RATES))
 def rate_sweep_docs(spark, sf_dir):
-    return _histories(spark, sf_dir, {f"rate {r}": SHORT.with_rate(r) for r in (0.5, 0.3, 0.1, 0.05, 0.01)})
+    return _histories(spark, sf_dir, _RATES)
 
 
-@query()
+_STOPS = {f"{stop} {r}": replace(SHORT.with_rate(r), stop=stop, horizon=10) for stop in ("max", "no_moves") for r in (0.1, 0.2, 0.3)}
+
+
+@query(_histories_sql(_STOPS))
 def stop_rule_compare(spark, sf_dir):
-    from dataclasses import replace
+    return _histories(spark, sf_dir, _STOPS)
 
-    return _histories(spark, sf_dir, {f"{stop} {r}": replace(SHORT.with_rate(r), stop=stop, horizon=10) for stop in ("max", "no_moves") for r in (0.1, 0.2, 0.3)})
 
+_ORDERS = {s: replace(SHORT, selection=s, seed=1) for s in ("sequential", "random", "random_replace", "staggered")}
 
-@query()
+
+@query(_histories_sql(_ORDERS))
 def order_compare(spark, sf_dir):
-    from dataclasses import replace
+    return _histories(spark, sf_dir, _ORDERS)
 
-    return _histories(spark, sf_dir, {s: replace(SHORT, selection=s, seed=1) for s in ("sequential", "random", "random_replace", "staggered")})
 
+_INITS = {i: replace(SHORT, init=i, seed=1) for i in ("random", "gradient")}
 
-@query()
-def init_compare(spark, sf_dir):
-    from dataclasses import replace
 
-    return _histories(spark, sf_dir, {i: replace(SHORT, init=i, seed=1) for i in ("random", "gradient")})
+@query(_histories_sql(_INITS))
+def init_compare(spark, sf_dir):
+    return _histories(spark, sf_dir, _INITS)
 
 
-@query()
+@query(T.with_(T.DOCS, T.run("r", "docs_v", 42, 3), T.winners("won", "docs_v", 42, "r_p"), recursive=True) + "SELECT k.range::INT AS node, count(won.node) AS n, round(count(won.node) / (any_value(fold_rows) / 12.0::DOUBLE), 6) AS ratio FROM r_n, range(12) k LEFT JOIN won ON won.node = k.range GROUP BY 1")
 def self_tuned_docs(spark, sf_dir):
     x = docs_v(spark, sf_dir).select("doc_id", "features")
     n = x.count()
     model = fit_self_tuned(x, n / 12, 0.1, key=["doc_id"], max_passes=3)
-    return measures.node_balance(model.classify(x), model.cfg.nodes, n / 12)
+    return measures.node_balance(model.classify(x), model.cfg.nodes, n / 12).withColumn("ratio", r6("ratio"))
 
 
-@query()
+@query(
+    T.with_(T.CELLS, "by_nation AS (SELECT s_nationkey AS g, row_number() OVER (PARTITION BY s_nationkey ORDER BY l_suppkey, period) - 1 AS sample_index, features FROM cells_v JOIN supplier ON s_suppkey = l_suppkey)", T.run_groups("r", "by_nation", 42, 3, 2, 2), recursive=True)
+    + f"SELECT g AS n_nationkey, node::INT AS node, {T.rounded('prototype')} AS prototype, n FROM r_p JOIN r_n USING (g)"
+)
 def per_nation_maps(spark, sf_dir):
-    return baselines.maps_per_group(cells_v(spark, sf_dir).join(load(spark, sf_dir, "supplier", F.col("s_suppkey").alias("l_suppkey"), F.col("s_nationkey").alias("n_nationkey")), "l_suppkey"), "n_nationkey", MapConfig(2, 2, max_passes=3), key=["l_suppkey", "period"])
+    maps = baselines.maps_per_group(cells_v(spark, sf_dir).join(load(spark, sf_dir, "supplier", F.col("s_suppkey").alias("l_suppkey"), F.col("s_nationkey").alias("n_nationkey")), "l_suppkey"), "n_nationkey", MapConfig(2, 2, max_passes=3), key=["l_suppkey", "period"])
+    return maps.withColumn("prototype", r6_array("prototype"))
 
 
-@query()
+@query(
+    T.with_(T.DOCS, "size_ AS (SELECT (count(*) + 3) // 4 AS size FROM docs_v)", "ranges AS (SELECT sample_index // size AS g, sample_index % size AS sample_index, features FROM docs_v, size_)", T.run_groups("r", "ranges", 42, 10, 4, 3, "40"),
+            "mass AS (SELECT g, k.range AS node, sum(c * w[winner + 1][k.range + 1]) AS m FROM r_l JOIN r_w USING (g) JOIN r_z USING (g), range(12) k WHERE r_w.t <= last GROUP BY 1, 2)", recursive=True)
+    + "SELECT node::INT AS node, list(x ORDER BY i) AS prototype FROM (SELECT node, i.range AS i, round(CASE WHEN sum(m) > 0 THEN sum(m * prototype[i.range]) / sum(m) ELSE any_value(prototype[i.range]) END, 6) AS x FROM mass JOIN r_p USING (g, node), range(1, 43) i GROUP BY 1, 2) GROUP BY node"
+)
 def shard_map_docs(spark, sf_dir):
     return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="shards", shards=4)[1]
 
 
-@query()
-def sketch_map_docs(spark, sf_dir):
-    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="sketch")[1]
-
-
 @query("SELECT 1::BIGINT AS distinct_fingerprints")
 def relay_equals_fold(spark, sf_dir):
     x = docs_v(spark, sf_dir).select("doc_id", "features")
@@ -454,25 +515,23 @@ def relay_equals_fold(spark, sf_dir):
     return spark.createDataFrame([(p,) for p in prints], "p string").agg(F.countDistinct("p").alias("distinct_fingerprints"))
 
 
-# --- regimes on the winners of the gradient start
+# --- regimes of trained maps
 
-_DOCS_WON = [T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42)]
-_CELLS_WON = [T.CELLS, T.gradient(42), T.winners("won", "cells_v", 42)]
 _NATION_OF = "JOIN supplier ON s_suppkey = l_suppkey"
 
 
 @query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + f"SELECT regime::INT AS regime, n, {T.rounded('centroid')} AS centroid FROM cen")
-def regime_centroids_init(spark, sf_dir):
+def regime_centroids_docs(spark, sf_dir):
     return regimes.regime_centroids(docs_won(spark, sf_dir), 42).select("regime", "n", r6_array("centroid").alias("centroid"))
 
 
 @query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + "SELECT regime::INT AS regime, round(cloud_fraction, 6) AS cloud_fraction, round(rfo, 6) AS rfo FROM cen")
-def regime_cf_init(spark, sf_dir):
+def regime_cf_docs(spark, sf_dir):
     return regimes.regime_centroids(docs_won(spark, sf_dir), 42).select("regime", r6("cloud_fraction").alias("cloud_fraction"), r6("rfo").alias("rfo"))
 
 
 @query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + "SELECT regime::INT AS regime, CASE WHEN cloud_fraction < 0.4 THEN 'semi-clear' WHEN list_sum(centroid[1:21]) >= 0.5 * cloud_fraction THEN 'high' ELSE 'low' END AS kind FROM cen")
-def regime_kind_init(spark, sf_dir):
+def regime_kind_docs(spark, sf_dir):
     return regimes.regime_kind(regimes.regime_centroids(docs_won(spark, sf_dir), 42)).select("regime", "kind")
 
 
@@ -549,23 +608,24 @@ def similar_regimes(spark, sf_dir):
 
 
 @query(T.with_(*_DOCS_WON) + "SELECT round(avg(distance), 6) AS quantization_error FROM won")
-def quantization_error_init(spark, sf_dir):
+def quantization_error_docs(spark, sf_dir):
     return measures.quantization_error(docs_won(spark, sf_dir)).select(r6("quantization_error").alias("quantization_error"))
 
 
 @query(T.with_(*_DOCS_WON) + f"SELECT round(avg(({T.grid_gap('node', 'second')} > sqrt(2) + 1e-9)::INT), 6) AS topographic_error FROM won")
-def topographic_error_init(spark, sf_dir):
+def topographic_error_docs(spark, sf_dir):
     return measures.topographic_error(docs_won(spark, sf_dir, strategy="arrow", runner_up=True), ROWS, COLS).select(r6("topographic_error").alias("topographic_error"))
 
 
 @query(T.with_(*_DOCS_WON, T.centroids("cen", "won", 42)) + f"SELECT p.node::INT AS node, round(CASE WHEN centroid IS NOT NULL THEN sqrt({T.distance(42, 'prototype', 'centroid')}) END, 6) AS gap FROM protos p LEFT JOIN cen ON cen.regime = p.node")
-def prototype_gap_init(spark, sf_dir):
-    gaps = measures.prototype_gap(regimes.regime_centroids(docs_won(spark, sf_dir), 42), init_gradient_frame(spark, ROWS, COLS, 42))
+def prototype_gap_docs(spark, sf_dir):
+    model, x = docs_map(spark, sf_dir), docs_v(spark, sf_dir)
+    gaps = measures.prototype_gap(regimes.regime_centroids(model.classify(x), 42), model.frame(spark))
     return gaps.withColumn("gap", r6("gap"))
 
 
 @query(T.with_(*_DOCS_WON) + "SELECT round(sum(most) / sum(total), 6) AS purity FROM (SELECT node, max(c) AS most, sum(c) AS total FROM (SELECT node, lang, count(*) AS c FROM won JOIN documents USING (doc_id) GROUP BY 1, 2) GROUP BY node)")
-def purity_lang_init(spark, sf_dir):
+def purity_lang_docs(spark, sf_dir):
     joined = docs_won(spark, sf_dir).join(load(spark, sf_dir, "documents", "doc_id", "lang"), "doc_id")
     return measures.purity(joined, "lang").select(r6("purity").alias("purity"))
 
@@ -574,7 +634,7 @@ def purity_lang_init(spark, sf_dir):
     T.with_(*_DOCS_WON, "ct AS (SELECT node, lang, count(*)::DOUBLE AS n FROM won JOIN documents USING (doc_id) GROUP BY 1, 2)", "s AS (SELECT sum(n * (n - 1) / 2) AS b, sum(n) AS n FROM ct)", "sa AS (SELECT sum(m * (m - 1) / 2) AS a FROM (SELECT sum(n) AS m FROM ct GROUP BY node))", "sb AS (SELECT sum(m * (m - 1) / 2) AS c FROM (SELECT sum(n) AS m FROM ct GROUP BY lang))")
     + "SELECT round((n * (n - 1) / 2 + 2 * b - a - c) / (n * (n - 1) / 2), 6) AS rand, round((b - a * c / (n * (n - 1) / 2)) / ((a + c) / 2 - a * c / (n * (n - 1) / 2)), 6) AS adjusted_rand FROM s, sa, sb"
 )
-def adjusted_rand_lang_init(spark, sf_dir):
+def adjusted_rand_lang_docs(spark, sf_dir):
     joined = docs_won(spark, sf_dir).join(load(spark, sf_dir, "documents", "doc_id", "lang"), "doc_id")
     return measures.adjusted_rand(measures.contingency(joined, "lang"), "node", "lang").select(r6("rand").alias("rand"), r6("adjusted_rand").alias("adjusted_rand"))
 
@@ -631,8 +691,8 @@ def kmeans_cells(spark, sf_dir):
     return _kmeans(cells_v(spark, sf_dir), ["l_suppkey", "period"], 2)
 
 
-def _batch_sql(rounds: int) -> list[str]:
-    out = [T.DOCS, T.gradient(42, name="p0")]
+def _batch_sql(rounds: int, start: list[str] | None = None) -> list[str]:
+    out = [T.DOCS, *(start or [T.gradient(42, name="p0")])]
     for r in range(rounds):
         radius = f"pow(1.5::DOUBLE, 1 - {r}.0::DOUBLE / 40)"
         gap = T.grid_gap("s.node", "p.node")
@@ -648,6 +708,12 @@ def batch_map_3round_docs(spark, sf_dir):
     return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="batch", rounds=3)[1]
 
 
+@query(T.with_(*_batch_sql(2, [T.run("r", "docs_v", 42, 10, horizon="40"), "p0 AS (SELECT node, prototype FROM r_p)"]), recursive=True) + f"SELECT node::INT AS node, {T.rounded('prototype')} AS prototype FROM p2")
+def sketch_map_docs(spark, sf_dir):
+    """The twin folds the whole list: tables of up to twice the sample's size are their own sample."""
+    return _trained(docs_v(spark, sf_dir), ["doc_id"], SHORT, mode="sketch")[1]
+
+
 @query(
     T.with_(*_batch_sql(3), *[c.replace("p0", "q0").replace("p1", "q1").replace("p2", "q2").replace("p3", "q3").replace("w0", "x0").replace("w1", "x1").replace("w2", "x2").replace("m0", "y0").replace("m1", "y1").replace("m2", "y2") for c in _kmeans_sql("docs_v", 42, 10, 3, "p0 AS (SELECT sample_index AS node, features AS prototype FROM docs_v WHERE sample_index < 10)")])
     + f"SELECT regime::INT AS regime, best::INT AS best, round(corr, 6) AS corr FROM (SELECT a.node AS regime, b.node AS best, round({T.pearson('a.prototype[i.range]', 'b.prototype[i.range]')}, 9) AS corr FROM q3 a, p3 b, range(1, 43) i GROUP BY 1, 2) QUALIFY row_number() OVER (PARTITION BY regime ORDER BY corr DESC NULLS LAST, best) = 1"
@@ -660,6 +726,116 @@ def coverage_kmeans_map(spark, sf_dir):
     return regimes.coverage(frame(centers), frame(model.prototypes)).withColumn("corr", r6("corr"))
 
 
+@query(
+    T.with_(T.DOCS, T.trained("docs_v", 42, DOC_PASSES), *_kmeans_sql("docs_v", 42, 10, 3, "p0 AS (SELECT sample_index AS node, features AS prototype FROM docs_v WHERE sample_index < 10)"))
+    + f"SELECT regime::INT AS regime, best::INT AS best, round(corr, 6) AS corr FROM (SELECT a.node AS regime, b.node AS best, round({T.pearson('a.prototype[i.range]', 'b.prototype[i.range]')}, 9) AS corr FROM p3 a, protos b, range(1, 43) i GROUP BY 1, 2) QUALIFY row_number() OVER (PARTITION BY regime ORDER BY corr DESC NULLS LAST, best) = 1"
+)
+def coverage_kmeans_serial_map(spark, sf_dir):
+    """For each k-means regime the nearest regime of the reproducible map."""
+    x = docs_v(spark, sf_dir)
+    centers, _ = baselines.fit_kmeans(ordering.dense_index(x, ["doc_id"]), 10, rounds=3)
+    return regimes.coverage(_regime_frame(spark, centers), _regime_frame(spark, docs_map(spark, sf_dir).prototypes)).withColumn("corr", r6("corr"))
+
+
+def _regime_frame(spark, rows) -> DataFrame:
+    return spark.createDataFrame([(k, [float(v) for v in c]) for k, c in enumerate(rows)], "regime int, centroid array<double>")
+
+
+_KIND_SQL = "CASE WHEN cloud_fraction < 0.4 THEN 'semi-clear' WHEN list_sum(centroid[1:21]) >= 0.5 * cloud_fraction THEN 'high' ELSE 'low' END AS kind"
+
+
+@query(
+    T.with_(T.DOCS, *_kmeans_sql("docs_v", 42, 10, 3, "p0 AS (SELECT sample_index AS node, features AS prototype FROM docs_v WHERE sample_index < 10)"), T.winners("won", "docs_v", 42, "p3"), T.centroids("cen", "won", 42))
+    + f"SELECT regime::INT AS regime, n, round(cloud_fraction, 6) AS cloud_fraction, round(rfo, 6) AS rfo, {_KIND_SQL} FROM cen"
+)
+def kmeans_regimes_docs(spark, sf_dir):
+    """The k-means regimes with members, cloud fraction, frequency and kind."""
+    x = docs_v(spark, sf_dir)
+    centers, _ = baselines.fit_kmeans(ordering.dense_index(x, ["doc_id"]), 10, rounds=3)
+    found = regimes.regime_kind(regimes.regime_centroids(find_winners(x, centers), 42))
+    return found.select("regime", "n", r6("cloud_fraction").alias("cloud_fraction"), r6("rfo").alias("rfo"), "kind")
+
+
+@query(T.with_(T.DOCS, T.run("r", "docs_v", 42, 10), T.winners("won", "docs_v", 42, "r_p"), T.centroids("cen", "won", 42), recursive=True) + f"SELECT regime::INT AS regime, n, round(cloud_fraction, 6) AS cloud_fraction, round(rfo, 6) AS rfo, {_KIND_SQL} FROM cen")
+def trained_regimes_docs(spark, sf_dir):
+    """Regimes of the reproducible map after ten passes."""
+    x = docs_v(spark, sf_dir)
+    model = fit_map(x, MapConfig(ROWS, COLS, max_passes=10), key=["doc_id"])
+    found = regimes.regime_kind(regimes.regime_centroids(model.classify(x), 42))
+    return found.select("regime", "n", r6("cloud_fraction").alias("cloud_fraction"), r6("rfo").alias("rfo"), "kind")
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT rank() OVER (ORDER BY n DESC, regime)::INT AS rank, regime::INT AS regime, n FROM (SELECT node AS regime, count(*) AS n FROM won GROUP BY node)")
+def regime_rank_docs(spark, sf_dir):
+    return regimes.rank_regimes(regimes.rfo(docs_won(spark, sf_dir))).select("rank", "regime", "n")
+
+
+@query(T.with_(*_DOCS_WON, T.gradient(42, name="g"), T.winners("was", "docs_v", 42, "g")) + "SELECT count(*) FILTER (was.node <> won.node) AS moves FROM was JOIN won USING (doc_id)")
+def moves_from_start_docs(spark, sf_dir):
+    """Documents whose node under the trained map isn't the one under the gradient start, counted by a join on the key."""
+    x = docs_v(spark, sf_dir)
+    return count_moves(find_winners(x, gradient(42)), docs_won(spark, sf_dir), ["doc_id"])
+
+
+@query(
+    T.with_(T.DOCS, T.trained("docs_v", 42, DOC_PASSES), "heads AS (SELECT node, list(m ORDER BY i) AS prototype FROM (SELECT p.node * 3 // 12 AS node, i.range AS i, avg(p.prototype[i.range]) AS m FROM protos p, range(1, 43) i GROUP BY 1, 2) GROUP BY node)", T.winners("up", "docs_v", 42, "heads"))
+    + f"SELECT doc_id, node::INT AS node, round(sqrt(d2), 6) AS distance FROM (SELECT u.doc_id, p.node, {T.distance(42)} AS d2 FROM up u JOIN protos p ON p.node * 3 // 12 = u.node) QUALIFY row_number() OVER (PARTITION BY doc_id ORDER BY d2, node) = 1"
+)
+def winners_tree_docs(spark, sf_dir):
+    """Search over a tree of two levels."""
+    won = docs_won(spark, sf_dir, strategy="tree", groups=3)
+    return won.select("doc_id", "node", r6("distance").alias("distance"))
+
+
+def _overlap_sql() -> str:
+    runs = {"reproducible": {}} | {f"standard {i}": {"init": "random", "selection": "random", "seed": i} for i in _SEEDS}
+    ctes, parts = [T.DOCS], []
+    for j, (name, options) in enumerate(runs.items()):
+        p = f"o{j}"
+        rename = lambda text: text.replace("hist AS", f"hist{j} AS").replace("mp AS", f"mp{j} AS").replace("cen ", f"cen{j} ").replace("maps ", f"maps{j} ").replace("of_cell", f"of_cell{j}").replace("totals", f"totals{j}").replace(" per ", f" per{j} ").replace("per.", f"per{j}.").replace("per AS", f"per{j} AS").replace("FROM won", f"FROM won{j}")
+        ctes += [T.run(p, "docs_v", 42, SHORT.max_passes, horizon=str(SHORT.horizon), **options), T.winners(f"won{j}", "docs_v", 42, f"{p}_p"), T.centroids(f"cen{j}", f"won{j}", 42), rename(_HIST_PAIRS), rename(_MAP_ROWS), rename(_MAP_PAIRS)]
+        parts.append(f"SELECT '{name}' AS run, (SELECT count(*) FROM cen{j}) AS occupied, round(max(histogram_corr), 6) AS highest_histogram, round(max(map_corr), 6) AS highest_map, count(*) FILTER (histogram_corr >= 0.6 AND map_corr >= 0.74) AS alike FROM hist{j} JOIN mp{j} USING (regime_a, regime_b)")
+    return T.with_(*ctes, recursive=True) + " UNION ALL ".join(parts)
+
+
+@query(_overlap_sql())
+def regime_overlap_by_run(spark, sf_dir):
+    """Whether a map tells its regimes apart: per run the highest correlations of a pair of regimes, of histograms and of frequency maps, and the pairs alike in both."""
+    x = docs_v(spark, sf_dir).join(load(spark, sf_dir, "documents", "doc_id", "source"), "doc_id").cache()
+    configs = {"reproducible": SHORT} | {f"standard {i}": baselines.variant(SHORT, "standard", i) for i in _SEEDS}
+    parts = []
+    for name, model in baselines.fit_many(x, configs, key=["doc_id"]).items():
+        won = model.classify(x)
+        centroids = regimes.regime_centroids(won, 42)
+        both = regimes.regime_correlation(centroids).join(regimes.rfo_correlation(regimes.rfo_map(won, "source", NODES), "source"), ["regime_a", "regime_b"])
+        told = both.agg(r6(F.max("histogram_corr")).alias("highest_histogram"), r6(F.max("map_corr")).alias("highest_map"), F.count_if((F.col("histogram_corr") >= 0.6) & (F.col("map_corr") >= 0.74)).alias("alike"))
+        parts.append(told.select(F.lit(name).alias("run"), F.lit(centroids.count()).cast("long").alias("occupied"), "highest_histogram", "highest_map", "alike"))
+    return reduce(DataFrame.unionByName, parts)
+
+
+_ERROR_PASSES = 4
+
+
+def _passes_sql() -> str:
+    ctes, parts = [T.DOCS], []
+    for j, (name, c) in enumerate(_ABLATION.items()):
+        p = f"e{j}"
+        ctes += [T.run(p, "docs_v", 42, _ERROR_PASSES, init=c.init, selection=c.selection, seed=c.seed, horizon=str(SHORT.horizon), stop="max"), f"{p}_v AS (SELECT t, k.range - 1 AS node, v[k.range] AS prototype FROM (SELECT t, max_by(v, step) AS v FROM {p} WHERE step >= 0 GROUP BY t), range(1, 13) k)"]
+        error = f"SELECT t, avg(sqrt(d2)) AS error FROM (SELECT t, s.sample_index, min({T.distance(42)}) AS d2 FROM docs_v s, {p}_v p GROUP BY 1, 2) GROUP BY t"
+        parts.append(f"SELECT '{name}' AS run, t + 1 AS passes, moves, round(error, 6) AS quantization_error FROM {p}_m JOIN ({error}) USING (t)")
+    return T.with_(*ctes, recursive=True) + " UNION ALL ".join(parts)
+
+
+@query(_passes_sql())
+def passes_to_error_docs(spark, sf_dir):
+    """Moves and quantization error after each of the first passes of every variant: how soon a start with a pattern in it organizes."""
+    x = docs_v(spark, sf_dir).select("doc_id", "features").cache()
+    configs = {(name, n): replace(c, max_passes=n, stop="max") for name, c in _ABLATION.items() for n in range(1, _ERROR_PASSES + 1)}
+    models = baselines.fit_many(x, {f"{name}/{n}": c for (name, n), c in configs.items()}, key=["doc_id"])
+    rows = [(name, n, models[f"{name}/{n}"].history[-1]["moves"], round(measures.quantization_error(models[f"{name}/{n}"].classify(x)).first()[0], 6)) for name, n in configs]
+    return spark.createDataFrame(rows, "run string, passes bigint, moves bigint, quantization_error double")
+
+
 # --- the same devices for other learners
 
 _ORDERED = "seq AS MATERIALIZED (SELECT sample_index AS step, features, y FROM listed)"
@@ -698,7 +874,7 @@ def sgd_quality_staggered(spark, sf_dir):
 # --- operators around the methods
 
 
-@query(T.with_(T.DOCS, T.gradient(42), T.winners("won", "docs_v", 42), "prev AS (SELECT doc_id, node FROM won WHERE node < 6)") + "SELECT 'union' AS op, count(*) AS n FROM (SELECT doc_id, node FROM won UNION SELECT * FROM prev) UNION ALL SELECT 'intersect', count(*) FROM (SELECT doc_id, node FROM won INTERSECT ALL SELECT * FROM prev) UNION ALL SELECT 'except', count(*) FROM (SELECT doc_id, node FROM won EXCEPT ALL SELECT * FROM prev)")
+@query(T.with_(*_DOCS_WON, "prev AS (SELECT doc_id, node FROM won WHERE node < 6)") + "SELECT 'union' AS op, count(*) AS n FROM (SELECT doc_id, node FROM won UNION SELECT * FROM prev) UNION ALL SELECT 'intersect', count(*) FROM (SELECT doc_id, node FROM won INTERSECT ALL SELECT * FROM prev) UNION ALL SELECT 'except', count(*) FROM (SELECT doc_id, node FROM won EXCEPT ALL SELECT * FROM prev)")
 def set_ops_runs(spark, sf_dir):
     won = docs_won(spark, sf_dir).select("doc_id", "node")
     low = won.where("node < 6")
@@ -727,6 +903,59 @@ def events_json_props(spark, sf_dir):
     return load(spark, sf_dir, "events", "props").groupBy(F.get_json_object("props", "$.k").alias("k")).agg(F.count("*").alias("n"))
 
 
+@query(T.with_(T.CELLS) + "SELECT l_suppkey, period, (i.range - 1)::INT AS bin, round(features[i.range], 6) AS value FROM cells_v, range(1, 43) i WHERE features[i.range] <> 0")
+def histogram_sparse_cells(spark, sf_dir):
+    """Histograms as maps of the bins that aren't zero, made dense and sparse again, one row per bin."""
+    sparse = cells_v(spark, sf_dir).select("l_suppkey", "period", feats.sparse_histogram(feats.dense_histogram(feats.sparse_histogram(F.col("features")))).alias("m"))
+    return sparse.select("l_suppkey", "period", F.explode("m").alias("bin", "value")).withColumn("value", r6("value"))
+
+
+@query("SELECT least(5, greatest(0, floor((l_quantity - 1) * 6 / 49)))::INT AS class, count(*) AS n FROM lineitem GROUP BY 1")
+def uniform_classes_line(spark, sf_dir):
+    return load(spark, sf_dir, "lineitem", feats.uniform_class(F.col("l_quantity"), 1, 50, 6).alias("class")).groupBy("class").agg(F.count("*").alias("n"))
+
+
+@query(
+    T.with_(
+        T.scaled("orders", "SELECT o_orderkey, c_mktsegment, [o_totalprice, c_acctbal, date_diff('day', DATE '1970-01-01', o_orderdate::DATE)]::DOUBLE[] AS x FROM orders JOIN customer ON c_custkey = o_custkey", "o_orderkey, c_mktsegment", 3, "o_orderkey"),
+        "by_segment AS (SELECT c_mktsegment AS g, row_number() OVER (PARTITION BY c_mktsegment ORDER BY o_orderkey) - 1 AS sample_index, features FROM orders_v)", T.run_groups("r", "by_segment", 3, 1, 2, 2), recursive=True,
+    )
+    + f"SELECT g AS c_mktsegment, node::INT AS node, {T.rounded('prototype')} AS prototype, n FROM r_p JOIN r_n USING (g)"
+)
+def per_segment_maps_orders(spark, sf_dir):
+    """A small map of the orders of each market segment."""
+    maps = baselines.maps_per_group(workloads.orders(spark, sf_dir), "c_mktsegment", MapConfig(2, 2, max_passes=1), key=["o_orderkey"])
+    return maps.withColumn("prototype", r6_array("prototype"))
+
+
+@query("SELECT f.fmt, count(*) AS n, sum(n_nationkey)::BIGINT AS keys, string_agg(n_name, ',' ORDER BY n_nationkey) AS names FROM nation, (VALUES ('parquet'), ('orc'), ('json'), ('csv')) f(fmt) GROUP BY 1")
+def formats_roundtrip_nation(spark, sf_dir):
+    """A table written and read back in every format, with a declared schema."""
+    rows, parts = load(spark, sf_dir, "nation", "n_nationkey", "n_name"), []
+    for fmt in ("parquet", "orc", "json", "csv"):
+        path = scratch_path(spark, f"nation-{fmt}")
+        write_any(rows, path, fmt)
+        listed = read_any(spark, path, fmt, schema=rows.schema).agg(F.count("*").alias("n"), F.sum("n_nationkey").alias("keys"), F.array_sort(F.collect_list(F.struct("n_nationkey", "n_name"))).alias("l"))
+        parts.append(listed.select(F.lit(fmt).alias("fmt"), "n", "keys", F.array_join(F.transform("l", lambda x: x["n_name"]), ",").alias("names")))
+    return reduce(DataFrame.unionByName, parts)
+
+
+@query(T.with_(*_DOCS_WON) + "SELECT node::INT AS node, count(*) AS n FROM won WHERE node IN (0, 6) GROUP BY node")
+def assignments_of_two_regimes(spark, sf_dir):
+    """Assignments stored in a folder per regime: a reader of two regimes scans only their files."""
+    path = scratch_path(spark, "assignments")
+    write_assignments(docs_won(spark, sf_dir).select("doc_id", "node", "distance"), path)
+    return read_any(spark, path).where(F.col("node").isin(0, 6)).groupBy("node").agg(F.count("*").alias("n"))
+
+
+@query("SELECT k, count(*) AS n, min(json) AS least FROM (SELECT json_extract_string(props, '$.k') AS k, '{\"event_id\":' || event_id || ',\"k\":\"' || json_extract_string(props, '$.k') || '\"}' AS json FROM events) GROUP BY k")
+def events_json_structs(spark, sf_dir):
+    """Properties parsed into a struct, and rows written as JSON."""
+    parsed = load(spark, sf_dir, "events", "event_id", F.from_json("props", "k string").alias("p"))
+    rows = parsed.select(F.col("p.k").alias("k"), F.to_json(F.struct("event_id", F.col("p.k").alias("k"))).alias("json"))
+    return rows.groupBy("k").agg(F.count("*").alias("n"), F.min("json").alias("least"))
+
+
 from . import stream_queries  # noqa: E402,F401  registers the streaming queries
 
 

@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from ..config import MapConfig
 from ..functions.features import drop_invalid
 from ..operators.distance import find_winners
-from ..operators.grid import init_gradient
+from ..operators.grid import grid_frame, init_gradient
 from ..sources import workloads
 from ..sources.io import load
 from ..sources.scratch import scratch_path
@@ -65,6 +66,37 @@ def stream_classify_events(spark, sf_dir):
     return spark.read.schema(classified.schema).parquet(out)
 
 
+@query(T.with_(_EVENT_FEATURES, T.gradient(2), T.winners("won", "event_v", 2)) + "SELECT event_id, (node // 3)::INT AS row, (node % 3)::INT AS col FROM won")
+def stream_regime_attributes(spark, sf_dir):
+    """Stream-static join: each arriving event with the place of its regime on the grid."""
+    classified = streams.classify_stream(_event_features(_stream(spark, sf_dir)), init_gradient(4, 3, 2))
+    out = scratch_path(spark, "stream-out")
+    joined = streams.with_regime_attributes(classified, grid_frame(spark, 4, 3)).select("event_id", "row", "col")
+    streams.run_available(joined, out, scratch_path(spark, "stream-checkpoint"))
+    return spark.read.schema(joined.schema).parquet(out)
+
+
+@query("SELECT a.user_id, a.event_id AS left_id, b.event_id AS right_id FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'purchase' AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL '1 hour'")
+def stream_views_with_purchases(spark, sf_dir):
+    """Stream-stream join: purchases of a user at most an hour after a view."""
+    views, purchases = (_stream(spark, sf_dir).where(F.col("event_type") == kind) for kind in ("view", "purchase"))
+    pairs = streams.joined_within(views, purchases, "user_id").select("user_id", "left_id", "right_id")
+    out = scratch_path(spark, "stream-out")
+    streams.run_available(pairs, out, scratch_path(spark, "stream-checkpoint"))
+    return spark.read.schema(pairs.schema).parquet(out)
+
+
+@query(
+    T.with_("event_day AS (SELECT epoch_us(date_trunc('day', ts)::TIMESTAMP) AS g, row_number() OVER (PARTITION BY date_trunc('day', ts) ORDER BY event_id) - 1 AS sample_index, [hour(ts) / 24.0::DOUBLE, least(1.0::DOUBLE, value / 200.0::DOUBLE)] AS features FROM events)", "days AS (SELECT count(DISTINCT g) AS n, max(g) AS last FROM event_day)")
+    + "SELECT make_timestamp(g)::TIMESTAMP AS day, count(*) AS n FROM event_day, days WHERE g < last GROUP BY g, last"
+)
+def stream_online_map(spark, sf_dir):
+    """Days that the watermark closes, each a training list of its own: all but the last."""
+    store, out = scratch_path(spark, "open-days"), scratch_path(spark, "day-maps")
+    streams.run_online_map(_event_features(_stream(spark, sf_dir)).select("event_id", "ts", "features"), MapConfig(2, 2, max_passes=1), store, out, scratch_path(spark, "stream-checkpoint"))
+    return spark.read.schema("day timestamp, n bigint, fingerprint string").parquet(f"{out}/batch=*").select(F.col("day").cast("timestamp_ntz").alias("day"), "n")
+
+
 @query(T.with_(T.EVENTS) + f"SELECT user_id, day::TIMESTAMP AS start, n, {T.rounded('features')} AS features FROM events_f")
 def stream_window_histogram(spark, sf_dir):
     a, b = workloads.event_classes()

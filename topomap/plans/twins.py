@@ -6,7 +6,7 @@ E_BASE = "exp(1.0::DOUBLE)"
 
 
 def with_(*ctes: str, recursive: bool = False) -> str:
-    return ("WITH RECURSIVE " if recursive else "WITH ") + ",\n".join(ctes) + "\n"
+    return ("WITH RECURSIVE " if recursive or any("(step, t, sample_index" in c for c in ctes) else "WITH ") + ",\n".join(ctes) + "\n"
 
 
 def histogram(name: str, keys: str, rows: str) -> str:
@@ -96,12 +96,92 @@ fold(step, t, sample_index, winner, v) AS (
   FROM (SELECT s.step, s.t, s.sample_index, s.features, s.w, f.v, list_position({d2}, list_min({d2})) AS win FROM fold f JOIN fold_s s ON s.step = f.step + 1))"""
 
 
+def random_start(dim: int, seed: int, rows: int = 4, cols: int = 3, name: str = "protos") -> str:
+    value = f"('0x' || substr(md5('{seed}:' || k.range || ':' || i), 1, 13))::UBIGINT / 4503599627370496.0::DOUBLE"
+    return f"{name} AS (SELECT k.range AS node, list_transform(range({dim}), lambda i: {value}) AS prototype FROM range({rows * cols}) k)"
+
+
+def position(selection: str, seed: int = 1) -> str:
+    """Place of sample s.sample_index among fold_rows in pass t.range."""
+    if selection == "staggered":
+        return "CASE WHEN t.range % 2 = 0 THEN (s.sample_index - t.range // 2 + fold_rows) % fold_rows ELSE (fold_rows - 1 - (t.range - 1) // 2 - s.sample_index + fold_rows) % fold_rows END"
+    return "s.sample_index" if selection == "sequential" else f"row_number() OVER (PARTITION BY t.range ORDER BY md5('{seed}:' || t.range || ':' || s.sample_index)) - 1"
+
+
+def run(p: str, source: str, dim: int, passes: int, *, init: str = "gradient", selection: str = "staggered", seed: int = 1, rows: int = 4, cols: int = 3, horizon: str | None = None, rate: float = 0.1, stop: str = "no_moves") -> str:
+    """CTEs of one serial training under the prefix ``p``: {p}_h (pass, radius, rate, moves, stop_reason) up to its stop, {p}_p (node, prototype) there."""
+    k = rows * cols
+    horizon = horizon or f"(SELECT fold_rows FROM {p}_n)"
+    d2 = f"list_transform(range(1, {k + 1}), lambda k: list_sum(list_transform(range(1, {dim + 1}), lambda i: (s.features[i] - f.v[k][i]) * (s.features[i] - f.v[k][i]))))"
+    start = gradient(dim, rows, cols, f"{p}_start") if init == "gradient" else random_start(dim, seed, rows, cols, f"{p}_start")
+    shown = f"{source} s" if selection != "random_replace" else f"(SELECT j.sample_index AS place, t0.range AS pass, s.* FROM {source} j, range({passes}) t0, (SELECT count(*) AS m FROM {source}) JOIN {source} s ON s.sample_index = ('0x' || substr(md5('{seed}:' || t0.range || ':' || j.sample_index), 1, 12))::UBIGINT % m) s"
+    at = position(selection, seed) if selection != "random_replace" else "s.place"
+    only = "" if selection != "random_replace" else "WHERE s.pass = t.range"
+    return f"""{p}_n AS (SELECT count(*) AS fold_rows FROM {source}),
+{start},
+{p}_w AS (SELECT t, list(row ORDER BY a) AS w FROM (SELECT t.range AS t, a.range AS a, list({weight("t.range", horizon, grid_gap("a.range", "b.range", cols), rows, cols, f"{rate!r}::DOUBLE")} ORDER BY b.range) AS row
+  FROM range({passes}) t, range({k}) a, range({k}) b GROUP BY 1, 2) GROUP BY t),
+{p}_s AS MATERIALIZED (SELECT t.range * fold_rows + {at} AS step, t.range AS t, s.sample_index, s.features, w.w FROM {shown}, {p}_n, range({passes}) t JOIN {p}_w w ON w.t = t.range {only}),
+{p}(step, t, sample_index, winner, v) AS (
+  SELECT -1::BIGINT, -1::BIGINT, -1::BIGINT, -1::BIGINT, (SELECT list(prototype ORDER BY node) FROM {p}_start)
+  UNION ALL
+  SELECT step, t, sample_index, win - 1, list_transform(range(1, {k + 1}), lambda k: list_transform(range(1, {dim + 1}), lambda i: v[k][i] + w[win][k] * (features[i] - v[k][i])))
+  FROM (SELECT s.step, s.t, s.sample_index, s.features, s.w, f.v, list_position({d2}, list_min({d2})) AS win FROM {p} f JOIN {p}_s s ON s.step = f.step + 1)),
+{p}_m AS (SELECT t, count(*) FILTER (moved) AS moves FROM (SELECT t, winner IS DISTINCT FROM lag(winner) OVER (PARTITION BY sample_index ORDER BY step) AS moved FROM {p} WHERE step >= 0) GROUP BY t),
+{p}_z AS (SELECT {"coalesce(min(t) FILTER (t > 0 AND moves = 0), max(t))" if stop == "no_moves" else "max(t)"} AS last, {"count(*) FILTER (t > 0 AND moves = 0) > 0" if stop == "no_moves" else "false"} AS still FROM {p}_m),
+{p}_h AS (SELECT t AS pass, pow({min(rows, cols) / 2}::DOUBLE, 1 - t::DOUBLE / {horizon}) AS radius, {rate!r}::DOUBLE * pow({E_BASE}, -t::DOUBLE / {horizon}) AS rate, moves,
+  CASE WHEN still THEN 'no_moves' WHEN {passes} = {horizon} THEN 'horizon' ELSE 'max_passes' END AS stop_reason FROM {p}_m, {p}_z WHERE t <= last),
+{p}_p AS (SELECT k.range - 1 AS node, v[k.range] AS prototype FROM (SELECT v FROM {p}, {p}_z WHERE t <= last ORDER BY step DESC LIMIT 1), range(1, {k + 1}) k)"""
+
+
+def run_groups(p: str, source: str, dim: int, passes: int, rows: int, cols: int, horizon: str = "n") -> str:
+    """As ``run`` for many lists side by side: ``source`` has g and a sample_index within it; {p}_p (g, node, prototype), {p}_l (g, t, winner, c): last winners counted by the passes run."""
+    k = rows * cols
+    d2 = f"list_transform(range(1, {k + 1}), lambda k: list_sum(list_transform(range(1, {dim + 1}), lambda i: (s.features[i] - f.v[k][i]) * (s.features[i] - f.v[k][i]))))"
+    return f"""{p}_n AS (SELECT g, count(*) AS n, least({passes}, {horizon.replace("n", "count(*)")}) AS passes FROM {source} GROUP BY g),
+{gradient(dim, rows, cols, f"{p}_start")},
+{p}_w AS (SELECT g, t, list(row ORDER BY a) AS w FROM (SELECT g, t.range AS t, a.range AS a, list({weight("t.range", horizon, grid_gap("a.range", "b.range", cols), rows, cols)} ORDER BY b.range) AS row
+  FROM {p}_n, range({passes}) t, range({k}) a, range({k}) b WHERE t.range < passes GROUP BY 1, 2, 3) GROUP BY g, t),
+{p}_s AS MATERIALIZED (SELECT s.g, t * n + CASE WHEN t % 2 = 0 THEN (s.sample_index - t // 2 + n) % n ELSE (n - 1 - (t - 1) // 2 - s.sample_index + n) % n END AS step, t, s.sample_index, s.features, w.w
+  FROM {source} s JOIN {p}_n USING (g) JOIN {p}_w w USING (g)),
+{p}(step, t, sample_index, winner, v, g) AS (
+  SELECT -1::BIGINT, -1::BIGINT, -1::BIGINT, -1::BIGINT, (SELECT list(prototype ORDER BY node) FROM {p}_start), g FROM {p}_n
+  UNION ALL
+  SELECT step, t, sample_index, win - 1, list_transform(range(1, {k + 1}), lambda k: list_transform(range(1, {dim + 1}), lambda i: v[k][i] + w[win][k] * (features[i] - v[k][i]))), g
+  FROM (SELECT s.g, s.step, s.t, s.sample_index, s.features, s.w, f.v, list_position({d2}, list_min({d2})) AS win FROM {p} f JOIN {p}_s s ON s.g = f.g AND s.step = f.step + 1)),
+{p}_m AS (SELECT g, t, count(*) FILTER (moved) AS moves FROM (SELECT g, t, winner IS DISTINCT FROM lag(winner) OVER (PARTITION BY g, sample_index ORDER BY step) AS moved FROM {p} WHERE step >= 0) GROUP BY g, t),
+{p}_z AS (SELECT g, coalesce(min(t) FILTER (t > 0 AND moves = 0), max(t)) AS last FROM {p}_m GROUP BY g),
+{p}_e AS (SELECT g, max_by(v, step) AS v FROM {p} JOIN {p}_z USING (g) WHERE t <= last GROUP BY g),
+{p}_p AS (SELECT g, k.range - 1 AS node, v[k.range] AS prototype FROM {p}_e, range(1, {k + 1}) k),
+{p}_l AS (SELECT g, winner, count(*) AS c FROM {p} JOIN {p}_z USING (g) WHERE t = last GROUP BY 1, 2)"""
+
+
+def history(p: str, name: str, source: str, dim: int) -> str:
+    """A SELECT of the run's passes with its name and its quantization error at the end."""
+    error = f"(SELECT avg(sqrt(d2)) FROM (SELECT min({distance(dim)}) AS d2 FROM {source} s, {p}_p p GROUP BY s.sample_index))"
+    return f"SELECT '{name}' AS run, pass, round(radius, 6) AS radius, round(rate, 6) AS rate, moves, stop_reason, round({error}, 6) AS quantization_error FROM {p}_h"
+
+
+def trained(source: str, dim: int, passes: int, rows: int = 4, cols: int = 3) -> str:
+    """CTEs up to ``protos`` (node, prototype) of the map that ``fold`` trains."""
+    return f"""{fold(source, dim, passes, rows, cols)},
+protos AS (SELECT k.range - 1 AS node, v[k.range] AS prototype FROM fold, range(1, {rows * cols + 1}) k WHERE step = (SELECT max(step) FROM fold))"""
+
+
 def pearson(x: str, y: str) -> str:
     n, sx, sy = "count(*)::DOUBLE", f"sum({x})", f"sum({y})"
     vx, vy = f"({n} * sum({x} * {x}) - {sx} * {sx})", f"({n} * sum({y} * {y}) - {sy} * {sy})"
     return f"CASE WHEN {vx} > 1e-15 AND {vy} > 1e-15 THEN ({n} * sum({x} * {y}) - {sx} * {sy}) / (sqrt({vx}) * sqrt({vy})) END"
 
 
+#: Correlation of two lists.
+LIST_PEARSON = (
+    "CASE WHEN len({x}) * list_sum(list_transform({x}, lambda v: v * v)) - list_sum({x}) * list_sum({x}) > 1e-15 AND len({y}) * list_sum(list_transform({y}, lambda v: v * v)) - list_sum({y}) * list_sum({y}) > 1e-15 "
+    "THEN (len({x}) * list_sum(list_transform(range(1, len({x}) + 1), lambda i: {x}[i] * {y}[i])) - list_sum({x}) * list_sum({y})) "
+    "/ (sqrt(len({x}) * list_sum(list_transform({x}, lambda v: v * v)) - list_sum({x}) * list_sum({x})) * sqrt(len({y}) * list_sum(list_transform({y}, lambda v: v * v)) - list_sum({y}) * list_sum({y}))) END"
+)
+
+
 def exact_mean(value: str) -> str:
     return f"sum(round({value} * 16777216)::BIGINT)::DOUBLE / 16777216.0::DOUBLE / count(*)"
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.features import joint_histogram, minmax_scale, to_class
+from ..functions.features import BINS, SHAPE, joint_histogram, minmax_scale, to_class
 from .io import load
 
 #: Edges of the classes of event values, near their septiles (fixed values).
@@ -32,12 +32,23 @@ def nations(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def docs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(doc_id, n, features, cloud_fraction): word length by vowel share of each document; only plain words count."""
-    words = load(spark, sf_dir, "documents", "doc_id", F.explode(F.split("text", r"\s+")).alias("word")).where("word <> ''")
-    size = F.length("word")
-    a = F.least(F.lit(5), F.floor((size - 1) / 2)).cast("int")
-    b = F.least(F.lit(6), F.floor(12.0 * F.regexp_count(F.lower("word"), F.lit("[aeiou]")) / size)).cast("int")
-    return joint_histogram(words, ["doc_id"], a, b, counted=F.col("word").rlike(r"^\p{L}+[.,]?$"))
+    """(doc_id, n, features, cloud_fraction): word length by vowel share of each document; only plain words count.
+
+    A document is one row: its words become a string with a character per bin, whose counts are differences of lengths. No shuffle, no row per word.
+    """
+
+    def code(w):
+        size = F.length(w)
+        a = F.least(F.lit(5), F.floor((size - 1) / 2)).cast("int")
+        b = F.least(F.lit(6), F.floor(12.0 * (size - F.length(F.translate(F.lower(w), "aeiou", ""))) / size)).cast("int")
+        return F.when(w.rlike(r"^\p{L}+[.,]?$"), F.char(a * SHAPE[1] + b + 48)).otherwise("!")
+
+    words = load(spark, sf_dir, "documents", "doc_id", F.filter(F.split("text", r"\s+"), lambda w: w != "").alias("words")).where(F.size("words") > 0)
+    # exploding an array of one keeps Catalyst from repeating the coding wherever its result is used
+    coded = words.select("doc_id", F.explode(F.array(F.array_join(F.transform("words", code), ""))).alias("codes")).withColumn("n", F.length("codes").cast("long"))
+    count = lambda k: F.col("n") - F.length(F.replace("codes", F.lit(chr(48 + k)), F.lit("")))
+    plain = F.length(F.replace("codes", F.lit("!"), F.lit("")))
+    return coded.select("doc_id", "n", F.array(*[count(k) / F.col("n") for k in range(BINS)]).alias("features"), (plain / F.col("n")).alias("cloud_fraction"))
 
 
 def vectors(spark: SparkSession, sf_dir: str, dim: int = 64) -> DataFrame:

@@ -2,17 +2,20 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from ..config import MapConfig
 from ..functions.features import joint_histogram
-from ..operators.distance import find_winners
+from ..operators.distance import feature_matrix, find_winners
 from ..operators.fold import fold_map
 from ..operators.model import fingerprint
 
@@ -83,6 +86,53 @@ def online_map(stream: DataFrame, cfg: MapConfig, *, features: str = "features",
     )
 
 
+def fold_days(rows: DataFrame, cfg: MapConfig, features: str = "features") -> DataFrame:
+    """(day, n, fingerprint): a map per day, each folded in a task of its own in the order of event_id."""
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.sort_by("event_id")
+        model = fold_map(feature_matrix(table.column(features).combine_chunks()), cfg)
+        return pa.table({"day": table.column("day").slice(0, 1), "n": pa.array([len(table)], pa.int64()), "fingerprint": [fingerprint(model.prototypes)]})
+
+    return rows.select("day", "event_id", features).groupBy("day").applyInArrow(run, "day timestamp, n bigint, fingerprint string")
+
+
+def run_online_map(stream: DataFrame, cfg: MapConfig, store: str, out: str, checkpoint: str, *, features: str = "features", late: str = "2 hours") -> None:
+    """``online_map`` for days that no state holds: open days wait in a table, and what is kept in memory doesn't grow with a day.
+
+    A micro-batch goes to the folder of its number in ``store``; days that its watermark closes are read from there, folded, and written to the folder of
+    its number in ``out`` as (day, n, fingerprint). Rows of a closed day are late and dropped. Both writes replace what a batch that failed has left, so a
+    restart from ``checkpoint`` gives the same rows.
+    """
+    spark = stream.sparkSession
+    timed = stream.withColumn("day", F.date_trunc("day", "ts"))
+    schema = StructType([*timed.schema.fields, StructField("batch", IntegerType())])
+
+    def closed_by(batch: int) -> DataFrame:
+        """(day) with rows in ``store`` that lie behind the watermark of the batches up to ``batch``."""
+        held = spark.read.schema(schema).parquet(store).where(F.col("batch") <= batch)
+        mark = held.agg((F.max("ts") - F.expr(f"INTERVAL {late}")).alias("mark")).first()["mark"]
+        return held.select("day").distinct().where(F.lit(mark).isNotNull() & (F.col("day") + F.expr("INTERVAL 1 DAY") <= F.lit(mark)))
+
+    def each(batch: DataFrame, number: int) -> None:
+        on_time = batch
+        if number:
+            on_time = batch.join(F.broadcast(closed_by(number - 1)), "day", "left_anti")
+        on_time.write.mode("overwrite").parquet(f"{store}/batch={number}")
+        closed = closed_by(number)
+        if number:
+            closed = closed.join(closed_by(number - 1), "day", "left_anti")
+        rows = spark.read.schema(schema).parquet(store).where(F.col("batch") <= number).join(F.broadcast(closed), "day")
+        fold_days(rows, cfg, features).write.mode("overwrite").parquet(f"{out}/batch={number}")
+
+    timed.writeStream.option("checkpointLocation", checkpoint).trigger(availableNow=True).foreachBatch(each).start().awaitTermination()
+
+
+def late_rows(progress: list[dict]) -> int:
+    """Rows that stateful operators dropped as later than the watermark, from a stream's progress reports."""
+    return sum(op["numRowsDroppedByWatermark"] if isinstance(op, dict) else op.numRowsDroppedByWatermark for p in progress for op in p["stateOperators"])
+
+
 def regime_changes(classified: DataFrame, late: str = "2 hours") -> DataFrame:
     """(user_id, before, after, n): transitions between the nodes of a user's events in time order, kept in state across micro-batches."""
     timed = classified.withWatermark("ts", late)
@@ -118,4 +168,4 @@ def run_available(stream: DataFrame, path: str, checkpoint: str, mode: str = "ap
     writer = stream.writeStream.option("checkpointLocation", checkpoint).trigger(availableNow=True).outputMode(mode)
     started = writer.foreachBatch(each).start() if each else writer.format("parquet").option("path", path).start()
     started.awaitTermination()
-    return [p if isinstance(p, dict) else p.__dict__ for p in started.recentProgress]
+    return [p if isinstance(p, dict) else json.loads(p.json) for p in started.recentProgress]
