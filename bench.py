@@ -1,15 +1,20 @@
 """Times the headline workloads and prints one JSON line.
 
 Beside the total it reports, per feature set and variant of the ablation, training and classifying seconds, passes, stop reason, samples
-shown per second, moves of the last pass, quantization error and the ratio of times to the standard variant; fingerprints over repeated runs; and the
-highest correlations of a pair of regimes.
+shown per second, moves of every pass, quantization error and the ratio of times to the standard variant; passes until the error is within a hundredth of the standard
+variant's last; fingerprints over repeated runs; and the highest correlations of a pair of regimes.
+
+After a warm-up run, variants take turns, each round in another order, and the median of a variant's times counts: none pays for what runs first.
 """
 
 from __future__ import annotations
 
 import json
 import os
+import statistics
 import time
+from collections import defaultdict
+from dataclasses import replace
 
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
@@ -17,6 +22,7 @@ from pyspark.sql import functions as F
 SF = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
 PASSES = int(os.environ.get("BENCH_PASSES", "3"))
+ROUNDS = {"docs": 3, "cells": 3, "lines": 1}
 
 
 def main() -> None:
@@ -48,17 +54,33 @@ def main() -> None:
         prepared[name] = df
     for name, df in prepared.items():
         key, n, passes = sets[name][1], df.count(), PASSES if name != "lines" else 1
-        for variant in baselines.VARIANTS:
-            cfg = baselines.variant(MapConfig(4, 3, max_passes=passes), variant)
-            model = clock(f"train_{name}_{variant}", lambda: fit_map(df, cfg, key=key))
-            clock(f"classify_{name}_{variant}", lambda: run_to_nowhere(model.classify(df)))
+        settings = {v: baselines.variant(MapConfig(4, 3, max_passes=passes), v) for v in baselines.VARIANTS}
+        models, train, classify = {}, defaultdict(list), defaultdict(list)
+        run_to_nowhere(fit_map(df.limit(2000), settings["standard"], key=key).classify(df))
+        names = list(settings)
+        for turn in range(ROUNDS[name]):
+            for v in names[turn:] + names[:turn]:
+                t = time.perf_counter()
+                models[v] = fit_map(df, settings[v], key=key)
+                train[v].append(time.perf_counter() - t)
+                t = time.perf_counter()
+                run_to_nowhere(models[v].classify(df))
+                classify[v].append(time.perf_counter() - t)
+        for v, model in models.items():
+            seconds[f"train_{name}_{v}"], seconds[f"classify_{name}_{v}"] = (round(statistics.median(x[v]), 3) for x in (train, classify))
             shown = sum(h["seconds"] for h in model.history)
-            report[f"{name}/{variant}"] = {
-                "samples": n, "passes": len(model.history), "stop": model.stop_reason, "last_moves": model.history[-1]["moves"], "samples_per_second_of_a_pass": round(n * len(model.history) / shown),
-                "quantization_error": round(measures.quantization_error(model.classify(df)).first()[0], 6), "seconds": round(seconds[f"train_{name}_{variant}"] + seconds[f"classify_{name}_{variant}"], 3),
+            report[f"{name}/{v}"] = {
+                "samples": n, "passes": len(model.history), "stop": model.stop_reason, "moves": [h["moves"] for h in model.history], "samples_per_second_of_a_pass": round(n * len(model.history) / shown),
+                "quantization_error": round(measures.quantization_error(model.classify(df)).first()[0], 6), "seconds": round(seconds[f"train_{name}_{v}"] + seconds[f"classify_{name}_{v}"], 3),
             }
-        for variant in baselines.VARIANTS:
-            report[f"{name}/{variant}"]["ratio_to_standard"] = round(report[f"{name}/{variant}"]["seconds"] / report[f"{name}/standard"]["seconds"], 3)
+        for v in models:
+            report[f"{name}/{v}"]["ratio_to_standard"] = round(report[f"{name}/{v}"]["seconds"] / report[f"{name}/standard"]["seconds"], 3)
+    errors = {}
+    stages = {f"{v}/{p}": replace(baselines.variant(MapConfig(4, 3), v), max_passes=p, stop="max") for v in baselines.VARIANTS for p in (1, 2, 3, 4)}
+    for run, model in baselines.fit_many(prepared["docs"], stages, key=["doc_id"]).items():
+        errors[run] = measures.quantization_error(model.classify(prepared["docs"])).first()[0]
+    goal = 1.01 * errors["standard/4"]
+    report["passes_to_error_docs"] = {v: next((p for p in (1, 2, 3, 4) if errors[f"{v}/{p}"] <= goal), None) for v in baselines.VARIANTS} | {"goal": round(goal, 6)}
     docs = prepared["docs"]
     cfg = MapConfig(4, 3, max_passes=PASSES)
     report["fingerprints"] = {
