@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .suffix_dedup import ranges_of
-from .windows import Units, covered_mask, covered_ranges, grouped_contexts, word_grams
+from .windows import Units, covered_mask, covered_ranges, grouped_contexts, keyed, word_grams
 
 WORDS = Units("words", 13, 7)
 _WORD = re.compile("[^\x20\x09-\x0d]+")
@@ -94,45 +94,46 @@ class SuffixAutomaton:
 
 def resolve(units: Units, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     width = units.width
-    for contexts, _, doc, start, rel in grouped_contexts(batches, 20_000):
-        sizes = np.fromiter(map(len, contexts), np.int64, len(contexts)) // 8
-        flat = np.frombuffer(b"".join(contexts), np.uint64)
+    for c in grouped_contexts(batches, 20_000):
+        sizes = c.size // 8
+        lo = int(c.begin[0])
+        flat = c.flat[lo : lo + 8 * int(sizes.sum())].view(np.uint64)
         begins = np.cumsum(sizes) - sizes
-        owner = np.repeat(np.arange(len(contexts)), sizes)
+        owner = np.repeat(np.arange(len(c)), sizes)
         # windows by fingerprint: those without a second document match nothing, so only contexts with a shared window need the automaton
         prints = word_grams(flat, width)
         at = np.arange(len(prints))
         inside = at + width <= (begins + sizes)[owner[: len(prints)]]
         prints, at = prints[inside], at[inside]
         _, group = np.unique(prints, return_inverse=True)
-        docs = doc[owner[at]]
+        docs = c.doc[owner[at]]
         least = np.full(int(group.max()) + 1 if len(group) else 0, np.iinfo(np.int64).max)
         most = np.full(len(least), np.iinfo(np.int64).min)
         np.minimum.at(least, group, docs)
         np.maximum.at(most, group, docs)
         wanted = np.unique(owner[at[(least < most)[group]]])
+        context = {i: flat[begins[i] : begins[i] + sizes[i]].tobytes() for i in wanted.tolist()}
         # one reference per distinct context, its smallest document
         distinct: dict[bytes, int] = {}
-        for i in wanted.tolist():
-            c = contexts[i]
-            distinct[c] = min(distinct.get(c, np.iinfo(np.int64).max), int(doc[i]))
+        for i, own in context.items():
+            distinct[own] = min(distinct.get(own, np.iinfo(np.int64).max), int(c.doc[i]))
         automaton = SuffixAutomaton()
-        sequences = {c: np.frombuffer(c, np.uint64).tolist() for c in distinct}
-        for c, d in distinct.items():
-            automaton.add(sequences[c], d)
+        sequences = {own: np.frombuffer(own, np.uint64).tolist() for own in distinct}
+        for own, d in distinct.items():
+            automaton.add(sequences[own], d)
         automaton.finish()
-        earliest = {c: automaton.earliest(s, width) for c, s in sequences.items()}
+        earliest = {own: automaton.earliest(s, width) for own, s in sequences.items()}
         hit = np.zeros((len(wanted), units.reach + 2), bool)
         for k, i in enumerate(wanted.tolist()):
-            found = earliest[contexts[i]]
-            hit[k, : len(found)] = np.asarray(found) < doc[i]
-        yield ranges_of(hit, doc[wanted], start[wanted], width)
+            found = earliest[context[i]]
+            hit[k, : len(found)] = np.asarray(found) < c.doc[i]
+        yield ranges_of(hit, c.doc[wanted], c.h[wanted], c.start[wanted], width)
 
 
 def remove_repeated_words(documents: DataFrame, units: Units = WORDS, *, id_col: str = "doc_id", text_col: str = "text", keep_text: bool = False) -> DataFrame:
     """``id_col``, n_words, n_removed, kept_sha256 per row; with ``keep_text`` also kept, its words joined by one space."""
     ranges = covered_ranges(documents, units, resolve, by_range=False, id_col=id_col, text_col=text_col)
-    data = documents.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    data = keyed(documents, id_col, text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -146,4 +147,4 @@ def remove_repeated_words(documents: DataFrame, units: Units = WORDS, *, id_col:
             yield pa.RecordBatch.from_arrays([batch.column("id"), *columns], ["id", "n_words", "n_removed", "kept_sha256", "kept"][: len(columns) + 1])
 
     schema = "id bigint, n_words bigint, n_removed bigint, kept_sha256 string" + (", kept string" if keep_text else "")
-    return data.join(ranges, "id", "left").select("id", "text", "ranges").mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    return data.join(ranges, ["id", "h"], "left").select("id", "text", "ranges").mapInArrow(run, schema).withColumnRenamed("id", id_col)

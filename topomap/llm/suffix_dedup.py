@@ -17,7 +17,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .windows import Units, covered_mask, covered_ranges, grouped_contexts
+from .windows import Contexts, Units, covered_mask, covered_ranges, grouped_contexts, keyed
 
 BYTES = Units("bytes", 50, 24)
 
@@ -46,42 +46,97 @@ def multikey_sort(group: np.ndarray, keys) -> np.ndarray:
     return group
 
 
+#: Runs of so many suffixes at most are compared pair by pair.
+FEW = 6
+
+
 def resolve(units: Units, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    width, span = units.width, units.width + units.reach
-    for contexts, lead, doc, start, rel in grouped_contexts(batches, 12_000):
-        sizes = np.fromiter(map(len, contexts), np.int64, len(contexts))
-        flat = np.frombuffer(b"".join(contexts), np.uint8)
-        grid = np.zeros((len(contexts), span + 16), np.uint8)  # anchors stand in one column
-        row = np.repeat(np.arange(len(contexts)), sizes)
-        grid[row, np.arange(len(flat)) - np.repeat(np.cumsum(sizes) - sizes, sizes) + np.repeat(units.reach - rel, sizes)] = flat
-        shifts = np.arange(units.reach + 1)
-        begin = units.reach - rel  # column where a row's bytes begin
-        fits = (shifts >= begin[:, None]) & (shifts + width <= (begin + sizes)[:, None])
-        r, s = np.nonzero(fits)
-        keys = []
-        for at in range(0, width, 8):
-            keys.append(lambda rows, at=at: sum(grid[r[rows], s[rows] + at + b].astype(np.uint64) << np.uint64(8 * (7 - b)) for b in range(min(8, width - at))))
-        group = multikey_sort(np.unique(lead, return_inverse=True)[1][r] * (units.reach + 1) + s, keys)
-        _, group = np.unique(group, return_inverse=True)
-        least = np.full(int(group.max()) + 1 if len(group) else 0, np.iinfo(np.int64).max)
-        np.minimum.at(least, group, doc[r])
-        hit = np.zeros((len(contexts), units.reach + 2), bool)
-        hit[r, s] = least[group] < doc[r]
-        yield ranges_of(hit, doc, start - begin, width)
-
-
-def ranges_of(hit: np.ndarray, doc: np.ndarray, origin: np.ndarray, width: int) -> pa.RecordBatch:
-    """(doc, start, stop) of the runs of windows that ``hit`` marks; its last column is False."""
+    """A bucket: its suffixes come in runs of equal leading strings. Short runs are compared neighbour by neighbour in both directions
+    from the leading string; in long ones the suffixes of all windows are sorted by multikey quicksort."""
+    for c in grouped_contexts(batches, 50_000):
+        first = np.flatnonzero(np.diff(c.lead, prepend=-1))
+        sizes = np.diff(np.append(first, len(c)))
+        grid = _grid(units, c)
+        for m in range(2, FEW + 1):
+            at = first[sizes == m]
+            for i in range(m):
+                for j in range(i + 1, m):
+                    yield from _pairs(units, c, grid, at + i, at + j)
+        rows = np.flatnonzero(np.repeat(sizes > FEW, sizes))
+        for lo, hi in _whole_runs(c.lead[rows], 12_000):
+            yield _sorted_windows(units, c, grid, rows[lo:hi])
+
+
+def _grid(units: Units, c: Contexts) -> np.ndarray:
+    """The contexts as rows of bytes in which all anchors stand in one column."""
+    grid = np.zeros((len(c), units.width + units.reach + 16), np.uint8)
+    row = np.repeat(np.arange(len(c)), c.size)
+    within = np.arange(int(c.size.sum())) - np.repeat(np.cumsum(c.size) - c.size, c.size)
+    grid[row, within + np.repeat(units.reach - c.rel, c.size)] = c.flat[np.repeat(c.begin, c.size) + within]
+    return grid
+
+
+def _whole_runs(lead: np.ndarray, most: int) -> Iterator[tuple[int, int]]:
+    lo = 0
+    while lo < len(lead):
+        hi = min(len(lead), lo + most)
+        while hi < len(lead) and lead[hi] == lead[hi - 1]:
+            hi += 1
+        yield lo, hi
+        lo = hi
+
+
+def _pairs(units: Units, c: Contexts, grid: np.ndarray, a: np.ndarray, b: np.ndarray) -> Iterator[pa.RecordBatch]:
+    """Ranges that the later document of each pair shares with the earlier one around the common anchor."""
+    apart = c.doc[a] != c.doc[b]
+    a, b = a[apart], b[apart]
+    if not len(a):
+        return
+    reach, end = units.reach, units.reach + units.gram
+    stop = np.ones((len(a), 1), bool)
+    left = np.argmax(np.concatenate(((grid[a, :reach] != grid[b, :reach])[:, ::-1], stop), axis=1), axis=1)
+    left = np.minimum(left, np.minimum(c.rel[a], c.rel[b]))
+    right = np.argmax(np.concatenate((grid[a, end : end + reach] != grid[b, end : end + reach], stop), axis=1), axis=1)
+    right = np.minimum(right, np.minimum(c.size[a] - c.rel[a], c.size[b] - c.rel[b]) - units.gram)
+    hit = left + right >= reach
+    late = np.where(c.doc[a] > c.doc[b], a, b)[hit]
+    anchor = c.start[late] + c.rel[late]
+    yield _range_rows(c.doc[late], c.h[late], anchor - left[hit], anchor + units.gram + right[hit])
+
+
+def _sorted_windows(units: Units, c: Contexts, grid: np.ndarray, rows: np.ndarray) -> pa.RecordBatch:
+    width = units.width
+    shifts = np.arange(units.reach + 1)
+    begin = units.reach - c.rel[rows]  # column where a row's bytes begin
+    fits = (shifts >= begin[:, None]) & (shifts + width <= (begin + c.size[rows])[:, None])
+    r, s = np.nonzero(fits)
+    own = rows[r]
+    keys = [lambda at_rows, at=at: sum(grid[own[at_rows], s[at_rows] + at + b].astype(np.uint64) << np.uint64(8 * (7 - b)) for b in range(min(8, width - at))) for at in range(0, width, 8)]
+    group = multikey_sort(np.unique(c.lead[rows], return_inverse=True)[1][r] * (units.reach + 1) + s, keys)
+    _, group = np.unique(group, return_inverse=True)
+    least = np.full(int(group.max()) + 1 if len(group) else 0, np.iinfo(np.int64).max)
+    np.minimum.at(least, group, c.doc[own])
+    hit = np.zeros((len(rows), units.reach + 2), bool)
+    hit[r, s] = least[group] < c.doc[own]
+    return ranges_of(hit, c.doc[rows], c.h[rows], c.start[rows] - begin, width)
+
+
+def _range_rows(doc, h, start, stop) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(np.asarray(x, np.int64)) for x in (doc, h, start, stop)], ["doc", "h", "start", "stop"])
+
+
+def ranges_of(hit: np.ndarray, doc: np.ndarray, h: np.ndarray, origin: np.ndarray, width: int) -> pa.RecordBatch:
+    """(doc, h, start, stop) of the runs of windows that ``hit`` marks; its last column is False."""
     edge = np.diff(np.concatenate((np.zeros((len(hit), 1), bool), hit), axis=1).astype(np.int8), axis=1)
     r, a = np.nonzero(edge == 1)
     _, b = np.nonzero(edge == -1)
-    return pa.RecordBatch.from_arrays([pa.array(doc[r]), pa.array(origin[r] + a), pa.array(origin[r] + b - 1 + width)], ["doc", "start", "stop"])
+    return _range_rows(doc[r], h[r], origin[r] + a, origin[r] + b - 1 + width)
 
 
 def remove_repeated_bytes(documents: DataFrame, units: Units = BYTES, *, id_col: str = "doc_id", text_col: str = "text", keep_bytes: bool = False) -> DataFrame:
     """``id_col``, n_bytes, n_removed, n_spans, kept_sha256 per row; with ``keep_bytes`` also kept (binary)."""
     ranges = covered_ranges(documents, units, resolve, by_range=True, id_col=id_col, text_col=text_col)
-    data = documents.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
+    data = keyed(documents, id_col, text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -99,4 +154,4 @@ def remove_repeated_bytes(documents: DataFrame, units: Units = BYTES, *, id_col:
             yield pa.RecordBatch.from_arrays([batch.column("id"), *columns], ["id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: len(columns) + 1])
 
     schema = "id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string" + (", kept binary" if keep_bytes else "")
-    return data.join(ranges, "id", "left").select("id", "text", "ranges").mapInArrow(run, schema).withColumnRenamed("id", id_col)
+    return data.join(ranges, ["id", "h"], "left").select("id", "text", "ranges").mapInArrow(run, schema).withColumnRenamed("id", id_col)

@@ -8,14 +8,17 @@ A document is a sequence of symbols (bytes, or word hashes). Wanted is, for ever
    within it beforehand, so a hash that many documents share is sent once per task; a repeated text is told by a hash of the whole text.
 2. Documents with shared anchors give each such anchor's context, the symbols that windows around it can reach. Equal contexts within a
    task are settled there; one of each is sent on.
+   Leads of very many contexts are settled once more across tasks.
 3. A resolver compares the contexts of equal anchors and tells which windows have an earlier document.
 4. The covered ranges go back to their documents.
 
-Documents shorter than ``width`` have no window. Rows with a null id take no part and keep their text. Rows that repeat an id are one document.
+Documents shorter than ``width`` have no window. Rows with a null id take no part and keep their text. Rows that repeat an id are one document
+with several texts: they aren't earlier than each other, and each text loses what an earlier document holds of it. Beside the id, a row is known by a hash of its text.
 """
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
@@ -167,12 +170,22 @@ def settle_anchors(keys, docs, places) -> tuple[np.ndarray, ...]:
     )
 
 
+def text_prints(symbols: np.ndarray) -> tuple[int, int]:
+    raw = symbols.tobytes()
+    return xxhash.xxh3_64_intdigest(raw), xxhash.xxh64_intdigest(raw, 11)
+
+
+def copy_place(print_: int) -> int:
+    """The second hash of a text as a negative place."""
+    return -1 - (print_ >> 4)
+
+
 def settle_copies(prints: list[tuple[int, int]], docs: np.ndarray) -> tuple[np.ndarray, ...]:
     """Whole-text rows: place is negative and carries the second hash. All but the smallest id of equal texts are KNOWN copies."""
     if not len(docs):
         return np.zeros(0, np.uint64), docs, docs, docs
     one = np.fromiter((p[0] for p in prints), np.uint64, len(docs))
-    two = -1 - np.fromiter((p[1] >> 4 for p in prints), np.int64, len(docs))
+    two = np.fromiter((copy_place(p[1]) for p in prints), np.int64, len(docs))
     order = np.lexsort((docs, two, one))
     one, two, docs = one[order], two[order], docs[order]
     run = _runs(one, two)
@@ -209,8 +222,7 @@ def _anchor_rows(units: Units) -> Callable:
                     n += len(keys)
                 for i, s in enumerate(symbols):
                     if len(s) >= units.width:
-                        raw = s.tobytes()
-                        copies.append(((xxhash.xxh3_64_intdigest(raw), xxhash.xxh64_intdigest(raw, 11)), int(ids[lo + i])))
+                        copies.append((text_prints(s), int(ids[lo + i])))
                 if n >= SETTLE:
                     yield flush()
                     n = 0
@@ -221,14 +233,14 @@ def _anchor_rows(units: Units) -> Callable:
 
 
 def match_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """All rows of some routes: gives (doc, place) of anchors that another document has, and place -1 for copies of an earlier text."""
+    """All rows of some routes: gives (doc, place) of anchors that another document has; for copies of an earlier text the negative place of their hash."""
     parts = [tuple(b.column(c).to_numpy() for c in ("route", "doc", "packed")) for b in batches if len(b)]
     if not parts:
         return
     route, doc, packed = (np.concatenate(x) for x in zip(*parts))
     place, kind = packed >> 2, packed & 3
     known = kind == KNOWN
-    out_doc, out_place = [doc[known]], [np.maximum(place[known], -1)]
+    out_doc, out_place = [doc[known]], [place[known]]
     asks = ~known & (place >= 0)
     order = np.lexsort((doc[asks], route[asks]))
     r, d, p, k = route[asks][order], doc[asks][order], place[asks][order], kind[asks][order]
@@ -247,82 +259,152 @@ def match_anchors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         run = _runs(r, p)
         copy = d != d[np.flatnonzero(np.diff(run, prepend=-1))][run]
         out_doc.append(d[copy])
-        out_place.append(np.full(int(copy.sum()), -1))
+        out_place.append(p[copy])
     docs, places = np.concatenate(out_doc), np.concatenate(out_place)
     for lo in range(0, len(docs), 50_000):
-        yield pa.RecordBatch.from_arrays([pa.array(docs[lo : lo + 50_000]), pa.array(places[lo : lo + 50_000].astype(np.int32))], ["doc", "place"])
+        yield pa.RecordBatch.from_arrays([pa.array(docs[lo : lo + 50_000]), pa.array(places[lo : lo + 50_000])], ["doc", "place"])
+
+
+_CONTEXT_SCHEMA = "lead binary, doc bigint, h bigint, start bigint, rel int, context binary, stop bigint"
+#: Leads of so many contexts in a flush are reported, and leads of so many of all, or of this share of all if that is more, are settled once more before they are compared.
+REPORTED, HOT_ROWS, HOT_SHARE = 16, 5_000, 1 / 5_000
+
+
+class Settler:
+    """Keeps one row of equal contexts, that of the smallest document; the others are covered from end to end."""
+
+    schema = pa.schema([("lead", pa.binary()), ("doc", pa.int64()), ("h", pa.int64()), ("start", pa.int64()), ("rel", pa.int32()), ("context", pa.binary()), ("stop", pa.int64())])
+
+    def __init__(self, units: Units, report: bool):
+        self.size = 8 if units.kind == "words" else 1
+        self.gram, self.report = units.gram, report
+        self.best: dict[tuple[bytes, int], tuple[int, int, int, int]] = {}  # context and its anchor's place in it -> smallest document, hash of its text, start, stop
+        self.again: list[tuple[tuple[bytes, int], tuple[int, int, int, int]]] = []  # equal contexts elsewhere in the same document
+        self.settled: list[tuple[int, int, int, int]] = []
+
+    def __len__(self) -> int:
+        return len(self.best) + len(self.again) + len(self.settled)
+
+    def add(self, key: tuple[bytes, int], row: tuple[int, int, int, int]) -> None:
+        seen = self.best.get(key)
+        if seen is None:
+            self.best[key] = row
+        elif row[0] < seen[0]:
+            self.settled.append(seen)
+            self.best[key] = row
+        elif row[0] > seen[0]:
+            self.settled.append(row)
+        elif row != seen:
+            self.again.append((key, row))
+
+    def flush(self) -> pa.RecordBatch:
+        """Rows to compare, (doc, h, start, stop) rows that are settled, and with ``report`` (lead, count in start) of frequent leads."""
+        rows = [(c[rel * self.size : (rel + self.gram) * self.size], d, h, s, rel, c, None) for (c, rel), (d, h, s, e) in [*self.best.items(), *self.again]]
+        if self.report:
+            frequent = {lead: n for lead, n in Counter(r[0] for r in rows).items() if n >= REPORTED}
+            rows += [(lead, None, None, n, None, None, None) for lead, n in frequent.items()]
+        rows += [(None, d, h, s, None, None, e) for d, h, s, e in self.settled]
+        self.best.clear()
+        self.again.clear()
+        self.settled.clear()
+        return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows), self.schema.types)], schema=self.schema)
 
 
 def _context_rows(units: Units) -> Callable:
-    """(lead, doc, start, rel, context) rows to compare, and (doc, start, stop) rows that are settled."""
-    schema = pa.schema([("lead", pa.binary()), ("doc", pa.int64()), ("start", pa.int64()), ("rel", pa.int32()), ("context", pa.binary()), ("stop", pa.int64())])
-
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        best: dict[tuple[bytes, int], tuple[int, int, int]] = {}  # context and its anchor's place in it -> smallest document, start, stop
-        again: list[tuple[tuple[bytes, int], tuple[int, int, int]]] = []  # equal contexts elsewhere in the same document
-        settled: list[tuple[int, int, int]] = []
-        size = 8 if units.kind == "words" else 1
-
-        def flush() -> pa.RecordBatch:
-            rows = [(c[rel * size : (rel + units.gram) * size], d, s, rel, c, None) for (c, rel), (d, s, e) in [*best.items(), *again]]
-            rows += [(None, d, s, None, None, e) for d, s, e in settled]
-            best.clear()
-            again.clear()
-            settled.clear()
-            return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows), schema.types)], schema=schema)
-
+        settler = Settler(units, report=True)
+        size = settler.size
         for batch in batches:
-            for row_id, text, listed in zip(batch.column("id").to_pylist(), batch.column("text"), batch.column("places")):
+            for row_id, h, text, listed in zip(batch.column("id").to_pylist(), batch.column("h").to_pylist(), batch.column("text"), batch.column("places")):
                 symbols = units.symbols(text.as_py() or "")
                 places = listed.values.to_numpy()
                 n = len(symbols)
-                if (places < 0).any():
-                    settled.append((row_id, 0, n))
+                whole = places[places < 0]
+                # of an id with several texts, the copy may be another one
+                if len(whole) and (whole == copy_place(text_prints(symbols)[1])).any():
+                    settler.settled.append((row_id, h, 0, n))
                     continue
                 raw = symbols.tobytes()
-                for p in np.unique(places).tolist():
+                for p in np.unique(places[(places >= 0) & (places <= n - units.gram)]).tolist():
                     lo, hi = max(0, p - units.reach), min(n, p + units.width)
-                    key = raw[lo * size : hi * size], p - lo
-                    seen = best.get(key)
-                    if seen is None:
-                        best[key] = row_id, lo, hi
-                    elif row_id < seen[0]:
-                        settled.append(seen)
-                        best[key] = row_id, lo, hi
-                    elif row_id > seen[0]:
-                        settled.append((row_id, lo, hi))
-                    elif lo != seen[1]:
-                        again.append((key, (row_id, lo, hi)))
-                if len(best) + len(again) + len(settled) > 60_000:
-                    yield flush()
-        if best or settled:
-            yield flush()
+                    settler.add((raw[lo * size : hi * size], p - lo), (row_id, h, lo, hi))
+                if len(settler) > 60_000:
+                    yield settler.flush()
+        if len(settler):
+            yield settler.flush()
 
     return run
 
 
+def _settle_again(units: Units) -> Callable:
+    """Contexts of hot leads that other tasks have settled for themselves; equal ones come to one task."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        settler = Settler(units, report=False)
+        for batch in batches:
+            for doc, h, start, rel, context in zip(*(batch.column(c).to_pylist() for c in ("doc", "h", "start", "rel", "context"))):
+                settler.add((context, rel), (doc, h, start, start + len(context) // settler.size))
+        if len(settler):
+            yield settler.flush()
+
+    return run
+
+
+def keyed(documents: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(id, h, text): the rows with a hash of their text, which tells rows of one id apart."""
+    return documents.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(text_col).alias("h"), F.col(text_col).alias("text"))
+
+
 def covered_ranges(documents: DataFrame, units: Units, resolver: Callable, *, by_range: bool, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, ranges): for documents with something covered, array of (start, stop) in symbols, overlapping as found.
+    """(id, h, ranges): for texts with something covered, array of (start, stop) in symbols, overlapping as found.
 
-    ``resolver(units, rows)`` takes Arrow batches (lead, doc, start, rel, context) that hold all rows of a lead and gives (doc, start, stop).
+    ``resolver(units, rows)`` takes Arrow batches (lead, doc, h, start, rel, context) that hold all rows of a lead and gives (doc, h, start, stop).
     """
-    data = documents.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).where("id is not null")
-    anchors = data.mapInArrow(_anchor_rows(units), "route bigint, doc bigint, packed bigint")
-    places = anchors.repartition("route").mapInArrow(match_anchors, "doc bigint, place int")
+    data = keyed(documents, id_col, text_col).where("id is not null")
+    anchors = data.select("id", "text").mapInArrow(_anchor_rows(units), "route bigint, doc bigint, packed bigint")
+    places = anchors.repartition("route").mapInArrow(match_anchors, "doc bigint, place bigint")
     places = shared.materialize(places, "anchor-places")
     lists = places.groupBy(F.col("doc").alias("id")).agg(F.collect_list("place").alias("places"))
-    rows = data.join(lists, "id").select("id", "text", "places").mapInArrow(_context_rows(units), "lead binary, doc bigint, start bigint, rel int, context binary, stop bigint")
+    rows = data.join(lists, "id").select("id", "h", "text", "places").mapInArrow(_context_rows(units), _CONTEXT_SCHEMA)
     rows = shared.materialize(rows, "anchor-contexts")
+    shared.discard(places)
+    made = [rows]
     open_ = rows.where("context is not null").drop("stop")
+    # a passage that many documents hold is one context in many tasks: there are at most 1 / HOT_SHARE such leads, whatever the input
+    hot = rows.where("doc is null").groupBy("lead").agg(F.sum("start").alias("n")).where(F.col("n") >= max(HOT_ROWS, rows.count() * HOT_SHARE)).select("lead")
+    hot = shared.materialize(hot, "hot-leads")
+    if not hot.isEmpty():
+        settled = open_.join(F.broadcast(hot), "lead", "left_semi").select("doc", "h", "start", "rel", "context").repartition("context").mapInArrow(_settle_again(units), _CONTEXT_SCHEMA)
+        made.append(shared.materialize(settled, "hot-contexts"))
+        open_ = open_.join(F.broadcast(hot), "lead", "left_anti").unionByName(made[1].where("context is not null").drop("stop"))
     dealt = open_.repartitionByRange("lead") if by_range else open_.repartition("lead")
-    ranges = dealt.mapInArrow(lambda batches: resolver(units, batches), "doc bigint, start bigint, stop bigint")
-    ranges = ranges.union(rows.where("stop is not null").select("doc", "start", "stop"))
+    ranges = dealt.mapInArrow(lambda batches: resolver(units, batches), "doc bigint, h bigint, start bigint, stop bigint")
+    for table in made:
+        ranges = ranges.union(table.where("stop is not null").select("doc", "h", "start", "stop"))
     ranges = shared.materialize(ranges, "covered-ranges")
-    return ranges.groupBy(F.col("doc").alias("id")).agg(F.collect_list(F.struct("start", "stop")).alias("ranges"))
+    shared.discard(*made)
+    return ranges.groupBy(F.col("doc").alias("id"), "h").agg(F.collect_list(F.struct("start", "stop")).alias("ranges"))
+
+
+@dataclass
+class Contexts:
+    """Some contexts in the order of their leads: their bytes one after another, and by context where they begin, their size, lead number, document, text, start and anchor place."""
+
+    flat: np.ndarray
+    begin: np.ndarray
+    size: np.ndarray
+    lead: np.ndarray
+    doc: np.ndarray
+    h: np.ndarray
+    start: np.ndarray
+    rel: np.ndarray
+
+    def __len__(self) -> int:
+        return len(self.lead)
 
 
-def grouped_contexts(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[tuple[list[bytes], np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """Rows of a partition in pieces of about ``most`` that don't split a lead: (contexts, lead number, doc, start, rel)."""
+def grouped_contexts(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[Contexts]:
+    """Rows of a partition in pieces of about ``most`` that don't split a lead."""
     parts = [b for b in batches if len(b)]
     if not parts:
         return
@@ -331,14 +413,19 @@ def grouped_contexts(batches: Iterator[pa.RecordBatch], most: int) -> Iterator[t
     numbers = (leads.combine_chunks() if isinstance(leads, pa.ChunkedArray) else leads).indices.to_numpy()
     order = np.argsort(numbers, kind="stable")
     numbers = numbers[order]
-    doc, start, rel = (table.column(c).to_numpy()[order] for c in ("doc", "start", "rel"))
+    doc, h, start, rel = (table.column(c).to_numpy()[order] for c in ("doc", "h", "start", "rel"))
     contexts = table.column("context")
     lo = 0
     while lo < len(order):
         hi = min(len(order), lo + most)
         while hi < len(order) and numbers[hi] == numbers[hi - 1]:
             hi += 1
-        yield contexts.take(pa.array(order[lo:hi])).to_pylist(), numbers[lo:hi], doc[lo:hi], start[lo:hi], rel[lo:hi]
+        taken = contexts.take(pa.array(order[lo:hi]))
+        taken = taken.combine_chunks() if isinstance(taken, pa.ChunkedArray) else taken
+        taken = taken.chunk(0) if isinstance(taken, pa.ChunkedArray) else taken
+        offsets = np.frombuffer(taken.buffers()[1], np.int32)[taken.offset : taken.offset + len(taken) + 1].astype(np.int64)
+        flat = np.frombuffer(taken.buffers()[2], np.uint8)
+        yield Contexts(flat, offsets[:-1], np.diff(offsets), numbers[lo:hi], doc[lo:hi], h[lo:hi], start[lo:hi], rel[lo:hi].astype(np.int64))
         lo = hi
 
 
