@@ -15,7 +15,6 @@ cut the same way; a text without blanks is one join. Other columns of the input
 
 from __future__ import annotations
 
-import gc
 import hashlib
 import json
 import os
@@ -28,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
-from .shared import per_worker
+from .shared import per_worker, without_gc
 
 #: Rolling-hash window in bytes (a power of two).
 ROLL = 16
@@ -256,7 +255,6 @@ def encode_documents(documents: DataFrame, tokenizer_path: str, *, id_col: str =
             yield pa.RecordBatch.from_arrays([batch.column("id"), batch.column("text"), routes], ["id", "text", "route"])
 
     def coded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        gc.disable()  # many small lists, no cycles
         os.environ["TOKENIZERS_PARALLELISM"] = "false"  # a task has one core
         codec = per_worker(("codec", hash(spec)), lambda: ChunkCodec(spec))
         sha = lambda s: hashlib.sha256(s.encode("utf-8", "surrogatepass")).hexdigest()
@@ -280,4 +278,4 @@ def encode_documents(documents: DataFrame, tokenizer_path: str, *, id_col: str =
 
     schema = f"id {kind}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + (", ids array<int>, decoded string" if keep_ids else "")
     together = data.mapInArrow(routed, f"id {kind}, text string, route bigint").hint("rebalance", "route")
-    return together.mapInArrow(coded, schema).withColumnRenamed("id", id_col)
+    return together.mapInArrow(without_gc(coded), schema).withColumnRenamed("id", id_col)

@@ -5,7 +5,8 @@ repeating, and share the whole. A source's target stops at ``most`` times its si
 can't take is shared again by weight: the level at which this settles is found in closed form from the sources
 sorted by size over weight. A document is then emitted floor(rate) times, and once more if its hash-seeded
 uniform number lies below the rate's fraction. The seed of each source is the one, of ``seeds`` stated ones, whose
-total comes nearest to the target; every seed gives each document the same chance.
+total comes nearest to the target. Every seed gives each document the fraction as its chance; the choice among seeds ties the documents of a source
+together, so the fraction is the chance before the choice, not after it.
 
 Null texts have size 0. Sources may be null or empty; null is a source of its own. Equal rows draw
 the same number and are taken alike. A source of size 0 has target 0. An empty table gives an empty result.

@@ -2,68 +2,22 @@
 
 from __future__ import annotations
 
-import atexit
-import contextlib
-import shutil
+import gc
 import sys
-import tempfile
 import types
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..sources.scratch import discard, written
+
 #: A word is a longest run of anything but the six ASCII white-space characters.
 SPACE_CHARS = " \t\n\x0b\x0c\r"
 SPACE_RUN = r"[\x20\x09-\x0D]+"
 WORD = r"[^\x20\x09-\x0D]+"
 
-_own_root: dict[str, str] = {}
-
-
-def scratch_root(spark: SparkSession) -> str:
-    """The shared folder that the session names in ``spark.checkpoint.dir``; a temporary one where it is unset."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        app = spark.sparkContext.applicationId
-        if app not in _own_root:
-            _own_root[app] = tempfile.mkdtemp(prefix="topomap-")
-            atexit.register(shutil.rmtree, _own_root[app], ignore_errors=True)
-        root = _own_root[app]
-    return root.rstrip("/")
-
-
-@contextlib.contextmanager
-def _conf(spark: SparkSession, key: str, value: str):
-    before = spark.conf.get(key, None)
-    spark.conf.set(key, value)
-    try:
-        yield
-    finally:
-        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
-
-
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write ``df`` once as Parquet in the shared scratch folder and read it back.
-
-    This cuts lineage with a table that outlives any executor, and frees the shuffle files
-    of the job that made it.
-    """
-    spark = df.sparkSession
-    path = f"{scratch_root(spark)}/{label}-{uuid.uuid4().hex}"
-    with _conf(spark, "spark.sql.classic.shuffleDependency.fileCleanup.enabled", "true"):
-        df.write.parquet(path)
-    table = spark.read.schema(df.schema).parquet(path)
-    table.scratch_path = path
-    return table
-
-
-def discard(*tables: DataFrame) -> None:
-    """Delete tables that ``materialize`` gave and that nothing reads any more: what was made of them is written itself."""
-    for table in tables:
-        spark = table.sparkSession
-        path = spark._jvm.org.apache.hadoop.fs.Path(table.scratch_path)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+#: A table written once in the shared scratch folder and read back, and how to delete it.
+materialize = written
 
 
 def words(text: Column) -> Column:
@@ -80,9 +34,25 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 
 
+def without_gc(run):
+    """``run`` over batches without garbage collection: for code that makes millions of small objects and no cycles. A worker that is used again has it back."""
+
+    def wrapped(batches):
+        gc.disable()
+        try:
+            yield from run(batches)
+        finally:
+            gc.enable()
+
+    return wrapped
+
+
 def per_worker(key: tuple, make):
     """An object that a Python worker makes once and keeps for its later tasks. Its memory must be bounded."""
     store = sys.modules.setdefault("_topomap_worker", types.ModuleType("_topomap_worker")).__dict__
     if key not in store:
         store[key] = make()
     return store[key]
+
+
+__all__ = ["SPACE_CHARS", "SPACE_RUN", "WORD", "discard", "load", "materialize", "per_worker", "without_gc", "word_count", "words", "written"]

@@ -15,7 +15,6 @@ any length is cut piece by piece. Other columns of the input don't matter.
 
 from __future__ import annotations
 
-import gc
 import json
 from collections.abc import Iterator
 from itertools import chain
@@ -27,7 +26,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import per_worker
+from .shared import per_worker, without_gc
 
 #: The pre-token rule that byte-level files without a pattern of their own imply (fixed value).
 BYTE_LEVEL_PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -182,7 +181,6 @@ def count_tokens(documents: DataFrame, tokenizer_path: str, limit: int, *, id_co
     data = documents.select(F.col(id_col).alias("id"), F.col(text_col).alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        gc.disable()  # millions of small lists, no cycles
         counter = per_worker(("counter", hash(spec)), lambda: PieceCounter(spec))
         for batch in batches:
             texts = pc.fill_null(batch.column("text"), "")
@@ -201,4 +199,4 @@ def count_tokens(documents: DataFrame, tokenizer_path: str, limit: int, *, id_co
             yield pa.RecordBatch.from_arrays([batch.column("id"), n_bytes, n, pc.greater(n, limit)], ["id", "n_bytes", "n_tokens", "over_limit"])
 
     kind = data.schema["id"].dataType.simpleString()
-    return data.mapInArrow(run, f"id {kind}, n_bytes bigint, n_tokens bigint, over_limit boolean").withColumnRenamed("id", id_col)
+    return data.mapInArrow(without_gc(run), f"id {kind}, n_bytes bigint, n_tokens bigint, over_limit boolean").withColumnRenamed("id", id_col)
