@@ -9,7 +9,7 @@ import compare
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
-from topomap.llm import automaton_dedup, catalogue, chunk_codec, embedding_dedup, kd_shards, line_dedup, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts
+from topomap.llm import automaton_dedup, catalogue, chunk_codec, embedding_dedup, kd_shards, line_dedup, mixing, near_dedup, quality_rules, shared, suffix_dedup, token_counts, windows
 from topomap.llm.components import connected_components
 from topomap.llm.shingles import multiset_jaccard, shingle_lists
 
@@ -21,6 +21,7 @@ PASSAGE = "one two three four five six seven eight nine ten eleven twelve thirte
 ODD = [
     (1, None), (2, ""), (3, " \n\t "), (4, PASSAGE + " end."), (5, PASSAGE + " end."), (6, "start " + PASSAGE), (7, "x" * 700), (8, "x" * 300), (9, "naïve café <|endoftext|> 日本語 😀 " * 8),
     (10, "ha " * 400), (11, "a\nb\na\n\n" + PASSAGE), (12, "word"), (13, "word word\r\nword"), (14, (PASSAGE + "\n") * 3), (None, PASSAGE), (15, "́ combining\x1c mark"), (16, PASSAGE.upper() + " é"),
+    (4, PASSAGE + " end."), (17, " ".join(f"w{i * i % 99991}" for i in range(150_000))), (2**62 + 1, "a line of its own\n" + PASSAGE + " end."), (-(2**62), "a line of its own"),
 ]
 
 
@@ -245,6 +246,19 @@ def test_automaton_dedup_against_all_windows(request, which):
         assert (got[i]["n_words"], got[i]["n_removed"], got[i]["kept"], got[i]["kept_sha256"]) == (len(words), gone.sum(), kept, hashlib.sha256(kept.encode()).hexdigest())
 
 
+def test_hot_passages_are_settled_across_tasks(spark, monkeypatch):
+    """A passage of very many documents: its contexts are settled once more, with the same result."""
+    monkeypatch.setattr(windows, "REPORTED", 2)
+    monkeypatch.setattr(windows, "HOT_ROWS", 10)
+    common = prose(5, 40)
+    rows = [(i, (prose(100 + i % 9, 12) + " " if i % 3 else "") + common + (" " + prose(200 + i % 7, 12) if i % 5 else "")) for i in range(90)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(12)
+    got = {r["doc_id"]: r["n_removed"] for r in suffix_dedup.remove_repeated_bytes(df).collect()}
+    assert got == {i: int(gone.sum()) for (i, _), gone in zip(rows, covered([(i, t.encode()) for i, t in rows], 50))}
+    got = {r["doc_id"]: r["n_removed"] for r in automaton_dedup.remove_repeated_words(df).collect()}
+    assert got == {i: int(gone.sum()) for (i, _), gone in zip(rows, covered([(i, tuple(WORD.findall(t))) for i, t in rows], 13))}
+
+
 def test_suffix_automaton_finds_the_smallest_document():
     rng = np.random.default_rng(1)
     seqs = [(d, rng.integers(0, 3, 30).tolist()) for d in (5, 2, 9, 4)]
@@ -302,7 +316,7 @@ def lines_removed(listed, num=4, den=5):
 def test_line_dedup_against_all_pairs(request, which):
     df = request.getfixturevalue(which)
     rows = {r["doc_id"]: r for r in line_dedup.line_report(df).collect()}
-    listed = sorted((i, t) for i, t in texts_of(df) if i is not None)
+    listed = sorted({(i, t) for i, t in texts_of(df) if i is not None})
     gone = lines_removed(listed)
     for i, t in listed:
         kept = "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in gone)
@@ -331,23 +345,139 @@ def test_line_dedup_of_wide_ids(spark):
         assert (rows[i]["n_removed"], rows[i]["kept_sha256"]) == (sum(a == i for a, _ in gone), hashlib.sha256(kept.encode()).hexdigest())
 
 
-def test_mixing_twin(spark):
-    assert compare.mismatch(spark, SF, catalogue.op7_mixing, catalogue.OP7_SQL) == ""
+def prose(seed, n=60):
+    rng = np.random.default_rng(seed)
+    return " ".join("".join(chr(97 + c) for c in rng.integers(0, 26, 6)) for _ in range(n))
+
+
+def clash(spark):
+    """A document 2 of two texts, one a copy of document 1, the other its own, and rows that repeat one whole."""
+    rows = [(1, prose(1)), (2, prose(1)), (2, prose(2)), (2, prose(2)), (3, prose(2) + "\n" + prose(3)), (3, prose(2) + "\n" + prose(3))]
+    return spark.createDataFrame(rows, "doc_id long, text string")
+
+
+def test_texts_of_one_id_keep_what_is_theirs(spark):
+    df = clash(spark)
+    removed = {(r["doc_id"], r["n_bytes"], r["n_removed"]) for r in suffix_dedup.remove_repeated_bytes(df).collect()}
+    assert removed == {(1, len(prose(1)), 0), (2, len(prose(1)), len(prose(1))), (2, len(prose(2)), 0), (3, len(prose(2)) + 1 + len(prose(3)), len(prose(2)))}
+    words = {(r["doc_id"], r["n_words"], r["n_removed"], r["kept_sha256"]) for r in automaton_dedup.remove_repeated_words(df).collect()}
+    sha = lambda t: hashlib.sha256(t.encode()).hexdigest()
+    assert words == {(1, 60, 0, sha(prose(1))), (2, 60, 60, sha("")), (2, 60, 0, sha(prose(2))), (3, 120, 60, sha(prose(3)))}
+    lines = {(r["doc_id"], r["n_removed"], r["kept_sha256"]) for r in line_dedup.line_report(df).collect()}
+    assert lines == {(1, 0, sha(prose(1))), (2, 1, sha("")), (2, 0, sha(prose(2))), (3, 1, sha(prose(3)))}
+    # a document takes part with each of its texts
+    longer = spark.createDataFrame([(4, prose(2)), (5, prose(9))], "doc_id long, text string")
+    assert {(r["id"], r["component"]) for r in near_dedup.near_duplicates(df.union(longer)).collect()} == {(1, 1), (2, 1), (3, 3), (4, 1), (5, 5)}
+
+
+def test_signatures_are_functions_of_the_bag(docs):
+    """Alone or inside any batch, in any number of partitions."""
+    rng = np.random.default_rng(0)
+    bags = [np.sort(np.concatenate([b, b[: len(b) // 3], b[: len(b) // 9]])) for b in (rng.integers(0, 2**63, n).astype(np.uint64) for n in (1, 2, 50, 700, 4000, 9, 30, 120))]
+    together = near_dedup.bag_signatures(bags * 40, 160)
+    assert all((together[i + 8 * j] == near_dedup.bag_signatures([b], 160)[0]).all() for i, b in enumerate(bags) for j in (0, 39))
+    keys = lambda n: {r["id"]: r["bands"] for r in near_dedup.signature_table(docs.repartition(n)).select("id", "bands").collect()}
+    assert keys(1) == keys(60)
+
+
+def test_near_duplicates_at_the_threshold_are_found(spark):
+    """Pairs whose shingles overlap by 0.8 to 0.84, and a group around one text whose outer members only meet through others."""
+    rng = np.random.default_rng(4)
+    rows = []
+    for k in range(150):
+        words = prose(1000 + k, 200).split()
+        rows.append((2 * k, " ".join(words)))
+        for _ in range(50):
+            other = list(words)
+            for at in rng.choice(200, 4, replace=False):
+                other[at] = "changed" + str(at)
+            a, b = shingle_lists([rows[-1][1], " ".join(other)], 5)
+            if 0.8 <= multiset_jaccard(a, b) <= 0.84:
+                break
+        rows.append((2 * k + 1, " ".join(other)))
+    base = prose(77, 150).split()
+    for k in range(200):
+        edited = list(base)
+        for at in rng.choice(150, int(rng.integers(0, 6)), replace=False):
+            edited[at] = f"edit{rng.integers(0, 40)}"
+        rows.append((10_000 + k, " ".join(edited)))
+    got = {r["id"]: r["component"] for r in near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    bags = dict(zip([i for i, _ in rows], shingle_lists([t for _, t in rows], 5)))
+    wanted = [k for k in range(150) if multiset_jaccard(bags[2 * k], bags[2 * k + 1]) >= 0.8]
+    assert len(wanted) > 100 and sum(got[2 * k + 1] == 2 * k for k in wanted) >= 0.99 * len(wanted)
+    group = [i for i in bags if i >= 10_000]
+    component = {i: i for i in group}
+    links = [(a, b) for a in group for b in group if a < b and multiset_jaccard(bags[a], bags[b]) >= 0.8]
+    for _ in group:
+        for a, b in links:
+            component[a] = component[b] = min(component[a], component[b])
+    assert {i: got[i] for i in group} == component and len(set(component.values())) > 2
+
+
+def test_links_of_large_labels_are_found(spark):
+    """Labels of thousands of vectors, for which there are several tables: every planted pair above the threshold is linked."""
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(6000, 32))
+    x[3000:] = x[:3000] + 0.36 * rng.normal(size=(3000, 32)) * np.linalg.norm(x[:3000], axis=1, keepdims=True) / 32**0.5
+    df = spark.createDataFrame([(i, [float(v) for v in r], 1) for i, r in enumerate(x)], "vec_id long, embedding array<double>, label int")
+    got = {r["vec_id"]: r["n_links"] for r in embedding_dedup.linked_vectors(df).collect()}
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    want = (unit @ unit.T >= 0.93).sum(axis=1) - 1
+    assert want.sum() > 1500 and sum(got[i] for i in range(6000)) >= 0.999 * want.sum() and all(got[i] <= want[i] for i in range(6000))
+
+
+@pytest.mark.parametrize("name", sorted(catalogue.oracle_sql()))
+def test_twin(spark, name):
+    assert compare.mismatch(spark, SF, catalogue.queries()[name], catalogue.oracle_sql()[name]) == ""
 
 
-@pytest.mark.parametrize("name", [n for n in catalogue.queries() if n.startswith("op")])
+@pytest.mark.parametrize("name", list(catalogue.queries()))
 def test_empty_tables(spark, tmp_path, name):
     for t in ("documents", "embeddings"):
         spark.read.parquet(f"{SF}/{t}.parquet").limit(0).write.parquet(str(tmp_path / f"{t}.parquet"))
     assert catalogue.queries()[name](spark, str(tmp_path)).count() == 0
 
 
-def test_pipeline_stages(spark, docs):
+def near_components(listed):
+    bags = {i: b for (i, _), b in zip(listed, shingle_lists([t for _, t in listed], 5)) if len(b)}
+    component = {i: i for i in bags}
+    links = [(a, b) for a in bags for b in bags if a < b and min(len(bags[a]), len(bags[b])) >= 0.8 * max(len(bags[a]), len(bags[b])) and multiset_jaccard(bags[a], bags[b]) >= 0.8]
+    for _ in bags:
+        for a, b in links:
+            component[a] = component[b] = min(component[a], component[b])
+    return component
+
+
+@pytest.mark.parametrize("which", ["docs", "odd"])
+def test_pipeline_stages(spark, request, which):
+    """Each stage on what the one before kept, against a brute-force version of its own."""
     import corpus_pipeline
+    from tokenizers import Tokenizer
 
-    columns, step = docs.columns, docs
+    df = request.getfixturevalue(which)
+    columns, step = df.columns, df
     for name, stage in corpus_pipeline.STAGES[:-1]:
+        before = Counter(texts_of(step))
+        listed = sorted({x for x in before if x[0] is not None})
+        kept = {(r["doc_id"], r["n_words"]): r["kept"] for r in quality_rules.quality_report(step).collect()} if name == "quality" else {}
+        copies = Counter({(r["doc_id"], r["size"]): r["copies"] for r in mixing.mixing_plan(step, size=shared.word_count(F.col("text"))).collect()}) if name == "weights" else {}
         step = shared.materialize(stage(spark, step, SF), f"test-{name}")
         assert step.columns == columns and step.count() > 0
+        after = Counter(texts_of(step))
+        if name == "quality":
+            assert after == Counter({x: n for x, n in before.items() if kept[x[0], len(WORD.findall(x[1]))]})
+        elif name == "lines":
+            gone = lines_removed(listed)
+            left = [(i, "\n".join(x for k, x in enumerate(t.split("\n")) if (i, k) not in gone) if any(i == g for g, _ in gone) else t) for i, t in listed]
+            assert {x for x in after if x[0] is not None} == {x for x in left if x[1] in dict(listed).values() or WORD.search(x[1])}
+        elif name == "near_copies":
+            component = near_components(listed)
+            assert {i for i, _ in after if i is not None} == {i for i, _ in listed if component.get(i, i) == i}
+        else:
+            assert after == Counter({x: n * copies[x[0], len(WORD.findall(x[1]))] for x, n in before.items() if copies[x[0], len(WORD.findall(x[1]))]})
     last = corpus_pipeline.STAGES[-1][1](spark, step, SF)
+    lib = Tokenizer.from_file(public_tokenizers.path("word_bpe_49k.json"))
+    text = dict(texts_of(step))
     assert last.count() == step.count()
+    for r in last.collect():
+        assert r["n_tokens"] == len(lib.encode(text[r["doc_id"]], add_special_tokens=False).ids)
