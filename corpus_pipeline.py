@@ -1,7 +1,11 @@
 """A training corpus from raw documents: quality rules, line dedup, near-dedup, mixing and BPE coding, one operator a stage.
 
 A stage takes (spark, docs, sf_dir) and gives a DataFrame; ``run`` writes each stage's rows as Parquet in the shared scratch folder and
-rereads them as the next one's documents. All stages but the last give the columns of ``documents``.
+rereads them as the next one's documents. All stages but the last give the columns of ``documents``, whatever further columns there are.
+
+Null, empty and blank texts have no words and go in the first stage. Rows with a null id are judged by their text, take no part in comparisons with other rows, and
+stay through ``lines`` and ``near_copies``. Rows that repeat an id and its text go or stay together; of an id with several texts, ``lines`` judges each for itself and
+``near_copies`` keeps all or none. Ties go to the smaller id. An empty table passes through all stages. Texts of any length are read whole.
 """
 
 from __future__ import annotations
@@ -46,7 +50,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = shared.load(spark, sf_dir, "documents")
+    docs, done = shared.load(spark, sf_dir, "documents"), None
     for name, stage in STAGES[:-1]:
         docs = shared.materialize(stage(spark, docs, sf_dir), f"stage-{name}")
+        if done is not None:
+            shared.discard(done)
+        done = docs
     return STAGES[-1][1](spark, docs, sf_dir)
