@@ -9,15 +9,17 @@ Rarity is the word's count over all lines in four levels, read from a counting s
 input, and words that share a cell only share a level. Within a level words are ordered by hash, so the order is the same for all lines.
 
 To know that an earlier line exists, a line is first tried against the earliest of the lines that come first under its words; only lines without
-success there meet all others under their words. So a large group of alike lines costs a row per member and word, not a pair per pair.
+success there meet all others under their words, of which the first is known. So a large group of alike lines costs a row per member and word, not a pair per pair.
 
-Null ids, null and empty texts lose nothing. Rows that repeat an id are one document. Very long lines are sets like others. An empty table gives
-an empty result. Words are compared by 58 bits of hash.
+Null ids, null and empty texts lose nothing. Rows that repeat an id and its text are one document; other texts of an id are documents after it, in the order of a hash. Very long lines are sets like others. An empty table gives
+an empty result. Words are compared by 64 bits of hash, equal sets by 128 bits over 58 of each word.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from functools import reduce
+
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.ordering import dense_index
@@ -29,23 +31,36 @@ CELLS = 3 << 18
 #: A cell's level is how many of these its count exceeds; they grow with the mean count of a cell beyond 32.
 LEVELS = (4, 32, 512)
 HASH_BITS = 58
+#: Pairs are verified in so many parts, one after another, as a pair carries a whole set through a shuffle: this bounds the disk, not the pairs.
+PARTS = 4
 
 
 def _lines(documents: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """(doc, line, words) of every line with words."""
     rows = documents.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc"), F.posexplode(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n")).alias("line", "raw"))
-    return rows.select("doc", "line", shared.words(F.col("raw")).alias("words")).where(F.size("words") > 0)
+    return rows.where(F.col("raw").rlike(r"[^\x20\x09-\x0D]")).select("doc", "line", _pieces(F.col("raw")).alias("words"))
+
+
+def _pieces(line: Column) -> Column:
+    """The words of a line, with empty strings at its ends or where blanks meet. A split by one plain character is several times cheaper than one by a pattern, which lines with other white space take."""
+    return F.when(line.rlike(r"[\x09\x0B-\x0D]"), F.split(line, shared.SPACE_RUN)).otherwise(F.split(line, " "))
+
 
+def _byte(hashed: Column) -> Column:
+    """The byte of the sketch that holds a word's cell, from 0."""
+    return hashed.bitwiseAND(F.lit(CELLS // 3 - 1)).cast("int")
 
-def _cell(hashed: Column) -> Column:
-    return F.pmod(hashed, F.lit(CELLS)).cast("int")
+
+def _part(hashed: Column) -> Column:
+    """Which of the three cells of its byte."""
+    return F.pmod(F.shiftrightunsigned(hashed, 18), F.lit(3)).cast("int")
 
 
 def rarity_sketch(documents: DataFrame, id_col: str, text_col: str) -> Column:
     """The levels of all cells as a constant of ``CELLS / 3`` bytes (three cells and the bit 64 in each), put together before it reaches the driver."""
-    text = documents.where(F.col(id_col).isNotNull()).select(shared.words(F.col(text_col)).alias("words"))
-    cells = text.select(F.explode(F.transform("words", lambda w: _cell(F.xxhash64(w)))).alias("cell"))
-    counts = shared.materialize(cells.groupBy("cell").agg(F.count("*").alias("n")), "word-cells")
+    lines = documents.where(F.col(id_col).isNotNull()).select(F.explode(F.split(F.col(text_col), "\n")).alias("line"))
+    hashed = lines.select(F.explode(_pieces(F.col("line"))).alias("word")).where("word <> ''").select(F.xxhash64("word").alias("h"))
+    counts = shared.materialize(hashed.groupBy((3 * _byte(F.col("h")) + _part(F.col("h"))).alias("cell")).agg(F.count("*").alias("n")), "word-cells")
     unit = max(1.0, (counts.agg(F.sum("n")).first()[0] or 0) / CELLS / 32)
     level = sum(((F.col("n") > F.lit(unit * x)).cast("int") for x in LEVELS), F.lit(0))
     packed = counts.groupBy(F.floor(F.col("cell") / 3).cast("int").alias("at")).agg(F.sum(F.call_function("shiftleft", level, 2 * (F.col("cell") % 3))).cast("byte").alias("value"))
@@ -59,16 +74,17 @@ def rarity_sketch(documents: DataFrame, id_col: str, text_col: str) -> Column:
 def _tokens(words: Column, levels: Column) -> Column:
     """The set of a line: one long per word, rarest first, ordered alike everywhere."""
 
-    def token(w: Column) -> Column:
-        return _ranked(F.xxhash64(w), levels)
+    return F.sort_array(F.transform(_hashes(words), lambda h: _ranked(h, levels)))
+
 
-    return F.sort_array(F.array_distinct(F.transform(words, token)))
+def _hashes(words: Column) -> Column:
+    """The set of a line as 64-bit hashes, in no order."""
+    return F.array_remove(F.array_distinct(F.transform(words, lambda w: F.xxhash64(w))), F.xxhash64(F.lit("")))
 
 
 def _ranked(h: Column, levels: Column) -> Column:
-    cell = _cell(h)
-    byte = F.ascii(F.substring(levels, F.floor(cell / 3).cast("int") + 1, F.lit(1)).cast("string"))
-    level = F.call_function("shiftright", byte, 2 * (cell % 3)).bitwiseAND(F.lit(3))
+    byte = F.ascii(F.substring(levels, _byte(h) + 1, F.lit(1)).cast("string"))
+    level = F.call_function("shiftright", byte, 2 * _part(h)).bitwiseAND(F.lit(3))
     return F.shiftleft(level.cast("long"), HASH_BITS).bitwiseOR(h.bitwiseAND(F.lit((1 << HASH_BITS) - 1)))
 
 
@@ -94,24 +110,21 @@ def _bitmap(tokens: Column) -> Column:
     return F.aggregate(tokens, F.lit(0).cast("long"), lambda s, t: s.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), t.bitwiseAND(F.lit(63)).cast("int"))))
 
 
-def _numbered(documents: DataFrame, id_col: str) -> DataFrame:
-    """(owner, number): the ids and their places among the distinct ids."""
-    ids = documents.select(F.col(id_col).cast("long").alias("owner")).where("owner is not null").distinct()
-    return shared.materialize(dense_index(ids, ["owner"], "number"), "line-numbers")
-
-
 def removed_lines(documents: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc, lines): for each document that loses lines, the places of the lines it loses."""
-    doc = F.col(id_col).cast("long")
+    """(doc, h, lines): for each document that loses lines, the places of the lines it loses; h, where it isn't null, is the hash of the text that is meant."""
+    doc, h = F.col(id_col).cast("long"), F.xxhash64(text_col)
     lines = F.size(F.split(F.coalesce(F.col(text_col), F.lit("")), "\n"))
-    low, high, most = documents.where(doc.isNotNull()).agg(F.min(doc), F.max(doc), F.max(lines)).first()
+    known = documents.where(doc.isNotNull()).select(doc.alias("doc"), h.alias("h"), lines.alias("lines"))
+    by_id = known.groupBy("doc").agg(F.min("h").alias("h0"), F.max("h").alias("h1"), F.max("lines").alias("lines"))
+    low, high, most, clash = by_id.agg(F.min("doc"), F.max("doc"), F.max("lines"), F.max(F.col("h0") != F.col("h1"))).first()
     room = 63 - max(1, int(most or 0).bit_length())
-    if low is None or -(1 << room) <= low and high < 1 << room:
-        return _removed(documents, id_col, text_col)
-    # ids that leave no room for the line in a long give way to their places in order
-    numbers = _numbered(documents, id_col)
-    placed = documents.select(doc.alias("owner"), F.col(text_col).alias("text")).join(numbers, "owner").select("number", "text")
-    return _removed(placed, "number", "text").join(numbers.withColumnRenamed("number", "doc"), "doc").select(F.col("owner").alias("doc"), "lines")
+    if low is None or not clash and -(1 << room) <= low and high < 1 << room:
+        return _removed(documents, id_col, text_col).select("doc", F.lit(None).cast("long").alias("h"), "lines")
+    # ids that leave no room for the line in a long, or that stand for several texts, give way to the places of (id, text) in order
+    numbers = shared.materialize(dense_index(known.select("doc", "h").distinct(), ["doc", "h"], "number"), "line-numbers")
+    placed = documents.select(doc.alias("doc"), h.alias("h"), F.col(text_col).alias("text")).join(numbers, ["doc", "h"]).select("number", "text")
+    gone = _removed(placed, "number", "text").withColumnRenamed("doc", "number")
+    return gone.join(numbers, "number").select("doc", "h", "lines")
 
 
 def _removed(documents: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -126,57 +139,70 @@ def _removed(documents: DataFrame, id_col: str, text_col: str) -> DataFrame:
     sets = shared.materialize(sets, "line-sets")
     most = sets.agg(F.max("line")).first()[0]
     shift = max(1, int(most or 0).bit_length())
-    sets = sets.select(F.shiftleft("doc", shift).bitwiseOR(F.col("line").cast("long")).alias("id"), "n", "f1", "f2", "bits", "prefix")
-    firsts = shared.materialize(sets.groupBy("f1", "f2").agg(F.min("id").alias("first")), "line-firsts")
-    repeats = sets.select("id", "f1", "f2").join(firsts, ["f1", "f2"]).where("id <> first").select("id")
+    keyed = sets.select(F.shiftleft("doc", shift).bitwiseOR(F.col("line").cast("long")).alias("id"), "n", "f1", "f2", "bits", "prefix")
+    firsts = keyed.groupBy("f1", "f2").agg(F.min("id").alias("first"))
     # one line of each set goes on
-    one = sets.join(firsts.select(F.col("first").alias("id")), "id", "left_semi").drop("f1", "f2")
-    entries = one.select("id", "n", "bits", F.posexplode("prefix").alias("i", "token"))
-    packed = F.shiftleft(F.col("n").cast("long"), 32).bitwiseOR(F.col("i").cast("long"))
-    hubs = entries.groupBy("token").agg(
-        F.count("*").alias("members"), F.min("id").alias("hub"), F.min_by(packed, "id").alias("hub_at"), F.min_by("bits", "id").alias("hub_bits")
-    )
-    hubs = shared.materialize(hubs.where("members > 1"), "line-hubs")
-    hub_n, hub_i = F.shiftright("hub_at", 32).cast("int"), F.col("hub_at").bitwiseAND(F.lit((1 << 32) - 1)).cast("int")
-    success = (F.col("hub") < F.col("id")) & _may_match(F.col("n"), F.col("i"), F.col("bits"), hub_n, hub_i, F.col("hub_bits"))
-    met = entries.join(hubs, "token").withColumn("hub", F.when(success, F.col("hub"))).where("hub is not null or members > 2")
-    met = shared.materialize(met.select("token", "id", "n", "i", "bits", "members", "hub"), "line-entries")
+    repeated = F.col("id") != F.col("first")
+    placed = shared.materialize(keyed.join(firsts, ["f1", "f2"]).select("id", "n", repeated.alias("repeated"), "bits", F.when(~repeated, F.col("prefix")).alias("prefix")), "line-placed")
+    shared.discard(sets)
+    repeats = shared.materialize(placed.where("repeated").select("id"), "line-repeats")
+    entries = placed.where("not repeated").select("id", "n", "bits", F.posexplode("prefix").alias("i", "token"))
+    # a word that stands in a third of the lines is in the prefix only of lines of such words alone, so rarity bounds the groups of this window
+    by_token = Window.partitionBy("token").orderBy("id")
+    hub = F.first(F.struct("id", "n", "i", "bits")).over(by_token)
+    seen = entries.withColumns({"hub": hub, "place": F.row_number().over(by_token), "next": F.lead("id").over(by_token)})
+    success = (F.col("hub.id") < F.col("id")) & _may_match(F.col("n"), F.col("i"), F.col("bits"), F.col("hub.n"), F.col("hub.i"), F.col("hub.bits"))
+    # under a word of two lines, the trial is the only pair
+    more = (F.col("place") > 2) | F.col("next").isNotNull()
+    met = seen.where("place > 1").select("token", "id", "n", "i", "bits", "place", more.alias("more"), F.when(success, F.col("hub.id")).alias("hub"))
+    met = shared.materialize(met.where("more or hub is not null"), "line-entries")
+    shared.discard(placed)
     passing = met.where("hub is not null").select(F.col("id").alias("a"), F.col("hub").alias("b"))
     tried = shared.materialize(passing.groupBy("a").agg(F.min("b").alias("b")), "line-tried")
-    shared.discard(hubs)
-    entered = met.where("members > 2").select("token", "id", "n", "i", "bits")
+    entered = met.where("more").select("token", "id", "n", "i", "bits", "place")
 
     def all_earlier(later: DataFrame) -> DataFrame:
-        """(a, b): lines of ``later`` with every earlier line that passes the filters."""
-        other = entered.toDF("token", "b", "m", "j", "bits2")
+        """(a, b, apart): lines of ``later`` with every earlier line that passes the filters, and how many of their bits differ."""
+        other = entered.drop("place").toDF("token", "b", "m", "j", "bits2")
         c = F.col
-        pairs = later.join(other, "token").where((c("b") < c("id")) & _may_match(c("n"), c("i"), c("bits"), c("m"), c("j"), c("bits2")))
-        return pairs.select(c("id").alias("a"), "b").distinct()
+        pairs = later.where("place > 2").join(other, "token").where((c("b") < c("id")) & _may_match(c("n"), c("i"), c("bits"), c("m"), c("j"), c("bits2")))
+        return pairs.select(c("id").alias("a"), "b", F.bit_count(c("bits").bitwiseXOR(c("bits2"))).alias("apart")).distinct()
 
-    rest = all_earlier(entered.join(tried.select(F.col("a").alias("id")).distinct(), "id", "left_anti"))
-    pairs = shared.materialize(tried.union(rest), "line-pairs")
+    rest = shared.materialize(all_earlier(entered.join(tried.select(F.col("a").alias("id")), "id", "left_anti")), "line-pairs")
+    # one line that is alike is enough: the likeliest is compared first
+    likeliest = rest.groupBy("a").agg(F.min(F.struct("apart", "b")).alias("best")).select("a", "best.b")
+    pairs = shared.materialize(tried.union(likeliest), "line-trials")
 
     def verified(pairs: DataFrame) -> DataFrame:
         ids = shared.materialize(pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct(), "line-ids")
         owners = ids.select(F.shiftright("id", shift).alias("owner")).distinct()
         held = documents.select(F.col(id_col).cast("long").alias("owner"), F.col(text_col).alias("text")).join(owners, "owner", "left_semi")
         again = _lines(held, "owner", "text").select(F.shiftleft("doc", shift).bitwiseOR(F.col("line").cast("long")).alias("id"), "words").join(ids, "id", "left_semi")
-        tokens = shared.materialize(again.select("id", _tokens(F.col("words"), levels).alias("tokens")), "line-tokens")
-        both = pairs.join(tokens.toDF("a", "x"), "a").join(tokens.toDF("b", "y"), "b")
+        tokens = shared.materialize(again.select("id", _hashes(F.col("words")).alias("tokens")), "line-tokens")
         enough = F.size(F.array_intersect("x", "y")) >= _needed(F.size("x"), F.size("y"))
-        found = shared.materialize(both.where(enough).select("a", "b"), "line-matches")
+        found = []
+        for k in range(PARTS):
+            part = pairs.where(F.pmod(F.xxhash64("a"), F.lit(PARTS)) == k)
+            both = part.join(tokens.toDF("a", "x"), "a").join(tokens.toDF("b", "y"), "b")
+            found.append(shared.materialize(both.where(enough).select("a", "b"), "line-matches"))
         shared.discard(tokens, ids)
-        return found
+        return reduce(DataFrame.union, found)
 
     matches = verified(pairs)
-    # lines whose only trial was a false one meet the others after all: the other hubs, which alone tell of words of two members, and all under larger words
-    failed = shared.materialize(tried.select("a").distinct().join(matches.select("a").distinct(), "a", "left_anti"), "line-failed")
+    # lines whose first comparison fails meet the others after all: their other pairs; the other hubs, which alone tell of words of two members; and all under larger words
+    failed = shared.materialize(pairs.select("a").join(matches.select("a").distinct(), "a", "left_anti"), "line-failed")
     if not failed.isEmpty():
-        others = passing.join(failed, "a", "left_semi").union(all_earlier(entered.join(failed.withColumnRenamed("a", "id"), "id", "left_semi"))).distinct()
-        more = shared.materialize(others.join(tried, ["a", "b"], "left_anti"), "line-pairs")
+        of_tried = failed.join(tried, "a", "left_semi")
+        others = rest.select("a", "b").join(failed, "a", "left_semi").union(passing.join(of_tried, "a", "left_semi"))
+        others = others.union(all_earlier(entered.join(of_tried.withColumnRenamed("a", "id"), "id", "left_semi")).select("a", "b")).distinct()
+        more = shared.materialize(others.join(pairs, ["a", "b"], "left_anti"), "line-pairs")
+        shared.discard(met)
         if not more.isEmpty():
             matches = matches.union(verified(more))
-    shared.discard(met)
+        shared.discard(more)
+    else:
+        shared.discard(met)
+    shared.discard(tried, rest, pairs, failed)
     gone = repeats.union(matches.select(F.col("a").alias("id")))
     return gone.select(F.shiftright("id", shift).alias("doc"), F.col("id").bitwiseAND(F.lit((1 << shift) - 1)).cast("int").alias("line")).groupBy("doc").agg(F.collect_set("line").alias("lines"))
 
@@ -189,7 +215,8 @@ def _kept(text: Column, lines: Column) -> Column:
 def line_report(documents: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """``id_col``, n_lines (with words), n_removed, kept_sha256 per row."""
     gone = removed_lines(documents, id_col=id_col, text_col=text_col)
-    data = documents.select(F.col(id_col).alias("id"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).join(gone, F.col("id") == F.col("doc"), "left")
+    data = documents.select(F.col(id_col).alias("id"), F.xxhash64(text_col).alias("own"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+    data = data.join(gone, (F.col("id") == F.col("doc")) & (F.col("h").isNull() | (F.col("h") == F.col("own"))), "left")
     worded = F.size(F.filter(F.split("text", "\n"), lambda x: x.rlike(r"[^\x20\x09-\x0D]"))).cast("long")
     removed = F.when(F.col("lines").isNull(), 0).otherwise(F.size("lines")).cast("long")
     return data.select(F.col("id").alias(id_col), worded.alias("n_lines"), removed.alias("n_removed"), F.sha2(F.encode(_kept(F.col("text"), F.col("lines")), "UTF-8"), 256).alias("kept_sha256"))
@@ -197,8 +224,9 @@ def line_report(documents: DataFrame, *, id_col: str = "doc_id", text_col: str =
 
 def drop_repeated_lines(documents: DataFrame) -> DataFrame:
     """``documents`` with the texts that are left, n_chars following; a document that loses all its words goes."""
-    gone = removed_lines(documents).select(F.col("doc").alias("__doc"), F.col("lines").alias("__lines"))
-    joined = documents.join(gone, documents["doc_id"] == gone["__doc"], "left").withColumn("text", _kept(F.col("text"), F.col("__lines")))
+    gone = removed_lines(documents).select(F.col("doc").alias("__doc"), F.col("h").alias("__h"), F.col("lines").alias("__lines"))
+    same_text = F.col("__h").isNull() | (F.col("__h") == F.xxhash64(documents["text"]))
+    joined = documents.join(gone, (documents["doc_id"] == gone["__doc"]) & same_text, "left").withColumn("text", _kept(F.col("text"), F.col("__lines")))
     left = joined.where(F.col("__lines").isNull() | F.col("text").rlike(r"[^\x20\x09-\x0D]"))
     if "n_chars" in documents.columns:
         left = left.withColumn("n_chars", F.when(F.col("__lines").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(documents.schema["n_chars"].dataType)))
