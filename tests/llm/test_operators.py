@@ -335,6 +335,30 @@ def test_line_dedup_tries_every_hub(spark):
         assert {(r["doc_id"], 0) for r in rows if r["n_removed"]} == lines_removed(listed) == {(3, 0)}
 
 
+def test_line_dedup_bits_tell_half_equal_lines_apart(spark):
+    """Lines of 48 words that share 30 are no candidates to be verified: at most one pair in fifty passes the bits."""
+    rows = [(k, *[[(k << 20) + 7919 * w * w + w for w in ws] for ws in (range(48), [*range(30), *range(100, 118)])]) for k in range(200)]
+    x, y = (F.transform(c, lambda t: F.xxhash64(t)) for c in "xy")
+    n = F.lit(48)
+    passed = spark.createDataFrame(rows, "k long, x array<long>, y array<long>").where(line_dedup._may_match(n, F.lit(0), line_dedup._bitmap(x), n, F.lit(0), line_dedup._bitmap(y))).count()
+    assert passed <= 4
+
+
+def test_line_dedup_moves_only_lines_it_verifies(spark, monkeypatch):
+    """Documents whose lines are verified move once, whole; their lines are not shuffled."""
+    plans, real = [], shared.materialize
+    monkeypatch.setattr(shared, "materialize", lambda df, label: (label == "line-tokens" and plans.append(df._jdf.queryExecution().executedPlan().toString()), real(df, label))[1])
+    listed = [(1, "a b c d e f g h i j\nk l m n o"), (2, "a b c d e f g h i j k\np q r s t")]
+    limit = "spark.sql.autoBroadcastJoinThreshold"
+    before = spark.conf.get(limit)
+    spark.conf.set(limit, "-1")
+    try:
+        rows = {r["doc_id"]: r["n_removed"] for r in line_dedup.line_report(spark.createDataFrame(listed, "doc_id long, text string")).collect()}
+    finally:
+        spark.conf.set(limit, before)
+    assert rows == {1: 0, 2: 1} and plans and all(p.index("Generate") < p.index("Exchange") for p in plans)
+
+
 def test_line_dedup_of_wide_ids(spark):
     texts = ["a b\nc d\ne f", "c d\nx y\ng h", "x y\nz z z\na b", "k l\nm n\ng h"]
     listed = list(zip([-(2**63), -(2**62) - 5, 2**62, 2**63 - 1], texts))
