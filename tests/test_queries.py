@@ -45,3 +45,14 @@ def test_reproducible_map_separates_languages(spark):
     error = {n: measures.quantization_error(w).first()[0] for n, w in won.items()}
     assert measures.purity(won["gradient_staggered"], "lang").first()[0] > 0.75
     assert error["gradient_staggered"] < 1.1 * error["standard"]
+
+
+def test_decimals_that_end_in_a_half_round_as_in_the_twin(spark):
+    """41 / 640 is a little below 0.0640625 and the shortest decimals that tell it are that number."""
+    from pyspark.sql import functions as F
+
+    values = [(k, n) for n in (64, 128, 320, 640, 1280, 3200, 6400) for k in range(1, n, 2)]
+    x = F.col("k") / F.col("n")
+    rows = spark.createDataFrame(values, "k long, n long").select("k", "n", catalogue.r6(x).alias("one"), catalogue.r6_array(F.array(x)).alias("list")).collect()
+    told = compare.duckdb.connect().execute("SELECT k, n, round(k::DOUBLE / n, 6) FROM (SELECT v[1] AS k, v[2] AS n FROM (SELECT unnest(?) AS v))", [[list(v) for v in values]]).fetchall()
+    assert {(r["k"], r["n"]): (r["one"], r["list"][0]) for r in rows} == {(k, n): (v, v) for k, n, v in told}
