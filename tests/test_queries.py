@@ -56,3 +56,13 @@ def test_decimals_that_end_in_a_half_round_as_in_the_twin(spark):
     rows = spark.createDataFrame(values, "k long, n long").select("k", "n", catalogue.r6(x).alias("one"), catalogue.r6_array(F.array(x)).alias("list")).collect()
     told = compare.duckdb.connect().execute("SELECT k, n, round(k::DOUBLE / n, 6) FROM (SELECT v[1] AS k, v[2] AS n FROM (SELECT unnest(?) AS v))", [[list(v) for v in values]]).fetchall()
     assert {(r["k"], r["n"]): (r["one"], r["list"][0]) for r in rows} == {(k, n): (v, v) for k, n, v in told}
+
+
+def test_grids_of_long_lists_are_those_of_the_twin(spark, monkeypatch):
+    """3,600,000 samples ask for 300,000 nodes, more than the twin's sides below 400 give."""
+    counts = [("lines", 3_600_000), ("cells", 81_775), ("docs", 1_100_000), ("events", 1_900_000), ("few", 7)]
+    monkeypatch.setattr(catalogue, "_counts", lambda spark, sf_dir: spark.createDataFrame(counts, "name string, n long"))
+    sql = catalogue.oracle_sql()["grid_from_density_cases"]
+    told = "WITH counts AS (SELECT * FROM (VALUES " + ", ".join(map(str, counts)) + ") v(name, n))" + sql[sql.index("SELECT name, n, r.range") :]
+    rows = catalogue.queries()["grid_from_density_cases"](spark, SF).collect()
+    assert sorted(map(tuple, rows)) == sorted(compare.duckdb.connect().execute(told).fetchall())
