@@ -139,3 +139,12 @@ def test_registered_sketch_has_the_default_sample(spark):
     small = catalogue._trained(docs, ["doc_id"], catalogue.SHORT, mode="sketch", sample=300)[1]
     whole = catalogue._trained(docs, ["doc_id"], catalogue.SHORT, mode="sketch")[1]
     assert rows(catalogue.queries()["sketch_map_docs"](spark, sf)) == rows(whole) != rows(small)
+
+
+def test_relay_visits_are_few(spark, monkeypatch):
+    """Twelve blocks a pass are at most eight jobs a pass, and give the bits of a fold."""
+    labels, real = [], train.written
+    monkeypatch.setattr(train, "written", lambda df, label: (labels.append(label), real(df, label))[1])
+    cfg = replace(CFG, max_passes=2)
+    model = fit_map(workloads.toy(spark), cfg, key=["sample_id"], mode="relay", block=2)
+    assert model.fingerprint == fit_map(workloads.toy(spark), cfg, key=["sample_id"]).fingerprint and labels.count("relay-visit") <= 16
