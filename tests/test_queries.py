@@ -66,3 +66,13 @@ def test_grids_of_long_lists_are_those_of_the_twin(spark, monkeypatch):
     told = "WITH counts AS (SELECT * FROM (VALUES " + ", ".join(map(str, counts)) + ") v(name, n))" + sql[sql.index("SELECT name, n, r.range") :]
     rows = catalogue.queries()["grid_from_density_cases"](spark, SF).collect()
     assert sorted(map(tuple, rows)) == sorted(compare.duckdb.connect().execute(told).fetchall())
+
+
+@pytest.mark.parametrize("name", ["determinism_fingerprints", "set_ops_runs", "similar_regimes", "relay_equals_fold"])
+def test_histograms_are_made_once(spark, monkeypatch, name):
+    """Training reads histograms from a table, and a query's maps that are equal are trained once."""
+    fits, real = [], catalogue.fit_map
+    monkeypatch.setattr(catalogue, "fit_map", lambda df, *a, **k: (fits.append(df.inputFiles()), real(df, *a, **k))[1])
+    catalogue.queries()[name](spark, SF)
+    assert len(fits) == {"determinism_fingerprints": 4, "relay_equals_fold": 2}.get(name, 1)
+    assert all("docs-records" in f for files in fits for f in files)
