@@ -76,3 +76,17 @@ def test_histograms_are_made_once(spark, monkeypatch, name):
     catalogue.queries()[name](spark, SF)
     assert len(fits) == {"determinism_fingerprints": 4, "relay_equals_fold": 2}.get(name, 1)
     assert all("docs-records" in f for files in fits for f in files)
+
+
+@pytest.mark.parametrize("name", ["grid_distances_4x3", "influence_table_t0", "influence_table_t20", "init_gradient_4x3_d42", "init_random_hashed", "schedule_radius_rate", "staggered_start_fairness", "staggered_udtf"])
+def test_tables_of_a_map_come_from_a_given_list(monkeypatch, name):
+    """The query reads the list of nations' months, which is made of lineitem and supplier."""
+    class Read(Exception):
+        pass
+
+    def stop(*a):
+        raise Read
+
+    monkeypatch.setattr(catalogue.workloads, "nations", stop)
+    with pytest.raises(Read):
+        catalogue.queries()[name](__import__("unittest.mock", fromlist=["MagicMock"]).MagicMock(), SF)
