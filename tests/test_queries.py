@@ -90,3 +90,13 @@ def test_tables_of_a_map_come_from_a_given_list(monkeypatch, name):
     monkeypatch.setattr(catalogue.workloads, "nations", stop)
     with pytest.raises(Read):
         catalogue.queries()[name](__import__("unittest.mock", fromlist=["MagicMock"]).MagicMock(), SF)
+
+
+@pytest.mark.parametrize("name", ["train_toy_to_stop", "train_toy_recursive_sql"])
+def test_short_lists_come_from_given_tables(spark, tmp_path, name):
+    """Other order lines give another map."""
+    for t in ("lineitem", "supplier"):
+        rows = spark.read.parquet(f"{SF}/{t}.parquet")
+        (rows.where("l_suppkey % 3 > 0 or l_quantity > 25") if t == "lineitem" else rows).write.parquet(str(tmp_path / f"{t}.parquet"))
+    one, two = (sorted(map(str, catalogue.queries()[name](spark, d).collect())) for d in (SF, str(tmp_path)))
+    assert one != two
