@@ -344,6 +344,26 @@ def test_line_dedup_bits_tell_half_equal_lines_apart(spark):
     assert passed <= 4
 
 
+def test_line_dedup_bits_tell_long_lines_apart(spark):
+    """Lines of 200 words that share 100 may differ in 44 places of the bits by their length, and differ in more; alike ones pass; the lanes of a long line fold to the bits of a short one."""
+    rows = [(k, *[[(k << 20) + 7919 * w * w + w for w in ws] for ws in (range(200), [*range(100), *range(300, 400)], [*range(190), *range(300, 310)], range(64))]) for k in range(200)]
+    x, y, z, s = (F.transform(c, lambda t: F.xxhash64(t)) for c in "xyzs")
+    n = F.lit(200)
+    df = spark.createDataFrame(rows, "k long, x array<long>, y array<long>, z array<long>, s array<long>")
+    bits = df.select(*[line_dedup._bitmap(c).alias(k) for k, c in zip("xyzs", (x, y, z, s))], line_dedup._parities(x).alias("px"), line_dedup._parities(s).alias("ps")).collect()
+    passed = df.where(line_dedup._may_match(n, F.lit(0), line_dedup._bitmap(x), n, F.lit(0), line_dedup._bitmap(y))).count()
+    alike = df.where(line_dedup._may_match(n, F.lit(0), line_dedup._bitmap(x), n, F.lit(0), line_dedup._bitmap(z))).count()
+    assert passed <= 4 and alike == 200
+    assert all(r["x"][0] ^ r["x"][1] ^ r["x"][2] ^ r["x"][3] == r["px"] and r["s"] == [r["ps"], 0, 0, 0] for r in bits)
+
+
+def test_line_dedup_filter_of_documents_loses_none(spark):
+    ids = spark.range(0, 40_000, 4).withColumn("id", F.col("id") - 20_000)
+    known = line_dedup._may_be_in(ids)
+    passed = {r["id"] for r in spark.range(-20_000, 20_000).where(known(F.col("id"))).collect()}
+    assert set(range(-20_000, 20_000, 4)) <= passed and len(passed) < 11_000
+
+
 def test_line_dedup_moves_only_lines_it_verifies(spark, monkeypatch):
     """Documents whose lines are verified move once, whole; their lines are not shuffled."""
     plans, real = [], shared.materialize
